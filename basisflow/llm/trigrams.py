@@ -60,6 +60,17 @@ def either(*queries):
     return unique[0] if len(unique) == 1 else ("any", unique)
 
 
+def thinned(query, ends: int = 1):
+    """A wider query: of each conjunction of trigrams, the first and last ``ends``."""
+    if query is True or query[0] == "tri":
+        return query
+    parts = [thinned(q, ends) for q in query[1]]
+    if query[0] == "any":
+        return either(*parts)
+    plain, rest = [q for q in parts if q[0] == "tri"], [q for q in parts if q[0] != "tri"]
+    return both(*(plain if len(plain) <= 2 * ends else plain[:ends] + plain[-ends:]), *rest)
+
+
 def literal_query(strings):
     """Some string of the set occurs: all trigrams of one of them do."""
     if not strings or min(map(len, strings)) < 3:
