@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import secrets
+from . import secrets, simhash
 from .common import table
 
 QUERIES = {}
@@ -38,3 +38,10 @@ per AS (
 SELECT d.doc_id, coalesce(n_assign, 0) AS n_assign, coalesce(n_access, 0) AS n_access, coalesce(n_hex, 0) AS n_hex,
        sha256(coalesce(base, '')) AS base_sha256, coalesce(spans, '') AS spans
 FROM d LEFT JOIN per USING (doc_id)"""
+
+
+def op8_simhash_groups(spark, sf_dir):
+    return simhash.near_groups(table(spark, sf_dir, "documents"))
+
+
+QUERIES["op8_simhash_groups"] = op8_simhash_groups
