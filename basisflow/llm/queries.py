@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import secrets, simhash
+from . import lengths, packing, secrets, simhash
 from .common import table
 
 QUERIES = {}
@@ -45,3 +45,15 @@ def op8_simhash_groups(spark, sf_dir):
 
 
 QUERIES["op8_simhash_groups"] = op8_simhash_groups
+
+
+def op3_length_histogram(spark, sf_dir):
+    return lengths.histogram(lengths.document_lengths(table(spark, sf_dir, "documents")))
+
+
+def op5_curve_packing(spark, sf_dir):
+    return packing.pack(table(spark, sf_dir, "documents"))
+
+
+QUERIES["op3_length_histogram"] = op3_length_histogram
+QUERIES["op5_curve_packing"] = op5_curve_packing
