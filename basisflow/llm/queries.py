@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import lengths, packing, secrets, simhash
+from . import langid, lengths, packing, secrets, simhash
 from .common import table
 
 QUERIES = {}
@@ -57,3 +57,10 @@ def op5_curve_packing(spark, sf_dir):
 
 QUERIES["op3_length_histogram"] = op3_length_histogram
 QUERIES["op5_curve_packing"] = op5_curve_packing
+
+
+def op9_language_id(spark, sf_dir):
+    return langid.identify(table(spark, sf_dir, "documents"))
+
+
+QUERIES["op9_language_id"] = op9_language_id
