@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import langid, lengths, packing, secrets, simhash
+from . import langid, lengths, packing, secrets, simhash, warc
 from .common import table
 
 QUERIES = {}
@@ -64,3 +64,18 @@ def op9_language_id(spark, sf_dir):
 
 
 QUERIES["op9_language_id"] = op9_language_id
+
+
+def op2_warc_round_trip(spark, sf_dir):
+    return warc.round_trip(table(spark, sf_dir, "pages"))
+
+
+QUERIES["op2_warc_round_trip"] = op2_warc_round_trip
+ORACLE_SQL["op2_warc_round_trip"] = f"""
+WITH p AS (SELECT page_id, coalesce(html, '') AS h FROM pages),
+d AS (SELECT page_id, octet_length(encode(h)) AS payload_bytes, sha256(h) AS payload_digest FROM p),
+f AS (SELECT *, min(page_id) OVER (PARTITION BY payload_digest) AS first FROM d)
+SELECT page_id, payload_bytes, payload_digest,
+       CASE WHEN payload_bytes >= {warc.LEAST} AND page_id <> first THEN 'revisit' ELSE 'response' END AS record_type,
+       CASE WHEN payload_bytes >= {warc.LEAST} AND page_id <> first THEN first END AS refers_to
+FROM f"""
