@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import langid, lengths, packing, secrets, simhash, warc
+from . import langid, lengths, merkle, packing, secrets, simhash, warc
 from .common import table
 
 QUERIES = {}
@@ -79,3 +79,10 @@ SELECT page_id, payload_bytes, payload_digest,
        CASE WHEN payload_bytes >= {warc.LEAST} AND page_id <> first THEN 'revisit' ELSE 'response' END AS record_type,
        CASE WHEN payload_bytes >= {warc.LEAST} AND page_id <> first THEN first END AS refers_to
 FROM f"""
+
+
+def op6_merkle_fingerprints(spark, sf_dir):
+    return merkle.edited_neighbours(table(spark, sf_dir, "documents"))
+
+
+QUERIES["op6_merkle_fingerprints"] = op6_merkle_fingerprints
