@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import langid, lengths, merkle, packing, secrets, simhash, warc
+from . import decontam, langid, lengths, merkle, packing, secrets, simhash, warc
 from .common import table
 
 QUERIES = {}
@@ -86,3 +86,10 @@ def op6_merkle_fingerprints(spark, sf_dir):
 
 
 QUERIES["op6_merkle_fingerprints"] = op6_merkle_fingerprints
+
+
+def op4_benchmark_leaks(spark, sf_dir):
+    return decontam.leaks(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
+QUERIES["op4_benchmark_leaks"] = op4_benchmark_leaks
