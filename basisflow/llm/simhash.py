@@ -76,7 +76,8 @@ def links(fps: DataFrame, apart: int = BITS_APART) -> DataFrame:
     differ = F.col("l.fp").bitwiseXOR(F.col("r.fp"))
     low = _part(differ, 0)
     first = F.when(low == 0, 0).when(F.bit_count(low) == 1, F.bit_count(low - 1)).otherwise(SEGMENT)
-    found = left.alias("l").join(right.alias("r"), (F.col("l.variant") == F.col("r.variant")) & (F.col("l.fp") < F.col("r.fp")) & (F.bit_count(differ) <= apart) & (F.shiftright(F.col("l.variant"), 32) == first))
+    # the optimizer takes an explode to be as small as its input, so the join is told not to broadcast
+    found = left.alias("l").hint("merge").join(right.alias("r"), (F.col("l.variant") == F.col("r.variant")) & (F.col("l.fp") < F.col("r.fp")) & (F.bit_count(differ) <= apart) & (F.shiftright(F.col("l.variant"), 32) == first))
     return found.select(F.col("l.fp").alias("x"), F.col("r.fp").alias("y"))
 
 
