@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import decontam, langid, lengths, merkle, packing, secrets, simhash, warc
+from . import cotrain, decontam, langid, lengths, merkle, packing, secrets, simhash, warc
 from .common import table
 
 QUERIES = {}
@@ -93,3 +93,10 @@ def op4_benchmark_leaks(spark, sf_dir):
 
 
 QUERIES["op4_benchmark_leaks"] = op4_benchmark_leaks
+
+
+def op10_quality_cotraining(spark, sf_dir):
+    return cotrain.classify(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
+QUERIES["op10_quality_cotraining"] = op10_quality_cotraining
