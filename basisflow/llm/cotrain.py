@@ -23,6 +23,7 @@ import re
 import zlib
 from collections import Counter
 from dataclasses import dataclass
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -30,11 +31,13 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 #: Bounds of the samples used for fitting.
-LABELLED, POOL = 6000, 4000
+LABELLED, POOL = 4000, 3000
 #: Rounds of exchange, how sure a view must be, and the weight of a pseudo-label.
-ROUNDS, SURE, PSEUDO = 3, 0.97, 0.5
+ROUNDS, SURE, PSEUDO = 2, 0.97, 0.3
 #: Words that the text view may use, fewest labelled documents of one, and buckets of the metadata view.
-WORDS, LEAST_DOCS, BUCKETS = 8000, 4, 4096
+WORDS, LEAST_DOCS, BUCKETS = 6000, 4, 4096
+#: Lengths of word beginnings that count as features.
+PREFIXES = (4, 5, 6)
 #: One labelled row in so many is kept apart for calibration.
 APART = 4
 CACHE_PIECES = 1_000_000
@@ -47,14 +50,20 @@ def word(piece: str) -> str:
     return piece if piece.isalnum() else _EDGES.sub("", piece)
 
 
+def marks(piece: str) -> list[str]:
+    """Text features of one piece: its word and the word's beginnings."""
+    w = word(piece)
+    return [w, *(w[:n] + "-" for n in PREFIXES if len(w) > n)] if w else []
+
+
 def shape(text: str, pieces: list[str]) -> np.ndarray:
     """Dense features of the writing, about -1 to 1 each."""
     n, chars = len(pieces) + 1, len(text) + 1
     upper = sum(map(str.isupper, pieces)) / n
-    marks = [text.count(c) for c in "!|#*=<>{}"]
+    counts = [text.count(c) for c in "!|#*=<>{}%&$"]
     distinct = len(set(pieces)) / n
     lines = text.count("\n")
-    return np.array([upper, min(1, 20 * sum(marks[:1]) / chars), min(1, 20 * marks[1] / chars), min(1, 20 * sum(marks[2:]) / chars), distinct, min(1, chars / n / 20), min(1, 100 * lines / chars), min(1, np.log1p(n) / 10), float(n < 12)])
+    return np.array([upper, min(1, 20 * counts[0] / chars), min(1, 20 * counts[1] / chars), min(1, 20 * sum(counts[2:]) / chars), distinct, min(1, chars / n / 20), min(1, 100 * lines / chars), min(1, np.log1p(n) / 10), float(n < 12)])
 
 
 def metadata(source, lang, n_chars: int) -> list[int]:
@@ -86,12 +95,14 @@ def sigmoid(z):
     return 1 / (1 + np.exp(-np.clip(z, -30, 30)))
 
 
-def fit(x: Sparse, y: np.ndarray, weight: np.ndarray, penalty: float = 0.02, steps: int = 250) -> np.ndarray:
+def fit(x: Sparse, y: np.ndarray, weight: np.ndarray, penalty: float = 0.003, steps: int = 150) -> np.ndarray:
     """Logistic regression by accelerated gradient steps of per-column size; the last dense column is the constant."""
     total = max(weight.sum(), 1e-9)
     scale = np.concatenate([np.bincount(x.columns, weight[x.row_of], x.width), (x.dense**2 * weight[:, None]).sum(0)]) / total
     rate = 1 / (0.25 * scale * max(1.0, x.sizes.mean() ** 0.5 if len(x) else 1.0) + penalty + 0.02)
     w = v = np.zeros(x.width + x.dense.shape[1])
+    ridge = np.append(np.ones(len(w) - 1), 0.0)
+    ridge[x.width :] *= 0.1
     best, best_loss = w, np.inf
     for step in range(steps):
         z = x.times(v)
@@ -101,7 +112,7 @@ def fit(x: Sparse, y: np.ndarray, weight: np.ndarray, penalty: float = 0.02, ste
         elif loss > 2 * best_loss + 0.1:
             rate, v, w = rate / 2, best, best
             continue
-        fresh = v - rate * (x.gathered(weight * (sigmoid(z) - y)) / total + penalty * 0.05 * v)
+        fresh = v - rate * (x.gathered(weight * (sigmoid(z) - y)) / total + penalty * ridge * v)
         v, w = fresh + step / (step + 3) * 0.8 * (fresh - w), fresh
     return best
 
@@ -135,10 +146,8 @@ class Features:
             distinct = set(pieces)
             for p in distinct:
                 if p not in known:
-                    known[p] = self.words.get(word(p), -1)
-            columns = set(map(known.__getitem__, distinct))
-            columns.discard(-1)
-            lists.append(list(columns))
+                    known[p] = tuple(self.words[m] for m in marks(p) if m in self.words)
+            lists.append(list(set(chain.from_iterable(map(known.__getitem__, distinct)))))
             shapes.append(np.append(shape(text, pieces), 1.0))
             metas.append(metadata(source, lang, len(text)))
         ones = np.ones((len(lists), 1))
@@ -148,11 +157,11 @@ class Features:
 def chosen_words(texts, labels: np.ndarray) -> dict[str, int]:
     """Words whose presence tells most about some target, by the size of their log-likelihood ratio."""
     total, given = Counter(), [Counter() for _ in TARGETS]
-    for text, marks in zip(texts, labels, strict=True):
-        present = {word(p) for p in set((text or "").split())} - {""}
+    for text, given_marks in zip(texts, labels, strict=True):
+        present = {m for p in set((text or "").split()) for m in marks(p)}
         total.update(present)
         for t, counter in enumerate(given):
-            if marks[t] > 0.5:
+            if given_marks[t] > 0.5:
                 counter.update(present)
     names = [w for w, n in total.items() if n >= LEAST_DOCS]
     if not names:
@@ -169,17 +178,17 @@ def chosen_words(texts, labels: np.ndarray) -> dict[str, int]:
 
 def train(labelled: list[tuple], pool: list[tuple]) -> Model:
     """From rows (text, source, lang, quality, toxic) and rows (text, source, lang)."""
-    marks = np.array([[r[3], r[4]] for r in labelled], float).reshape(-1, 2)
-    words = chosen_words([r[0] for r in labelled], marks)
+    truth = np.array([[r[3], r[4]] for r in labelled], float).reshape(-1, 2)
+    words = chosen_words([r[0] for r in labelled], truth)
     features = Features(words)
     apart = np.arange(len(labelled)) % APART == 0
     rows = [[r[:3] for r, a in zip(labelled, apart, strict=True) if a == side] for side in (False, True)]
     (text, meta), (text_apart, meta_apart), (text_pool, meta_pool) = features(rows[0]), features(rows[1]), features(pool)
     views: list = []
     for t in range(len(TARGETS)):
-        y, y_apart = marks[~apart, t], marks[apart, t]
+        y, y_apart = truth[~apart, t], truth[apart, t]
         if min(y.sum(), len(y) - y.sum()) < 2 or min(y_apart.sum(), len(y_apart) - y_apart.sum()) < 1:
-            views.append(float(marks[:, t].mean()) if len(marks) else 0.5)
+            views.append(float(truth[:, t].mean()) if len(truth) else 0.5)
             continue
         views.append(_cotrain((text, meta), y, (text_apart, meta_apart), y_apart, (text_pool, meta_pool)))
     return Model(words, views)
