@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import cotrain, decontam, langid, lengths, merkle, packing, secrets, simhash, warc
+from . import cotrain, decontam, langid, lengths, merkle, packing, secrets, simhash, suffixes, warc
 from .common import table
 
 QUERIES = {}
@@ -100,3 +100,10 @@ def op10_quality_cotraining(spark, sf_dir):
 
 
 QUERIES["op10_quality_cotraining"] = op10_quality_cotraining
+
+
+def op7_suffix_dedup(spark, sf_dir):
+    return suffixes.removed(table(spark, sf_dir, "documents"))
+
+
+QUERIES["op7_suffix_dedup"] = op7_suffix_dedup
