@@ -20,3 +20,8 @@ def register(name: str, sql: str | None = None):
         return function
 
     return add
+
+
+def load() -> None:
+    """Imports the modules whose queries belong here."""
+    from basisflow.plans import baselines, counts, network, relational, schemes  # noqa: F401
