@@ -39,20 +39,21 @@ def ball(spark: SparkSession, m: int, n_bases: int, per_basis: int, mode: str =
 
     ``random`` draws ``per_basis`` positions with replacement, ``all`` takes each of the 2^m positions once.
     """
-    params = HammingParams(m)
+    count = 1 << m if mode == "all" else per_basis
+    step = max(1, (1 << 22) // (HammingParams(m).n_b * count))
 
     def run(batches):
         for batch in batches:
             ids = batch.column(0).to_numpy()
-            for at in range(0, len(ids), max(1, (1 << 22) // (params.n_b * per_basis))):
-                some = ids[at : at + max(1, (1 << 22) // (params.n_b * per_basis))]
+            for at in range(0, len(ids), step):
+                some = ids[at : at + step]
                 names = [f"{seed}:{i}" for i in some]
                 flips = []
                 for name in names:
                     if mode == "all":
                         flips.append(np.arange(1 << m))
                     else:
-                        drawn = _random_bytes(f"{name}:flips", 2 * per_basis).view("<u2").astype(np.int64)
+                        drawn = _random_bytes(f"{name}:flips", 2 * count).view("<u2").astype(np.int64)
                         flips.append(drawn % (1 << m))
                 chunks, rows = ball_chunks(names, flips, m)
                 place = np.concatenate([np.arange(len(f)) for f in flips])
