@@ -29,8 +29,9 @@ def document_lengths(docs: DataFrame, text: str = "text", path: str | None = Non
 
     def run(batches):
         encode = encoder(path)
+        width = int(encode.dtype[-1])
         for batch in batches:
-            sizes = [len(encode.packed(t.as_py())) // 4 for t in batch.column(0).cast(pa.binary())]
+            sizes = [len(ids) // width for ids in encode.packed(batch.column(0).cast(pa.binary()).to_pylist())]
             values, counts = np.unique(np.array(sizes, np.int64), return_counts=True)
             yield pa.RecordBatch.from_arrays([pa.array(values), pa.array(counts.astype(np.int64))], ["n_tokens", "n_docs"])
 

@@ -70,7 +70,7 @@ def token_vectors(size: int = 1 << 16) -> np.ndarray:
 
 def curve_key(ids: np.ndarray, table: np.ndarray) -> np.ndarray:
     """Quantised mean vector of one document."""
-    mean = table[ids & (len(table) - 1)].mean(axis=0) if len(ids) else np.zeros(DIMENSIONS, np.float32)
+    mean = np.add.reduce(table.take(ids & (len(table) - 1), axis=0), axis=0) / max(1, len(ids))
     spread = np.clip(mean * 2 + 0.5, 0, 1)  # means are small; most of the cube is used
     return np.minimum((spread * (1 << BITS)).astype(np.int64), (1 << BITS) - 1)
 
@@ -79,14 +79,16 @@ def encoded(docs: DataFrame, key: str = "doc_id", text: str = "text", path: str
     """(doc_id, curve, n_tokens, ids) with the closing id; ids are little-endian unsigned 16- or 32-bit."""
 
     def run(batches):
-        encode, table, closing = encoder(path), token_vectors(), np.array([CLOSING], "<u4").tobytes()
+        encode, table = encoder(path), token_vectors()
+        closing = np.array([CLOSING], encode.dtype).tobytes()
         for batch in batches:
             points, sizes, packed = [], [], []
-            for t in batch.column(1).cast(pa.binary()):
-                ids = np.frombuffer(encode.packed(t.as_py()) + closing, "<u4")
+            for own in encode.packed(batch.column(1).cast(pa.binary()).to_pylist()):
+                own += closing
+                ids = np.frombuffer(own, encode.dtype)
                 points.append(curve_key(ids, table))
                 sizes.append(len(ids))
-                packed.append((ids.astype("<u2") if ids.max() < 1 << 16 else ids).tobytes())
+                packed.append(own)
             if sizes:
                 yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(hilbert_index(np.array(points))), pa.array(sizes, pa.int64()), pa.array(packed, pa.binary())], ["doc_id", "curve", "n_tokens", "ids"])
 
@@ -138,7 +140,8 @@ def pack(docs: DataFrame, key: str = "doc_id", text: str = "text", path: str | N
     """One row per piece; ``with_ids`` adds the piece's ids as an array."""
     rows = written(encoded(docs, key, text, path).withColumn("row", F.monotonically_increasing_id()), "encoded")
     places = written(line_places(rows.select("row", "curve", "n_tokens")), "places")
-    placed = rows.select("row", "doc_id", "n_tokens", "ids").join(places, "row").select("doc_id", "n_tokens", "ids", "at", "total")
+    # places looks small to the optimizer, as it compresses well, but grows with the rows: no broadcast
+    placed = rows.select("row", "doc_id", "n_tokens", "ids").join(places.hint("merge"), "row").select("doc_id", "n_tokens", "ids", "at", "total")
 
     def run(batches):
         for batch in batches:

@@ -7,10 +7,16 @@ encoded once by the tokenizers library, and ids are put together again.
 
 from __future__ import annotations
 
-import numpy as np
-
-#: Pieces kept per Python worker; the cache starts anew when it is full.
-CACHE_PIECES = 400_000
+import struct
+import unicodedata
+from itertools import chain
+
+#: Pieces in one generation of a Python worker's cache, and pieces of text encoded together.
+CACHE_PIECES, GROUP_PIECES = 600_000, 100_000
+#: Marks between which and a letter the tokenizer always cuts.
+MARKS = b".,;:!?|"
+#: Last character for which letters and their lower case are settled in every version of Unicode.
+LATIN = "\u024f"
 DEFAULT = "word_bpe_49k.json"
 
 
@@ -20,34 +26,96 @@ def default_path() -> str:
     return public_tokenizers.path(DEFAULT)
 
 
+def _byte_letters() -> dict[int, int]:
+    """The public byte-level alphabet: printable Latin-1 stands for itself, other bytes follow from U+0100."""
+    printable = {*range(0x21, 0x7F), *range(0xA1, 0xAD), *range(0xAE, 0x100)}
+    rest = [b for b in range(256) if b not in printable]
+    return {b: b for b in printable} | {b: 0x100 + i for i, b in enumerate(rest)}
+
+
 class WordEncoder:
-    """Ids of texts as unsigned 32-bit arrays."""
+    """Ids of texts, through two generations of cached pieces: what the younger one lacks moves up from the older.
+
+    A-Z are lowered first, as the tokenizer does after composing characters; a piece that ends in
+    an ASCII letter and then marks is two: the tokenizer always cuts between letters and these marks.
+    """
 
     def __init__(self, path: str | None = None, cache: int = CACHE_PIECES):
         from tokenizers import Tokenizer
 
         self._tokenizer = Tokenizer.from_file(path or default_path())
         self._tokenizer.encode_special_tokens = True  # their strings in a text are ordinary text
-        self._known: dict[bytes, bytes] = {}
+        self.dtype = "<u2" if self._tokenizer.get_vocab_size() <= 1 << 16 else "<u4"
+        self._bytes = _byte_letters() if path is None or path.endswith(DEFAULT) else None
+        self._young: dict[bytes, bytes] = {}
+        self._old: dict[bytes, bytes] = {}
         self._most = cache
 
-    def packed(self, text: bytes | None) -> bytes:
-        """Little-endian unsigned 32-bit ids of a UTF-8 text."""
-        pieces = (text or b"").split()
-        known = self._known
-        fresh = list({p for p in pieces if p not in known})
-        if fresh:
-            if len(known) + len(fresh) > self._most:
-                known.clear()
-                fresh = list(set(pieces))
-            for at in range(0, len(fresh), 50_000):
-                part = fresh[at : at + 50_000]
-                encoded = self._tokenizer.encode_batch([p.decode() for p in part], add_special_tokens=False)
-                known.update((p, np.array(e.ids, "<u4").tobytes()) for p, e in zip(part, encoded, strict=True))
-        return b"".join(map(known.__getitem__, pieces))
-
-    def ids(self, text: bytes | None) -> np.ndarray:
-        return np.frombuffer(self.packed(text), "<u4")
+    def _learn(self, pieces: set[bytes]):
+        """Puts the pieces, of which the younger generation lacks some, into it."""
+        if len(self._young) + len(pieces) > self._most:
+            self._old, self._young = self._young, {}
+        old, young = self._old, self._young
+        fresh: dict[bytes, tuple[bytes, ...]] = {}
+        for piece in pieces:
+            if piece in young:
+                continue
+            if (packed := old.get(piece)) is not None:
+                young[piece] = packed
+                continue
+            stem = piece.rstrip(MARKS)
+            fresh[piece] = (stem, piece[len(stem) :]) if len(stem) != len(piece) and stem[-1:].isalpha() else (piece,)
+        parts = {p for ps in fresh.values() for p in ps}
+        known = {p: ids for p in parts if (ids := young.get(p) or old.get(p)) is not None}
+        pack = "H" if self.dtype == "<u2" else "I"
+        lacking, tokenize = [], self._tokenizer.model.tokenize
+        for p in parts - known.keys():
+            if (plain := self._plain(p)) is None:
+                lacking.append(p)
+            else:
+                ids = [t.id for t in tokenize(plain)]
+                known[p] = struct.pack(f"<{len(ids)}{pack}", *ids)
+        for at in range(0, len(lacking), 50_000):
+            some = lacking[at : at + 50_000]
+            encoded = self._tokenizer.encode_batch_fast([p.decode() for p in some], add_special_tokens=False)
+            known.update((p, struct.pack(f"<{len(ids)}{pack}", *ids)) for p, ids in zip(some, (e.ids for e in encoded), strict=True))
+        young.update((piece, known[ps[0]] if len(ps) == 1 else known[ps[0]] + known[ps[1]]) for piece, ps in fresh.items())
+        young.update(known)
+
+    def _plain(self, piece: bytes) -> str | None:
+        """A piece of Latin letters as the tokenizer's model gets it, or None: such pieces are one word, whatever stands around them."""
+        if piece.isalpha():  # of bytes: ASCII letters only
+            return piece.decode() if self._bytes else None
+        text = piece.decode()
+        if not self._bytes or not text.isalpha() or max(text) > LATIN or "\u0130" in text or unicodedata.normalize("NFC", text) != text:
+            return None
+        return text.lower().encode().decode("latin-1").translate(self._bytes)
+
+    def packed(self, texts: list[bytes | None]):
+        """Little-endian ids (of ``dtype``) of each UTF-8 text, some texts at a time."""
+        group: list[list[bytes]] = []
+        size = 0
+        for text in texts:
+            group.append((text or b"").lower().split())
+            size += len(group[-1])
+            if size >= GROUP_PIECES:
+                yield from self._group(group)
+                group, size = [], 0
+        yield from self._group(group)
+
+    def _group(self, group):
+        pieces = list(chain.from_iterable(group))
+        found = list(map(self._young.get, pieces))
+        gaps = [i for i, ids in enumerate(found) if ids is None]
+        if gaps:
+            self._learn({pieces[i] for i in gaps})
+            take = self._young.get
+            for i in gaps:
+                found[i] = take(pieces[i])
+        at = 0
+        for own in group:
+            yield b"".join(found[at : at + len(own)])
+            at += len(own)
 
 
 _ENCODERS: dict[str | None, WordEncoder] = {}
