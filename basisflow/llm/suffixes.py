@@ -38,7 +38,7 @@ CHOICES = LEAST - GRAM + 1
 #: Most bytes around one anchor.
 WIDTH = 2 * LEAST - GRAM
 #: Bytes of text handled at once, bytes of contexts held before they are sent, bytes of text per bucket.
-CHUNK, HELD, BUCKET = 1 << 21, 48 << 20, 3 << 20
+CHUNK, HELD, BUCKET = 1 << 20, 32 << 20, 2 << 20
 #: Most partitions of the exchange; buckets beyond it share partitions and are read one after the other.
 PARTITIONS = 10_000
 LAST_ID = (1 << 63) - 1
@@ -210,7 +210,7 @@ def merged(starts: np.ndarray, ends: np.ndarray):
 
 
 def _pack(*columns: np.ndarray) -> bytes:
-    return zstandard.ZstdCompressor(level=5).compress(b"".join([len(columns[0]).to_bytes(8, "little"), *(c.tobytes() for c in columns)]))
+    return zstandard.ZstdCompressor(level=6).compress(b"".join([len(columns[0]).to_bytes(8, "little"), *(c.tobytes() for c in columns)]))
 
 
 def _unpack(blob: bytes, kinds):
