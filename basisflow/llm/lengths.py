@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import written
+from .common import small_side, written
 from .tokens import encoder
 
 #: Lengths per block of the two-level suffix sums.
@@ -43,12 +43,11 @@ def histogram(lengths: DataFrame) -> DataFrame:
     counted = lengths.groupBy("n_tokens").agg(F.sum("n_docs").alias("n_docs"))
     counted = written(counted.withColumn("block", F.floor(F.col("n_tokens") / SPAN)).withColumn("tokens", F.col("n_tokens") * F.col("n_docs")), "lengths")
     blocks = counted.groupBy("block").agg(F.sum("n_docs").alias("d"), F.sum("tokens").alias("t"))
-    # the blocks are as many as the longest document has thousands of tokens; pairs (block, later block) come from an explode, not a join
-    top = blocks.agg(F.max("block")).first()[0] or 0
-    later = blocks.select(F.explode(F.sequence(F.lit(0), F.lit(int(top)))).alias("block"), F.col("block").alias("of"), "d", "t").where(F.col("of") > F.col("block"))
-    after = later.groupBy("block").agg(F.sum("d").alias("d_after"), F.sum("t").alias("t_after"))
+    # one row for each thousand of lengths that occurs, so one task sums them all
+    above = Window.orderBy(F.desc("block")).rowsBetween(Window.unboundedPreceding, -1)
+    after = small_side(written(blocks.select("block", F.sum("d").over(above).alias("d_after"), F.sum("t").over(above).alias("t_after")), "length-blocks"))
     within = Window.partitionBy("block").orderBy(F.desc("n_tokens")).rowsBetween(Window.unboundedPreceding, 0)
-    summed = counted.join(F.broadcast(after) if top < 100_000 else after, "block", "left")
+    summed = counted.join(after, "block", "left")
     docs_ge = F.sum("n_docs").over(within) + F.coalesce("d_after", F.lit(0))
     tokens_ge = F.sum("tokens").over(within) + F.coalesce("t_after", F.lit(0))
     out = summed.select("n_tokens", "n_docs", docs_ge.alias("docs_ge"), tokens_ge.alias("tokens_ge"))
