@@ -76,3 +76,33 @@ def codec_totals(payloads: DataFrame, codecs: list[str], n_bs: list[int]) -> Dat
 
     parts = payloads.select("payload").mapInArrow(run, "codec string, n_b long, chunks long, bytes long")
     return parts.groupBy("codec", "n_b").agg(F.sum("chunks").alias("chunks"), (F.sum("chunks") * F.col("n_b")).alias("original_bytes"), F.sum("bytes").alias("total_bytes"))
+
+
+def stream_totals(payloads: DataFrame, level: int = 6) -> DataFrame:
+    """(source_id, original_bytes, total_bytes): each source's packets, in order, through one DEFLATE stream.
+
+    Sources are sorted within partitions and read as a stream; a packet is flushed before the next, as it has to be sent.
+    """
+    from pyspark.sql import functions as F
+
+    def run(batches):
+        current, packer, sizes = None, None, [0, 0]
+
+        def row():
+            return pa.RecordBatch.from_arrays([pa.array([current]), pa.array([sizes[0]], pa.int64()), pa.array([sizes[1]], pa.int64())], ["source_id", "original_bytes", "total_bytes"])
+
+        for batch in batches:
+            for source, data in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
+                if packer is None or source != current:
+                    if packer is not None:
+                        yield row()
+                    current, packer, sizes = source, zlib.compressobj(level, zlib.DEFLATED, -15), [0, 0]
+                data = data.as_py() or b""
+                sizes[0] += len(data)
+                sizes[1] += len(packer.compress(data)) + len(packer.flush(zlib.Z_SYNC_FLUSH))
+        if packer is not None:
+            yield row()
+
+    keyed = payloads.select(F.col("source_id").cast("string").alias("source_id"), "payload", "packet_id")
+    ordered = keyed.repartition("source_id").sortWithinPartitions("source_id", "packet_id").select("source_id", "payload")
+    return ordered.mapInArrow(run, "source_id string, original_bytes long, total_bytes long")
