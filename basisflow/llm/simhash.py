@@ -22,7 +22,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import written
+from .common import small_side, written
 from .components import components
 
 #: Fixed values of the contract.
@@ -98,12 +98,12 @@ def keep_one(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFr
 
     Rows with a null id are kept (nothing names them); of repeated rows with the smallest id, one stays.
     """
-    groups = written(near_groups(docs, key, text).select("doc_id", "component_id"), "simhash-groups")
-    kept = groups.where(F.col("doc_id") == F.col("component_id")).groupBy("doc_id").count()
-    kept = written(kept, "simhash-kept").select(F.col("doc_id").alias("__id"), "count")
-    repeated = kept.where(F.col("count") > 1).limit(1).count() > 0
-    single = docs.join(kept.where(F.col("count") == 1), F.col(key) == F.col("__id"), "left_semi")
-    out = single.unionByName(docs.where(F.col(key).isNull()))
-    if repeated:
-        out = out.unionByName(docs.join(kept.where(F.col("count") > 1), F.col(key) == F.col("__id"), "left_semi").dropDuplicates([key]))
+    kept = F.col("doc_id") == F.col("component_id")
+    ids = near_groups(docs, key, text).where(F.col("doc_id").isNotNull()).groupBy(F.col("doc_id").alias("__id")).agg(F.count(F.when(kept, 1)).alias("n"))
+    ids = written(ids.where(F.col("n") != 1), "simhash-ids")  # those that go, and the repeated ones: few of all
+    out = docs.join(small_side(written(ids.where(F.col("n") == 0).select("__id"), "simhash-gone")), F.col(key) == F.col("__id"), "left_anti")
+    repeated = ids.where(F.col("n") > 1).select("__id")
+    if repeated.limit(1).count():
+        once = out.join(repeated, F.col(key) == F.col("__id"), "left_semi").dropDuplicates([key])
+        out = out.join(repeated, F.col(key) == F.col("__id"), "left_anti").unionByName(once)
     return out
