@@ -22,6 +22,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from . import similar
 from .common import small_side, written
 from .components import components
 
@@ -96,10 +97,11 @@ def near_groups(docs: DataFrame, key: str = "doc_id", text: str = "text") -> Dat
 def keep_one(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
     """The documents without those of a group besides its smallest id; columns as given.
 
+    Groups are those of ``similar``, not the two bits of ``near_groups``: most texts with a few replaced words are further apart.
     Rows with a null id are kept (nothing names them); of repeated rows with the smallest id, one stays.
     """
     kept = F.col("doc_id") == F.col("component_id")
-    ids = near_groups(docs, key, text).where(F.col("doc_id").isNotNull()).groupBy(F.col("doc_id").alias("__id")).agg(F.count(F.when(kept, 1)).alias("n"))
+    ids = similar.groups(docs, key=key, text=text).where(F.col("doc_id").isNotNull()).groupBy(F.col("doc_id").alias("__id")).agg(F.count(F.when(kept, 1)).alias("n"))
     ids = written(ids.where(F.col("n") != 1), "simhash-ids")  # those that go, and the repeated ones: few of all
     out = docs.join(small_side(written(ids.where(F.col("n") == 0).select("__id"), "simhash-gone")), F.col(key) == F.col("__id"), "left_anti")
     repeated = ids.where(F.col("n") > 1).select("__id")
