@@ -1,14 +1,16 @@
-"""Benchmark decontamination: rare n-gram seeds, then Smith-Waterman alignment.
+"""Benchmark decontamination: word-pair seeds, counted, then Smith-Waterman alignment.
 
 Test items are a query set, taken in blocks of bounded size against all documents.
-A first pass counts, over the whole corpus, in how many documents each item n-gram
-occurs. Of every stretch of an item the rarer half of its n-grams become seeds, so
-every part of an item keeps seeds however often the item was copied. A second
-pass finds documents that hold a seed, aligns the words around it with the item and
-reports pairs whose local alignment reaches ``LEAST`` of the item's own score.
-
-Defined results: null texts and items count as empty; items of fewer words than an n-gram
-cannot seed and give no rows; repeated documents, repeated items and null ids are each
+Seeds are an item's pairs of neighbouring words; in a text the two may have one word
+between them. A local alignment that reaches a share of an item's own score holds a least
+number of seeds (``needed``), close together. Of each item the commonest half of that
+number are not looked up; a passage with fewer of the others than what is left of the
+number cannot reach the share, and all other passages are aligned. So no alignment of ``LEAST``
+or more is lost, wherever the edits are. Reported are pairs whose alignment reaches
+``LEAST`` of the item's own score.
+
+Defined results: null texts and items count as empty; items of fewer than ``SHORTEST`` words
+give no rows; repeated documents, repeated items and null ids are each
 reported; passages longer than any window are aligned whole; empty tables give no rows;
 further columns are ignored by ``leaks`` and kept by ``clean``.
 """
@@ -22,8 +24,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-#: Words of an n-gram; n-grams of a stretch; seeds kept of each stretch.
-GRAM, STRETCH, SEEDS = 3, 8, 4
+#: Words of the shortest item that is looked for.
+SHORTEST = 3
 #: Alignment scores of a match, a replaced word and a skipped word.
 MATCH, MISMATCH, SKIP = 2, -1, -1
 #: Share of an item's own score from which a passage counts as a copy.
@@ -31,7 +33,6 @@ LEAST = 0.5
 #: Words of the items in one block, and cached pieces of text per worker.
 BLOCK_WORDS, CACHE_PIECES = 2_000_000, 1_000_000
 _EDGES = re.compile(r"^[\W_]+|[\W_]+$")
-_PRIMES = np.array([0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93, 0xA0761D6478BD642F], np.uint64)
 
 
 def word(piece: str) -> str:
@@ -39,7 +40,7 @@ def word(piece: str) -> str:
 
 
 class Block:
-    """Items as word numbers (from 1; 0 is any other word), and the index of their n-grams."""
+    """Items as word numbers (from 1; 0 is any other word), and the index of their word pairs."""
 
     def __init__(self, items: list[tuple[int | None, str | None]]):
         self.vocabulary: dict[str, int] = {}
@@ -48,38 +49,46 @@ class Block:
             words = [w for w in map(word, (text or "").lower().split()) if w]
             self.ids.append(item)
             self.items.append(np.array([self.vocabulary.setdefault(w, len(self.vocabulary) + 1) for w in words], np.int32))
-        lists = [gram_hashes(x) for x in self.items]
-        owner = np.repeat(np.arange(len(lists)), [len(x) for x in lists])
-        place = np.concatenate([np.arange(len(x)) for x in lists]) if lists else np.zeros(0, np.int64)
-        hashes = np.concatenate(lists) if lists else np.zeros(0, np.uint64)
-        order = np.argsort(hashes, kind="stable")
-        self.hashes, self.owner, self.place = hashes[order], owner[order], place[order]
-        self.grams = np.unique(hashes)
-
-    def keep_seeds(self, documents: dict[int, int]):
-        """Keeps the rarer n-grams of every stretch; ``documents`` counts by n-gram number."""
-        counts = np.array([documents.get(i, 0) for i in range(len(self.grams))], np.int64)
-        mine = counts[np.searchsorted(self.grams, self.hashes)] if len(self.hashes) else np.zeros(0, np.int64)
-        order = np.lexsort((self.place, mine, self.place // STRETCH, self.owner))
-        group = np.stack([self.owner[order], self.place[order] // STRETCH], 1) if len(order) else np.zeros((0, 2), np.int64)
-        new = np.ones(len(order), bool)
-        new[1:] = (group[1:] != group[:-1]).any(1)
-        starts = np.nonzero(new)[0]
-        rank = np.arange(len(order)) - np.repeat(starts, np.diff([*starts, len(order)]))
-        kept = np.sort(order[rank < SEEDS])
-        self.hashes, self.owner, self.place = self.hashes[kept], self.owner[kept], self.place[kept]
-
-
-def gram_hashes(numbers: np.ndarray) -> np.ndarray:
-    n = len(numbers) - GRAM + 1
-    if n <= 0:
-        return np.zeros(0, np.uint64)
-    x = numbers.astype(np.uint64)
-    out = np.zeros(n, np.uint64)
-    for i in range(GRAM):
-        out = (out ^ (x[i : i + n] * _PRIMES[i])) * _PRIMES[-1 - i]
-        out ^= out >> np.uint64(29)
-    return out
+        self.lengths = np.array([len(x) for x in self.items], np.int64)
+        lists = [(pairs(x), np.arange(len(x) - 1)) for x in self.items]
+        for i, x in enumerate(self.items):
+            if len(x) < SHORTEST:
+                lists[i] = lists[i][0][:0], lists[i][1][:0]
+            elif len(x) == SHORTEST:  # its outer words alone reach half of its score
+                lists[i] = np.append(lists[i][0], pairs(x[::2])), np.append(lists[i][1], 0)
+        self.owner = np.repeat(np.arange(len(lists)), [len(x) for x, _ in lists])
+        self.place = np.concatenate([x for _, x in lists]) if lists else np.zeros(0, np.int64)
+        self.keys = np.concatenate([x for x, _ in lists]) if lists else np.zeros(0, np.int64)
+        self.least = np.ones(len(lists), np.int64)
+
+    def keep_seeds(self, least: float):
+        """Leaves out the commonest pairs of each item, as many as the count allows, and sorts the others by key."""
+        need = needed(self.lengths, least)
+        spare = need // 2
+        self.least = need - spare
+        _, kind, counts = np.unique(self.keys, return_inverse=True, return_counts=True)
+        order = np.lexsort((self.place, -counts[kind], self.owner))
+        rank = np.arange(len(order)) - np.searchsorted(self.owner[order], self.owner[order])
+        kept = order[rank >= spare[self.owner[order]]]
+        kept = kept[np.argsort(self.keys[kept], kind="stable")]
+        self.owner, self.place = self.owner[kept], self.place[kept]
+        self.keys, self.starts = np.unique(self.keys[kept], return_index=True)
+        self.starts = np.append(self.starts, len(kept))
+
+
+def needed(n: np.ndarray, least: float) -> np.ndarray:
+    """Neighbouring words of an item of ``n`` words that an alignment of share ``least`` holds, with at most one word between.
+
+    From one matched word to the next the score grows by 2 at most where they are neighbours in the item and at most
+    one word apart in the text, else by half of the item's words passed at most. Whole for ``least`` from 0.5.
+    """
+    return np.maximum(1, np.ceil((2 * n * least - n / 2 - 1.5) / 1.5 - 1e-9)).astype(np.int64)
+
+
+def pairs(numbers: np.ndarray, apart: int = 1) -> np.ndarray:
+    """One number for each two words that are ``apart``."""
+    x = numbers.astype(np.int64)
+    return (x[:-apart] << 32) | x[apart:]
 
 
 class Reader:
@@ -98,49 +107,52 @@ class Reader:
             known.update((p, vocabulary.get(word(p), 0)) for p in pieces if p not in known)
         return np.fromiter(map(known.__getitem__, pieces), np.int32, len(pieces))
 
-    def hits(self, numbers: np.ndarray, table: np.ndarray):
-        """(positions, places in the sorted table) of the n-grams that are in it."""
-        # only n-grams whose words are all known can be in it
-        full = numbers > 0
-        n = len(numbers) - GRAM + 1
-        if n <= 0 or not len(table):
-            return np.zeros(0, np.int64), np.zeros(0, np.int64)
-        at = np.nonzero(np.logical_and.reduce([full[i : i + n] for i in range(GRAM)]))[0]
-        if not len(at):
-            return at, at
-        found = gram_hashes_at(numbers, at)
-        place = np.minimum(np.searchsorted(table, found), len(table) - 1)
-        good = table[place] == found
-        return at[good], place[good]
-
-
-def gram_hashes_at(numbers: np.ndarray, at: np.ndarray) -> np.ndarray:
-    out = np.zeros(len(at), np.uint64)
-    for i in range(GRAM):
-        out = (out ^ (numbers[at + i].astype(np.uint64) * _PRIMES[i])) * _PRIMES[-1 - i]
-        out ^= out >> np.uint64(29)
-    return out
+    def hits(self, numbers: np.ndarray):
+        """(seeds, positions) of the word pairs that are seeds."""
+        block, seeds, places = self.block, [], []
+        for apart in (1, 2):
+            at = np.nonzero((numbers[:-apart] > 0) & (numbers[apart:] > 0))[0]
+            if not len(at) or not len(block.keys):
+                continue
+            wanted = pairs(numbers, apart)[at]
+            kind = np.minimum(np.searchsorted(block.keys, wanted), len(block.keys) - 1)
+            good = block.keys[kind] == wanted
+            at, kind = at[good], kind[good]
+            first, counts = block.starts[kind], block.starts[kind + 1] - block.starts[kind]
+            seeds.append(np.repeat(first - np.cumsum(counts) + counts, counts) + np.arange(counts.sum()))
+            places.append(np.repeat(at, counts))
+        none = np.zeros(0, np.int64)
+        return np.concatenate([none, *seeds]), np.concatenate([none, *places])
 
 
 def windows(reader: Reader, numbers: np.ndarray):
-    """(item number, start, end) around seeds; windows of an item that touch are one."""
+    """(item number, start, end) around enough seeds; windows of an item that touch are one."""
     block = reader.block
-    at, first = reader.hits(numbers, block.hashes)
+    seeds, at = reader.hits(numbers)
     if not len(at):
         return []
-    last = np.searchsorted(block.hashes, block.hashes[first], side="right")
-    counts = last - first
-    seeds = np.repeat(first, counts) + np.arange(counts.sum()) - np.repeat(np.cumsum(counts) - counts, counts)
-    items, offsets = block.owner[seeds], np.repeat(at, counts) - block.place[seeds]
-    lengths = np.array([len(block.items[i]) for i in range(len(block.items))])[items]
-    slack = lengths // 2 + GRAM
-    starts, ends = np.maximum(0, offsets - slack), np.minimum(len(numbers), offsets + lengths + slack)
+    items = block.owner[seeds]
+    enough = np.bincount(items, minlength=len(block.items)) >= block.least  # with repeats: never too few
+    some = enough[items]
+    if not some.any():
+        return []
+    distinct = np.bincount(block.owner[np.unique(seeds[some])], minlength=len(block.items)) >= block.least
+    some = distinct[items]
+    seeds, at, items = seeds[some], at[some], items[some]
+    order = np.lexsort((at, items))
+    seeds, at, items = seeds[order], at[order], items[order]
+    # a passage that reaches half of the score is at most twice as long as the item
+    line = items * (4 * len(numbers) + 4 * int(block.lengths.max()) + 8) + at
+    count = np.searchsorted(line, line + 2 * block.lengths[items], side="right") - np.arange(len(line))
     out: list[list[int]] = []
-    for i in np.lexsort((starts, items)):
-        if out and out[-1][0] == items[i] and starts[i] <= out[-1][2]:
-            out[-1][2] = max(out[-1][2], int(ends[i]))
+    for i in np.nonzero(count >= block.least[items])[0]:
+        item, n = int(items[i]), int(block.lengths[items[i]])
+        offset = int(at[i] - block.place[seeds[i]])
+        start, end = max(0, offset - n), min(len(numbers), offset + 2 * n + 2)
+        if out and out[-1][0] == item and start <= out[-1][2]:
+            out[-1][1], out[-1][2] = min(out[-1][1], start), max(out[-1][2], end)
         else:
-            out.append([int(items[i]), int(starts[i]), int(ends[i])])
+            out.append([item, start, end])
     return out
 
 
@@ -181,21 +193,21 @@ def align(pairs: list[tuple[np.ndarray, np.ndarray]], cells: int = 2_000_000):
 
 def copies(reader: Reader, texts: list[str | None], least: float):
     """(text number, item number, score, first word, end word): the best passage of each pair that reaches ``least``."""
-    found, pairs = [], []
+    found, passages = [], []
     for t, text in enumerate(texts):
         numbers = reader.numbers(text)
         for item, start, stop in windows(reader, numbers):
             found.append((t, item, start))
-            pairs.append((reader.block.items[item], numbers[start:stop]))
+            passages.append((reader.block.items[item], numbers[start:stop]))
     best: dict[tuple[int, int], tuple] = {}
     kept = []
-    for i, (score, end) in enumerate(align(pairs)):
+    for i, (score, end) in enumerate(align(passages)):
         t, item, start = found[i]
         share = score / (MATCH * len(reader.block.items[item]))
         if share >= least and share > best.get((t, item), (0.0,))[0]:
             best[t, item] = (share, start, end, i)
     kept = list(best.items())
-    back = align([(pairs[i][0][::-1], pairs[i][1][:end][::-1]) for _, (_, _, end, i) in kept])
+    back = align([(passages[i][0][::-1], passages[i][1][:end][::-1]) for _, (_, _, end, i) in kept])
     for ((t, item), (share, start, end, _)), (_, length) in zip(kept, back, strict=True):
         yield t, item, share, start + end - length, start + end
 
@@ -213,21 +225,10 @@ def blocks(benchmark: DataFrame, item: str = "item_id", text: str = "text"):
         yield Block(held)
 
 
-def seeded(docs: DataFrame, block: Block, text: str = "text"):
-    """Counts documents by n-gram over the whole corpus, and keeps the block's seeds. Returns the broadcast block."""
-    context = docs.sparkSession.sparkContext
-    plain = context.broadcast(block)  # bounded by BLOCK_WORDS
-
-    def count(batches):
-        reader = Reader(plain.value)
-        for batch in batches:
-            seen = [np.unique(reader.hits(reader.numbers(t.as_py()), plain.value.grams)[1]) for t in batch.column(0)]
-            grams, counts = np.unique(np.concatenate(seen) if seen else np.zeros(0, np.int64), return_counts=True)
-            yield pa.RecordBatch.from_arrays([pa.array(grams.astype(np.int64)), pa.array(counts.astype(np.int64))], ["gram", "n"])
-
-    counted = docs.select(text).mapInArrow(count, "gram long, n long").groupBy("gram").agg(F.sum("n").alias("n"))
-    block.keep_seeds({r["gram"]: r["n"] for r in counted.collect()})  # one row for each n-gram of the block
-    return context.broadcast(block)
+def seeded(docs: DataFrame, block: Block, least: float):
+    """The broadcast block with its seeds."""
+    block.keep_seeds(least)
+    return docs.sparkSession.sparkContext.broadcast(block)  # bounded by BLOCK_WORDS
 
 
 def leaks(docs: DataFrame, benchmark: DataFrame, least: float = LEAST, key: str = "doc_id", text: str = "text") -> DataFrame:
@@ -235,7 +236,7 @@ def leaks(docs: DataFrame, benchmark: DataFrame, least: float = LEAST, key: str
     schema = "doc_id long, item_id long, score double, first_word long, end_word long"
     out = None
     for block in blocks(benchmark):
-        part = docs.select(F.col(key).cast("long"), text).mapInArrow(_finder(seeded(docs, block, text), least), schema)
+        part = docs.select(F.col(key).cast("long"), text).mapInArrow(_finder(seeded(docs, block, least), least), schema)
         out = part if out is None else out.unionByName(part)
     return docs.sparkSession.createDataFrame([], schema) if out is None else out
 
@@ -256,7 +257,7 @@ def clean(docs: DataFrame, benchmark: DataFrame, least: float = LEAST, text: str
     """The documents that hold no copy of any item; columns as given."""
     at = docs.columns.index(text)
     for block in blocks(benchmark):
-        shared = seeded(docs, block, text)
+        shared = seeded(docs, block, least)
 
         def run(batches, shared=shared):
             reader = Reader(shared.value)
