@@ -23,7 +23,7 @@ from itertools import chain
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 UNKNOWN = "und"
@@ -129,19 +129,20 @@ def training_rows(docs: DataFrame, per_lang: int = TRAIN_DOCS) -> list:
     counted = {r["lang"]: r["count"] for r in usable.groupBy("lang").count().collect()}
     if not counted:
         return []
-    # id hashes are uniform: a cut at twice the share wanted leaves few rows, in one pass, to be trimmed here
-    wanted = F.lit(False)
-    for lang, count in counted.items():
-        cut = int(-(1 << 63) + min(1.0, 2 * per_lang / count + 0.001) * ((1 << 64) - 1))
-        wanted = wanted | ((F.col("lang") == lang) & (order <= F.lit(min(cut, (1 << 63) - 1))))
-    near = usable.where(wanted).select("lang", "text", order.alias("o")).orderBy("o", "lang", "text").limit(4 * per_lang * len(counted)).collect()
-    taken: Counter = Counter()
-    rows = []
-    for row in near:
-        taken[row["lang"]] += 1
-        if taken[row["lang"]] <= per_lang:
-            rows.append((row["lang"], row["text"]))
-    return rows
+    # id hashes are near uniform: a cut at twice the share wanted leaves few rows, of which the first of each language are taken
+    rows, share = [], {lang: (2 * per_lang + 50) / count for lang, count in counted.items()}
+    while share:
+        wanted = F.lit(False)
+        for lang, part in share.items():
+            cut = int(-(1 << 63) + min(1.0, part) * ((1 << 64) - 1))
+            wanted = wanted | ((F.col("lang") == lang) & (order <= F.lit(min(cut, (1 << 63) - 1))))
+        rank = F.row_number().over(Window.partitionBy("lang").orderBy("o", "text"))
+        near = usable.where(wanted).select("lang", "text", order.alias("o")).withColumn("rank", rank).where(F.col("rank") <= per_lang).collect()
+        found = Counter(r["lang"] for r in near)
+        short = {lang for lang, part in share.items() if found[lang] < per_lang and part < 1}  # ids repeated so often that the cut left too few
+        rows += [r for r in near if r["lang"] not in short]
+        share = {lang: 4 * share[lang] for lang in short}
+    return [(r["lang"], r["text"]) for r in sorted(rows, key=lambda r: (r["o"], r["lang"]))]
 
 
 class Labeller:

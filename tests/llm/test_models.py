@@ -110,3 +110,12 @@ def test_pipeline_stages_keep_awkward_columns(spark):
         out = stage(docs)
         assert out.columns == docs.columns
         assert stage(empty(spark)).count() == 0
+
+
+def test_a_rare_language_keeps_its_training_rows(spark):
+    docs = spark.range(40_000).selectExpr("id AS doc_id", "concat('text ', id) AS text", "if(id % 4000 = 1, 'rare', 'common') AS lang")
+    usable = [r for r in docs.collect() if zlib.crc32(str(r.doc_id).encode()) % 4 != 2]
+    taken = [x for x, _ in langid.training_rows(docs, 2)]
+    assert sum(r.lang == "rare" for r in usable) >= 2 and sorted(taken) == ["common"] * 2 + ["rare"] * 2
+    same = spark.range(3000).selectExpr("(SELECT min(x) FROM VALUES (5L), (6L), (8L), (9L) AS v(x) WHERE crc32(cast(cast(x AS string) AS binary)) % 4 <> 2) AS doc_id", "concat('text ', id) AS text", "'en' AS lang")
+    assert len(langid.training_rows(same, 5)) == 5
