@@ -1,13 +1,16 @@
 """Language identification with spans for mixed-language text.
 
 A model has, for every language, smoothed log-frequencies of whole words and of
-character n-grams within words, and the scripts its letters come from. Of a text,
-each word's scripts narrow the languages that may have written it; each word is
-scored in those; Viterbi with a penalty for each change of language labels the
-words, and runs of equal labels are the spans. The text's language is the one whose
-spans hold most letters.
-
-Defined results: null texts and texts without a letter get ``und`` with score 0;
+character n-grams within words, and the scripts its letters come from. Words end at white
+space and where letters of another script begin; scripts written without spaces are cut
+into single characters or short stretches. Of a text, each word's scripts narrow the
+languages that may have written it; each word is scored in those; Viterbi with a penalty
+for each change of language labels the words, and runs of equal labels are the spans. The
+text's language is the one whose spans hold most letters.
+
+Defined results: null texts and texts without a letter get ``und`` with score 0; of
+languages with equal letters the one with the better word scores wins, then the first by
+name; of paths with equal scores a word stays with its predecessor's language;
 repeated rows and null ids are labelled one by one; texts are read whole; an empty
 table gives no rows; training without labelled rows gives ``und`` for all; further
 columns are ignored by ``label`` and kept by ``accepted``.
@@ -17,6 +20,7 @@ from __future__ import annotations
 
 import bisect
 import math
+import re
 from collections import Counter
 from dataclasses import dataclass, field
 from itertools import chain
@@ -32,12 +36,15 @@ SCRIPT_STARTS = (0x0000, 0x0370, 0x0400, 0x0530, 0x0590, 0x0600, 0x0700, 0x0900,
 SCRIPT_NAMES = ("latin", "greek", "cyrillic", "armenian", "hebrew", "arabic", "other", "devanagari", "other", "thai", "other", "georgian", "hangul", "other", "latin", "greek", "other", "kana", "other", "han", "hangul", "other", "han", "latin", "other")
 #: Most labelled documents learned from, for each language.
 TRAIN_DOCS = 800
+#: Scripts written without spaces, and the characters of one word of theirs.
+UNSPACED = {"han": 1, "kana": 2, "thai": 4}
 #: Length of n-grams, and the log-probability cost of a change of language.
 GRAM, SWITCH = 3, 8.0
 #: Share of a script's letters that a language must have had in training to be a candidate.
 SCRIPT_SHARE = 0.01
 #: Word scores kept per Python worker.
 CACHE_WORDS = 1_000_000
+_BEYOND_LATIN = re.compile(r"[^\x00-\u024f]")
 
 
 def script(char: str) -> str:
@@ -48,6 +55,47 @@ def letters(piece: str) -> str:
     return piece if piece.isalpha() else "".join(filter(str.isalpha, piece))
 
 
+def cut(piece: str) -> list[str]:
+    """A piece between spaces as words; what is not a letter stays with the word before it."""
+    out, current, size, began = [], None, 0, 0
+    for i, char in enumerate(piece):
+        if not char.isalpha():
+            continue
+        own = script(char)
+        if current is not None and (own != current or size >= UNSPACED.get(own, len(piece))):
+            out.append(piece[began:i])
+            began, size = i, 0
+        current, size = own, size + 1
+    return [*out, piece[began:]]
+
+
+class Words:
+    """The words of texts; how a piece is cut is remembered."""
+
+    def __init__(self):
+        self._cuts: dict[str, tuple[str, ...]] = {}
+
+    def __call__(self, text: str | None) -> list[str]:
+        text = (text or "").lower()
+        pieces = text.split()
+        if text.isascii() or not _BEYOND_LATIN.search(text):
+            return pieces
+        if len(self._cuts) > CACHE_WORDS:
+            self._cuts.clear()
+        out = []
+        for piece in pieces:
+            if piece.isascii():
+                out.append(piece)
+                continue
+            words = self._cuts.get(piece)
+            if words is None:
+                words = tuple(cut(piece))
+                if len(piece) <= 64:
+                    self._cuts[piece] = words
+            out += words
+        return out
+
+
 def grams(word: str) -> list[str]:
     padded = f" {word} "
     return [padded[i : i + GRAM] for i in range(len(padded) - GRAM + 1)]
@@ -90,8 +138,9 @@ class Model:
 def train(texts) -> Model:
     """From pairs (language, text)."""
     words: dict[str, Counter] = {}
+    pieces = Words()
     for lang, text in texts:
-        words.setdefault(lang, Counter()).update(filter(None, map(letters, (text or "").lower().split())))
+        words.setdefault(lang, Counter()).update(filter(None, map(letters, pieces(text))))
     langs = sorted(words)
     totals: dict[str, dict[str, np.ndarray]] = {"grams": {}, "words": {}, "scripts": {}}
     for at, lang in enumerate(langs):
@@ -132,12 +181,9 @@ def training_rows(docs: DataFrame, per_lang: int = TRAIN_DOCS) -> list:
     # id hashes are near uniform: a cut at twice the share wanted leaves few rows, of which the first of each language are taken
     rows, share = [], {lang: (2 * per_lang + 50) / count for lang, count in counted.items()}
     while share:
-        wanted = F.lit(False)
-        for lang, part in share.items():
-            cut = int(-(1 << 63) + min(1.0, part) * ((1 << 64) - 1))
-            wanted = wanted | ((F.col("lang") == lang) & (order <= F.lit(min(cut, (1 << 63) - 1))))
+        cuts = docs.sparkSession.createDataFrame([(lang, min(int(-(1 << 63) + min(1.0, part) * ((1 << 64) - 1)), (1 << 63) - 1)) for lang, part in share.items()], "lang string, cut long")
         rank = F.row_number().over(Window.partitionBy("lang").orderBy("o", "text"))
-        near = usable.where(wanted).select("lang", "text", order.alias("o")).withColumn("rank", rank).where(F.col("rank") <= per_lang).collect()
+        near = usable.join(F.broadcast(cuts), "lang").where(order <= F.col("cut")).select("lang", "text", order.alias("o")).withColumn("rank", rank).where(F.col("rank") <= per_lang).collect()
         found = Counter(r["lang"] for r in near)
         short = {lang for lang, part in share.items() if found[lang] < per_lang and part < 1}  # ids repeated so often that the cut left too few
         rows += [r for r in near if r["lang"] not in short]
@@ -151,6 +197,7 @@ class Labeller:
     def __init__(self, model: Model, switch: float = SWITCH):
         self.model, self.switch = model, switch
         self._index: dict[str, int] = {}
+        self.words = Words()
         self._scores = np.zeros((1 << 12, max(1, len(model.langs))), np.float32)
         self._letters = np.zeros(1 << 12, np.int32)
 
@@ -167,7 +214,7 @@ class Labeller:
         self._index.update(zip(pieces, range(at, at + len(pieces)), strict=True))
 
     def indices(self, text: str | None) -> np.ndarray:
-        pieces, index = (text or "").lower().split(), self._index
+        pieces, index = self.words(text), self._index
         fresh = list({p for p in pieces if p not in index})
         for at in range(0, len(fresh), 100_000):
             self._learn(fresh[at : at + 100_000])
@@ -205,29 +252,35 @@ class Labeller:
         if not lists:
             return
         k, longest = len(self.model.langs), len(lists[0][1])
+        if not k:
+            for i, ix in lists:
+                out[i] = np.zeros(len(ix), np.int32), self._letters[ix], np.zeros(0)
+            return
         sizes = np.array([len(ix) for _, ix in lists])
         live = np.searchsorted(-sizes, -np.arange(longest), side="left")  # texts that still have a word there
         padded = np.zeros((longest, len(lists)), np.int32)
         for column, (_, ix) in enumerate(lists):
             padded[: len(ix), column] = ix
         best = np.zeros((len(lists), k), np.float32)
-        came = np.zeros((longest, len(lists), k), np.int8)
-        own = np.arange(k, dtype=np.int8)
+        # where each state came from: itself where its bit is set, else the best state before
+        stayed = np.zeros((longest, len(lists), -(-k // 8)), np.uint8)
+        tops = np.zeros((longest, len(lists)), np.int32)
         for t in range(longest):
             n = live[t]
             part = best[:n]
             top = part.argmax(1)
             jump = part[np.arange(n), top] - self.switch
             stay = part >= jump[:, None]
-            came[t, :n] = np.where(stay, own, top[:, None])
+            stayed[t, :n], tops[t, :n] = np.packbits(stay, axis=1), top
             best[:n] = np.where(stay, part, jump[:, None]) + self._scores[padded[t, :n]]
         state = best.argmax(1) if k else np.zeros(len(lists), np.int64)
-        labels = np.zeros((longest, len(lists)), np.int8)
+        labels = np.zeros((longest, len(lists)), np.int32)
         rows = np.arange(len(lists))
-        for t in range(longest - 1, -1, -1):
+        for t in range(longest - 1, -1, -1) if k else ():
             n = live[t]
-            labels[t, :n] = state[:n]
-            state[:n] = came[t, rows[:n], state[:n]]
+            now = labels[t, :n] = state[:n]
+            held = stayed[t, rows[:n], now >> 3] >> (7 - (now & 7)) & 1
+            state[:n] = np.where(held, now, tops[t, :n])
         for column, (i, ix) in enumerate(lists):
             weights = self._letters[ix]
             sums = (np.maximum(self._scores[ix], -20) * (weights[:, None] > 0)).sum(0) if len(ix) else np.zeros(k)
@@ -246,7 +299,7 @@ class Labeller:
 
 
 def spans(labeller: Labeller, text: str | None):
-    """(language, first word, words) of every run of equal labels."""
+    """(language, first word, words) of every run of equal labels; words are those of ``Words``."""
     labels, _, _ = labeller.decode([text])[0]
     cuts = [0, *(np.nonzero(np.diff(labels))[0] + 1).tolist(), len(labels)]
     return [(labeller.model.langs[labels[a]], a, b - a) for a, b in zip(cuts, cuts[1:], strict=False) if b > a]

@@ -37,6 +37,41 @@ def test_spans_of_mixed_text():
     assert not model.candidates("дом")[model.langs.index("en")]
 
 
+def test_spans_of_text_without_spaces():
+    model = langid.train([("en", "the house and the garden with the tree in the morning light of that day " * 9), ("zh", "我们在花园里看见一棵树和早晨的光 " * 9), ("ja", "わたしたちはにわできとあさのひかりをみました " * 9), ("th", "เราเห็นต้นไม้ในสวนและแสงยามเช้า " * 9)])
+    found = langid.spans(langid.Labeller(model), "我们在花园里看见thegardenwiththetreeinthemorning" + "わたしたちはにわで" + "เราเห็นต้นไม้ในสวน")
+    assert [lang for lang, _, _ in found] == ["zh", "en", "ja", "th"]
+    assert langid.cut("дом,house") == ["дом,", "house"] and langid.cut("漢字2,x") == ["漢", "字2,", "x"] and langid.cut("123") == ["123"]
+
+
+def test_viterbi_equals_enumeration_of_all_paths():
+    from itertools import product
+
+    rnd = np.random.default_rng(3)
+    for n_langs in (1, 2, 3):
+        model = langid.train([(f"l{k}", " ".join("".join(rnd.choice(list("abcde"), 4)) for _ in range(30))) for k in range(n_langs)])
+        labeller = langid.Labeller(model, switch=1.5)
+        texts = [" ".join("".join(rnd.choice(list("abcde"), rnd.integers(1, 5))) for _ in range(rnd.integers(1, 7))) for _ in range(40)]
+        for text, (labels, _, _) in zip(texts, labeller.decode(texts), strict=True):
+            scores = model.score(text.split())
+            value = lambda path: sum(scores[i, x] for i, x in enumerate(path)) - 1.5 * sum(a != b for a, b in zip(path, path[1:]))  # noqa: B023, E731
+            best = max(map(value, product(range(n_langs), repeat=len(scores))))
+            assert abs(value(tuple(labels)) - best) < 1e-3
+
+
+def test_hundreds_of_languages():
+    rnd = np.random.default_rng(1)
+    vocabularies = [["".join(rnd.choice(list("abcdefghijklmnop"), 6)) for _ in range(30)] for _ in range(300)]
+    labeller = langid.Labeller(langid.train([(f"l{i:03d}", " ".join(v * 3)) for i, v in enumerate(vocabularies)]))
+    got = [x for x, _ in labeller.languages([" ".join(v[:12]) for v in vocabularies])]
+    assert got == [f"l{i:03d}" for i in range(300)]
+
+
+def test_no_labelled_rows_gives_und(spark):
+    docs = spark.createDataFrame([(1, "some words here", None, "s", 1)], "doc_id long, text string, lang string, source string, n_chars long")
+    assert [(r.lang_pred, r.score) for r in langid.identify(docs).collect()] == [("und", 0.0)]
+
+
 def test_languages_awkward(spark):
     got = [(r.doc_id, r.lang_pred, r.score) for r in langid.identify(awkward(spark)).collect()]
     assert len(got) == 12
