@@ -38,13 +38,14 @@ class WordEncoder:
 
     A-Z are lowered first, as the tokenizer does after composing characters; a piece that ends in
     an ASCII letter and then marks is two: the tokenizer always cuts between letters and these marks.
+    Strings of added tokens count as the tokenizer has it, in their own case only: pieces that may hold one go to it as they are.
     """
 
     def __init__(self, path: str | None = None, cache: int = CACHE_PIECES):
         from tokenizers import Tokenizer
 
         self._tokenizer = Tokenizer.from_file(path or default_path())
-        self._tokenizer.encode_special_tokens = True  # their strings in a text are ordinary text
+        self._special = [t.content.encode() for t in self._tokenizer.get_added_tokens_decoder().values()]
         self.dtype = "<u2" if self._tokenizer.get_vocab_size() <= 1 << 16 else "<u4"
         self._bytes = _byte_letters() if path is None or path.endswith(DEFAULT) else None
         self._young: dict[bytes, bytes] = {}
@@ -96,13 +97,20 @@ class WordEncoder:
         group: list[list[bytes]] = []
         size = 0
         for text in texts:
-            group.append((text or b"").lower().split())
+            group.append(self._pieces(text or b""))
             size += len(group[-1])
             if size >= GROUP_PIECES:
                 yield from self._group(group)
                 group, size = [], 0
         yield from self._group(group)
 
+    def _pieces(self, text: bytes) -> list[bytes]:
+        low = text.lower()
+        some = [t for t in map(bytes.lower, self._special) if t in low]
+        if not some:
+            return low.split()
+        return [p if any(t in p.lower() for t in some) else p.lower() for p in text.split()]
+
     def _group(self, group):
         pieces = list(chain.from_iterable(group))
         found = list(map(self._young.get, pieces))

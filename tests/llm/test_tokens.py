@@ -16,11 +16,10 @@ from helpers import awkward, empty
 @pytest.fixture(scope="module")
 def reference():
     t = Tokenizer.from_file(public_tokenizers.path("word_bpe_49k.json"))
-    t.encode_special_tokens = True
     return lambda texts: [e.ids for e in t.encode_batch([x or "" for x in texts], add_special_tokens=False)]
 
 
-ODD = ["Σίσυφος ΣΑΣ. ΣΑΣ", "İstanbul, Ǆ é! É. don't I'LL, we'RE 'S.,x |a| ... a...b x!!y 12.5, <|endoftext|>. ﬁ KK ÅÅ", "", "  ", "a\x0bb\x0cc\x1cd e f", "é, É. ß? ẞ! 漢字。漢字 a.b.c, 'tis", "́x x́, Å"]
+ODD = ["Σίσυφος ΣΑΣ. ΣΑΣ", "İstanbul, Ǆ é! É. don't I'LL, we'RE 'S.,x |a| ... a...b x!!y 12.5, <|endoftext|>. ﬁ KK ÅÅ", "hello <|endoftext|> world, X<|startoftext|>Yz.<|endoftext|>, <|EndOfText|> <|endoftext| |endoftext|>", "<|startoftext|>", "", "  ", "a\x0bb\x0cc\x1cd e f", "é, É. ß? ẞ! 漢字。漢字 a.b.c, 'tis", "́x x́, Å"]
 
 
 @pytest.mark.parametrize("cache", [600_000, 50])
@@ -61,9 +60,19 @@ def test_packing(spark, small, reference):
 
 def test_packing_awkward(spark, reference):
     check_packing(awkward(spark), reference)
+    check_packing(spark.createDataFrame(list(enumerate(ODD)), "doc_id long, text string"), reference)
     assert packing.pack(empty(spark)).count() == 0
 
 
+def test_neighbours_on_the_curve_share_words(spark, small):
+    """Documents that follow each other on the line are more alike than documents at random."""
+    docs = {r.doc_id: set((r.text or "").lower().split()) for r in table(spark, "/root/testdata/sf0.01", "documents").collect()}
+    order = [r.doc_id for r in packing.pack(table(spark, "/root/testdata/sf0.01", "documents")).where("start = 0").orderBy("sequence_id", "offset").collect()]
+    share = lambda pairs: np.mean([len(docs[a] & docs[b]) / max(1, len(docs[a] | docs[b])) for a, b in pairs])
+    mixed = np.random.default_rng(0).permutation(order).tolist()
+    assert share(zip(order, order[1:])) > 1.5 * share(zip(mixed, mixed[1:]))
+
+
 def test_sequences_hold_the_pieces(spark, small):
     pieces = packing.pack(table(spark, small, "documents"), with_ids=True)
     out = packing.sequences(pieces).collect()
@@ -84,7 +93,7 @@ def test_rest_is_cut_into_powers_of_two():
 
 
 def test_histogram(spark, small, reference):
-    for docs in (table(spark, small, "documents"), awkward(spark)):
+    for docs in (table(spark, small, "documents"), awkward(spark), spark.createDataFrame(list(enumerate(ODD)), "doc_id long, text string")):
         n = np.array([len(i) for i in reference([r.text for r in docs.select("text").collect()])])
         hist = lengths.histogram(lengths.document_lengths(docs))
         rows = hist.collect()
