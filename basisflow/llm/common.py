@@ -14,6 +14,11 @@ from pyspark.sql import functions as F
 BROADCAST_ROWS = 500_000
 
 
+def fresh(name: str) -> str:
+    """A column name that no input has."""
+    return f"{name}_{uuid.uuid4().hex}"
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
@@ -21,11 +26,13 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 def shared_dir(spark: SparkSession) -> str:
     """The folder that the driver and all executors see, from the session.
 
-    Where ``spark.checkpoint.dir`` is unset (tests, one machine), a temporary
-    folder is set.
+    Where ``spark.checkpoint.dir`` is unset, a temporary folder is set on one machine;
+    a cluster must name its folder.
     """
     folder = spark.conf.get("spark.checkpoint.dir", None) or _context_dir(spark)
     if folder is None:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
         folder = tempfile.mkdtemp(prefix="basisflow-")
         atexit.register(shutil.rmtree, folder, ignore_errors=True)
         spark.sparkContext.setCheckpointDir(folder)

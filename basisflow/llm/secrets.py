@@ -18,10 +18,10 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from . import trigrams
-from .common import small_side, written
+from .common import fresh, small_side, written
 
-#: Steps summed in one piece by the two-level running sum.
-BLOCK = 256
+#: Steps put together in one piece by the two-level running sum, and characters of one block of a text that is cut up.
+BLOCK, STRETCH = 256, 4096
 
 
 @dataclass(frozen=True)
@@ -89,13 +89,13 @@ def _let(value: Column, body) -> Column:
     return F.element_at(F.transform(F.array(value), body), 1)
 
 
-def _running(steps: Column) -> Column:
-    """Inclusive running sums, in blocks, so that long lists stay cheap."""
-    add = lambda acc, x: acc + x
+def _running(steps: Column, put=lambda acc, x: acc + x) -> Column:
+    """Inclusive running sums (or maxima) of non-negative numbers, in blocks, so that long lists stay cheap."""
     blocks = F.transform(F.sequence(F.lit(0), F.ceil(F.size(steps) / BLOCK).cast("int") - 1), lambda b: F.slice(steps, b * BLOCK + 1, F.lit(BLOCK)))
-    before = lambda sums: F.transform(sums, lambda _, i: F.aggregate(F.slice(sums, F.lit(1), i), F.lit(0), add))
-    within = lambda block, first: F.transform(block, lambda _, i: first + F.aggregate(F.slice(block, F.lit(1), i + 1), F.lit(0), add))
-    return _let(blocks, lambda bs: F.flatten(F.zip_with(bs, _let(F.transform(bs, lambda block: F.aggregate(block, F.lit(0), add)), before), within)))
+    whole = lambda part: F.aggregate(part, F.lit(0).cast("long"), lambda acc, x: put(acc, x.cast("long")))
+    before = lambda sums: F.transform(sums, lambda _, i: whole(F.slice(sums, F.lit(1), i)))
+    within = lambda block, first: F.transform(block, lambda _, i: put(first, whole(F.slice(block, F.lit(1), i + 1))))
+    return _let(blocks, lambda bs: F.flatten(F.zip_with(bs, _let(F.transform(bs, whole), before), within)))
 
 
 def rule_matches(text: Column, rule: Rule) -> Column:
@@ -109,23 +109,24 @@ def rule_matches(text: Column, rule: Rule) -> Column:
 def rule_spans(matches: Column, rule: Rule, order: int) -> Column:
     """Matches that are long enough, as structs (start, rank, kind, end) in code points."""
     steps = F.zip_with(F.slice(matches["gaps"], F.lit(1), F.size(matches["n"])), F.slice(F.concat(F.array(F.lit(0)), matches["n"]), F.lit(1), F.size(matches["n"])), lambda gap, last: gap + last)
-    ends = F.zip_with(_let(steps, _running), matches["n"], lambda start, n: F.struct(start.alias("start"), (start + n).alias("end")))
+    ends = F.zip_with(_let(steps, lambda s: _running(s)), matches["n"], lambda start, n: F.struct(start.alias("start"), (start + n).alias("end")))
     spans = F.zip_with(ends, matches["checked"], lambda x, n: F.struct(x["start"].cast("long").alias("start"), F.lit(order).alias("rank"), F.lit(rule.kind).alias("kind"), x["end"].cast("long").alias("end"), (n >= rule.least).alias("ok")))
     return F.when(matches.isNotNull(), F.transform(F.filter(spans, lambda s: s["ok"]), lambda s: s.dropFields("ok")))
 
 
 def with_spans(docs: DataFrame, rules=RULES, key: str = "doc_id", text: str = "text", out: str = "secret_spans") -> DataFrame:
     """Adds the sorted array of spans to every row."""
+    name, kinds, whole = fresh("key"), fresh("kinds"), fresh("text")
     found = small_side(written(candidates(postings(docs, rules, key, text), rules), "secret-candidates"))
-    found = found.select(F.col("key").alias("__key"), F.col("kinds").alias("__kinds"))
-    joined = docs.withColumn("__text", F.coalesce(F.col(text), F.lit(""))).join(found, F.col(key).eqNullSafe(F.col("__key")), "left")
+    found = found.select(F.col("key").alias(name), F.col("kinds").alias(kinds))
+    joined = docs.withColumn(whole, F.coalesce(F.col(text), F.lit(""))).join(found, F.col(key).eqNullSafe(F.col(name)), "left")
     found = {}
-    for order, rule in enumerate(rules):
-        matches = rule_matches(F.col("__text"), rule)
-        found[f"__m{order}"] = matches if rule.query is True else F.when(F.array_contains("__kinds", rule.kind), matches)
-    lists = [rule_spans(F.col(f"__m{order}"), rule, order) for order, rule in enumerate(rules)]
+    for rule in rules:
+        matches = rule_matches(F.col(whole), rule)
+        found[fresh(rule.kind)] = matches if rule.query is True else F.when(F.array_contains(kinds, rule.kind), matches)
+    lists = [rule_spans(F.col(column), rule, order) for order, (column, rule) in enumerate(zip(found, rules, strict=True))]
     spans = F.array_sort(F.flatten(F.array_compact(F.array(*lists))))
-    return joined.withColumns(found).withColumn(out, spans).drop("__key", "__kinds", "__text", *found)
+    return joined.withColumns(found).withColumn(out, spans).drop(name, kinds, whole, *found)
 
 
 def _of_rank(rank: int):
@@ -144,16 +145,32 @@ def scan(docs: DataFrame, rules=RULES, key: str = "doc_id", text: str = "text")
     return found.select(key, *counts, F.sha2(joined_spans(base), 256).alias("base_sha256"), joined_spans(F.col("secret_spans")).alias("spans"))
 
 
+def between(blocks: Column, start: Column, end: Column) -> Column:
+    """The characters from ``start`` to ``end`` of a text that is given as blocks of ``STRETCH`` characters."""
+    first, last = F.floor(start / STRETCH).cast("int"), F.floor(end / STRETCH).cast("int")
+    at, stop = (start % STRETCH).cast("int"), (end % STRETCH).cast("int")
+    block = lambda i: F.coalesce(F.get(blocks, i), F.lit(""))
+    within = F.substr(block(first), at + 1, stop - at)
+    across = F.concat(F.substr(block(first), at + 1), F.array_join(F.slice(blocks, first + 2, last - first - 1), ""), F.substr(block(last), F.lit(1), stop))
+    return F.when(start >= end, "").when(first == last, within).otherwise(across)
+
+
 def redact(docs: DataFrame, rules=RULES, key: str = "doc_id", text: str = "text", mark: str = "[SECRET]") -> DataFrame:
-    """Replaces every span by ``mark``; overlapping spans become one. Other columns stay."""
-    found = with_spans(docs, rules, key, text, "__spans")
-    whole = F.coalesce(F.col(text), F.lit(""))
-    start = F.struct(F.lit(0).cast("long").alias("at"), F.lit("").alias("out"))
-
-    def step(acc, s):
-        fresh = F.struct(s["end"].alias("at"), F.concat(acc["out"], F.substr(whole, (acc["at"] + 1).cast("int"), (s["start"] - acc["at"]).cast("int")), F.lit(mark)).alias("out"))
-        more = F.struct(F.greatest(s["end"], acc["at"]).alias("at"), acc["out"].alias("out"))
-        return F.when(s["start"] >= acc["at"], fresh).otherwise(more)
-
-    clean = F.aggregate("__spans", start, step, lambda acc: F.concat(acc["out"], F.substr(whole, (acc["at"] + 1).cast("int"))))
-    return found.withColumn(text, F.when(F.size("__spans") > 0, clean).otherwise(F.col(text))).drop("__spans")
+    """Replaces every span by ``mark``; overlapping spans become one. Other columns stay.
+
+    In time proportional to the text and to the spans: texts are cut into blocks once,
+    and what lies before each span is put together from them.
+    """
+    name = fresh("spans")
+    found = with_spans(docs, rules, key, text, name)
+    spans, size = F.col(name), F.char_length(text).cast("long")
+    starts, ends = F.transform(spans, lambda s: s["start"]), F.transform(spans, lambda s: s["end"])
+    reached = lambda tops: F.concat(F.array(F.lit(0).cast("long")), tops)
+
+    def pieces(blocks: Column, tops: Column) -> Column:
+        parts = F.zip_with(starts, F.slice(tops, F.lit(1), F.size(starts)), lambda start, top: F.when(start >= top, F.concat(between(blocks, top, start), F.lit(mark))).otherwise(""))
+        return F.concat(F.array_join(parts, ""), between(blocks, F.element_at(tops, -1), size))
+
+    blocks = F.regexp_extract_all(F.col(text), F.lit(f"(?s).{{1,{STRETCH}}}"), F.lit(0))
+    clean = _let(blocks, lambda b: _let(reached(_running(ends, F.greatest)), lambda tops: pieces(b, tops)))
+    return found.withColumn(text, F.when(F.size(spans) > 0, clean).otherwise(F.col(text))).drop(name)

@@ -23,7 +23,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from . import similar
-from .common import small_side, written
+from .common import fresh, small_side, written
 from .components import components
 
 #: Fixed values of the contract.

@@ -1,5 +1,6 @@
 import hashlib
 import re
+import time
 
 import pytest
 from hypothesis import given, settings
@@ -46,6 +47,39 @@ def test_redaction_merges_overlaps_and_keeps_the_rest(spark):
     assert out == {1: ("a [SECRET] b", "x"), 2: ("clean", "y"), 3: (None, "z")}
 
 
+def redacted(text):
+    """Plain version: spans of all rules, merged where they overlap."""
+    found = sorted({(m.start(), m.end()) for rule in secrets.RULES for m in re.finditer(rule.pattern, text, re.ASCII) if len(m[rule.group]) >= rule.least})
+    out, at = [], 0
+    for a, b in found:
+        if a >= at:
+            out += [text[at:a], "[SECRET]"]
+        at = max(at, b)
+    return "".join(out) + text[at:]
+
+
+def test_redaction_equals_plain_python(spark, small):
+    edge = "z" * (secrets.STRETCH - 10)
+    texts = [edge + "password=abcdefgh0123", edge + "z" * 10 + "0123456789abcdef" * 600 + " end", "é😀" * 3000 + " token: abcdefghijkl " + "漢" * 5000, "f" * 64, "a" * secrets.STRETCH * 2, ""]
+    docs = table(spark, small, "documents").select("doc_id", "text").union(spark.createDataFrame([(-1 - i, t) for i, t in enumerate(texts)], "doc_id long, text string"))
+    got = {r.doc_id: r.text for r in secrets.redact(docs).collect()}
+    assert got == {r.doc_id: redacted(r.text) for r in docs.collect()}
+
+
+def test_redaction_of_very_many_spans_is_linear(spark):
+    text = " ".join("%032x" % i for i in range(32_000))
+    began = time.time()
+    out = secrets.redact(spark.createDataFrame([(1, text)], "doc_id long, text string")).first().text
+    assert out == " ".join(["[SECRET]"] * 32_000) and time.time() - began < 30
+
+
+def test_redaction_keeps_columns_of_any_name(spark):
+    names = "__key", "__kinds", "__text", "__spans", "key", "kinds", "spans", "secret_spans", "present"
+    docs = spark.createDataFrame([(1, "a token = abcdefgh12345678", *names)], "doc_id long, text string, " + ", ".join(f"{n} string" for n in names))
+    out = secrets.redact(docs)
+    assert out.columns == docs.columns and out.collect() == [(1, "a [SECRET]", *names)]
+
+
 def test_plan_has_no_python(spark, small):
     plan = secrets.scan(table(spark, small, "documents"))._jdf.queryExecution().executedPlan().toString()
     assert not re.search("Python|Pandas|Arrow", plan)
