@@ -4,6 +4,7 @@ import hashlib
 import random
 
 import numpy as np
+import pyarrow as pa
 import pytest
 
 from basisflow.llm import components, decontam, merkle, simhash, suffixes
@@ -71,19 +72,66 @@ def test_decontamination_awkward(spark):
 
 # --- Merkle fingerprints
 
+def merkle_root(written):
+    """Root of a written tree, by the documented rule alone."""
+    import xxhash
+
+    def above(children, width):
+        return xxhash.xxh3_128_intdigest(b"".join(h.to_bytes(width, "little") + n.to_bytes(8, "little") for h, n in children), 20), sum(n for _, n in children)
+
+    return "%032x" % above([above([above(pieces, 8) for pieces in section], 16) for section in written], 16)[0]
+
+
+def plain_likeness(a, b):
+    """Characters under equal branches, from the written trees: sections, then paragraphs, then pieces."""
+    if a == b:
+        return 1.0
+    total, shared = sum(n for t in (a, b) for s in t for p in s for _, n in p), 0
+    if not a or not b:
+        return 0.0
+    left, right = [tuple(map(tuple, s)) for s in a], [tuple(map(tuple, s)) for s in b]
+    for level in range(3):
+        size = (lambda x: sum(n for p in x for _, n in p)) if level == 0 else (lambda x: sum(n for _, n in x)) if level == 1 else (lambda x: x[1])
+        for node in list(left):
+            if node in right:
+                left.remove(node)
+                right.remove(node)
+                shared += size(node)
+        if level < 2:
+            left, right = [x for node in left for x in node], [x for node in right for x in node]
+    return 2 * shared / total
+
+
 def check_merkle(docs):
-    rows = sorted(((r.doc_id, r.text or "") for r in docs.select("doc_id", "text").collect()), key=lambda r: (r[0] is None, -(r[0] or 0), r[1]))
+    import xxhash
+
+    signed = lambda h: h - (1 << 64) if h >> 63 else h
+    rows = sorted(((r.doc_id, r.text or "") for r in docs.select("doc_id", "text").collect()), key=lambda r: (r[0] is None, -(r[0] or 0), signed(xxhash.xxh64_intdigest(r[1].encode(), 42)), r[1]))
     want = []
     for i, (doc, text) in enumerate(rows):
         following = rows[(i + 1) % len(rows)][1]
         half = len(text) // 2
         changed = text[: len(text) - half] + following[:half]
-        own, other = merkle.Tree(text), merkle.Tree(changed)
-        want.append((str(doc), len(text), hashlib.sha256(changed.encode()).hexdigest(), own.fingerprint(), other.fingerprint(), merkle.likeness(own, other), merkle.likeness(own, merkle.Tree(following))))
-    got = [(str(r.doc_id), *r[1:]) for r in merkle.edited_neighbours(docs).collect()]
+        trees = [merkle.tree(x) for x in (text, changed, following)]
+        want.append((str(doc), len(text), hashlib.sha256(changed.encode()).hexdigest(), merkle_root(trees[0]), merkle_root(trees[1]), plain_likeness(*trees[:2]), plain_likeness(trees[0], trees[2])))
+    got = [(str(r.doc_id), r.n_chars, r.edited_sha256, r.fingerprint[:32], r.edited_fingerprint[:32], r.near_edited, r.near_next) for r in merkle.edited_neighbours(docs).collect()]
     assert sorted(got) == sorted(want)
 
 
+def test_roots_follow_from_what_is_written(spark):
+    for r in merkle.fingerprints(awkward(spark)).collect():
+        assert merkle_root(merkle.parsed(r.fingerprint)) == r.fingerprint[:32] == merkle.Tree(merkle.parsed(r.fingerprint)).root
+
+
+def test_one_id_with_a_third_of_the_rows_is_split(spark):
+    rows = [(7 if i % 3 == 0 else None if i % 7 == 0 else i, f"text {i} " * 20) for i in range(600)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    check_merkle(docs)
+    stretches = merkle.Stretches(docs.selectExpr("doc_id", "xxhash64(text) hash", "text"), 8)
+    found = stretches(*(pa.array(c, pa.int64()) for c in zip(*((r.doc_id, r.h) for r in docs.selectExpr("doc_id", "xxhash64(text) h").collect()), strict=True)))
+    assert np.unique(found, return_counts=True)[1].max() <= 60
+
+
 def test_merkle_on_the_tables(spark, small):
     check_merkle(table(spark, small, "documents"))
 
