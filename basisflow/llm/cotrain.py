@@ -2,12 +2,14 @@
 
 Two targets are learned: whether a document is of quality, and whether it is toxic.
 For each, a logistic regression sees only the text (chosen words and shape of the
-writing), another only what a page's record says (source, language, length). Over
-some rounds each labels the documents of an unlabelled pool that it is sure of
-for the other. Labelled rows kept apart then calibrate both views and weigh them
-against each other, and the combined score is given to every document.
-
-Fitting uses bounded samples (``LABELLED``, ``POOL`` rows with the smallest id hashes);
+writing), another only what a page's record says (source, language, length). In every
+round each view hands to the other the documents of an unlabelled pool that it is surest
+of, so many of each class as the labels have of it, with its calibrated probability as
+the label; the pool is filled up from round to round. Labelled rows kept apart calibrate
+both views and weigh them against each other, and the combined score is given to every document.
+
+Fitting uses bounded samples (``LABELLED`` rows, every combination of labels well represented and
+weighted by its share, and a pool of ``POOL`` rows, those with the smallest id hashes);
 scoring reads all documents whole.
 
 Defined results: null texts count as empty and other null columns as a value of their own;
@@ -19,6 +21,7 @@ are ignored.
 
 from __future__ import annotations
 
+import math
 import re
 import zlib
 from collections import Counter
@@ -27,20 +30,22 @@ from itertools import chain
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 #: Bounds of the samples used for fitting.
-LABELLED, POOL = 4000, 3000
-#: Rounds of exchange, how sure a view must be, and the weight of a pseudo-label.
-ROUNDS, SURE, PSEUDO = 2, 0.97, 0.3
+LABELLED, POOL = 6000, 4000
+#: Rounds of exchange, share of the pool that a view hands over in each, and the weight of a pseudo-label.
+ROUNDS, GROW, PSEUDO = 3, 0.1, 0.3
+#: Gradient steps of a first fit and of one that goes on from it.
+STEPS, MORE_STEPS = 250, 80
 #: Words that the text view may use, fewest labelled documents of one, and buckets of the metadata view.
-WORDS, LEAST_DOCS, BUCKETS = 6000, 4, 4096
+WORDS, LEAST_DOCS, BUCKETS = 8000, 4, 4096
 #: Lengths of word beginnings that count as features.
 PREFIXES = (4, 5, 6)
 #: One labelled row in so many is kept apart for calibration.
 APART = 4
-CACHE_PIECES = 1_000_000
+CACHE_PIECES = 300_000
 TARGETS = ("quality", "toxic")
 _EDGES = re.compile(r"^[\W_]+|[\W_]+$")
 
@@ -69,7 +74,7 @@ def shape(text: str, pieces: list[str]) -> np.ndarray:
 def metadata(source, lang, n_chars: int) -> list[int]:
     """Hashed features of a page's record."""
     size = (n_chars + 1).bit_length()
-    return [zlib.crc32(x.encode()) % BUCKETS for x in (f"s:{source}", f"l:{lang}", f"n:{size}", f"sl:{source}:{lang}", f"ln:{lang}:{size}")]
+    return [zlib.crc32(x.encode()) % BUCKETS for x in (f"s:{source}", f"l:{lang}", f"n:{size}", f"m:{int(4 * math.log2(n_chars + 1))}", f"sl:{source}:{lang}", f"ln:{lang}:{size}", f"sn:{source}:{size}")]
 
 
 class Sparse:
@@ -95,18 +100,18 @@ def sigmoid(z):
     return 1 / (1 + np.exp(-np.clip(z, -30, 30)))
 
 
-def fit(x: Sparse, y: np.ndarray, weight: np.ndarray, penalty: float = 0.003, steps: int = 150) -> np.ndarray:
-    """Logistic regression by accelerated gradient steps of per-column size; the last dense column is the constant."""
+def fit(x: Sparse, y: np.ndarray, weight: np.ndarray, start: np.ndarray | None = None, penalty: float = 0.003) -> np.ndarray:
+    """Logistic regression on labels from 0 to 1 by accelerated gradient steps of per-column size; the last dense column is the constant."""
     total = max(weight.sum(), 1e-9)
     scale = np.concatenate([np.bincount(x.columns, weight[x.row_of], x.width), (x.dense**2 * weight[:, None]).sum(0)]) / total
     rate = 1 / (0.25 * scale * max(1.0, x.sizes.mean() ** 0.5 if len(x) else 1.0) + penalty + 0.02)
-    w = v = np.zeros(x.width + x.dense.shape[1])
+    w = v = np.zeros(x.width + x.dense.shape[1]) if start is None else start
     ridge = np.append(np.ones(len(w) - 1), 0.0)
     ridge[x.width :] *= 0.1
     best, best_loss = w, np.inf
-    for step in range(steps):
+    for step in range(STEPS if start is None else MORE_STEPS):
         z = x.times(v)
-        loss = (weight * np.logaddexp(0, np.where(y > 0.5, -z, z))).sum() / total
+        loss = (weight * (np.logaddexp(0, z) - y * z)).sum() / total
         if loss < best_loss:
             best, best_loss = v, loss
         elif loss > 2 * best_loss + 0.1:
@@ -117,10 +122,23 @@ def fit(x: Sparse, y: np.ndarray, weight: np.ndarray, penalty: float = 0.003, st
     return best
 
 
+def calibrated(z: np.ndarray, y: np.ndarray, weight: np.ndarray) -> tuple[float, float]:
+    """(slope, constant), slope not negative, that make the scores ``z`` log-odds of ``y``."""
+    c = np.array([1.0, 0.0])
+    x = np.stack([z, np.ones(len(z))], 1)
+    for _ in range(30):
+        p = sigmoid(x @ c)
+        bend = (x * (weight * p * (1 - p))[:, None]).T @ x + 0.1 * np.eye(2)
+        c = c - np.linalg.solve(bend, x.T @ (weight * (p - y)) + 0.1 * (c - [1.0, 0.0]))
+        c[0] = max(c[0], 0.0)
+    return float(c[0]), float(c[1])
+
+
 @dataclass
 class Model:
     words: dict[str, int]
     views: list  # for each target: (text weights, metadata weights, combining weights) or a constant
+    exchanged: list  # for each target and round: numbers of documents that the text view and the metadata view handed over
 
     def score(self, target: int, text: Sparse, meta: Sparse) -> np.ndarray:
         view = self.views[target]
@@ -177,21 +195,23 @@ def chosen_words(texts, labels: np.ndarray) -> dict[str, int]:
 
 
 def train(labelled: list[tuple], pool: list[tuple]) -> Model:
-    """From rows (text, source, lang, quality, toxic) and rows (text, source, lang)."""
+    """From rows (text, source, lang, quality, toxic, weight) and rows (text, source, lang)."""
     truth = np.array([[r[3], r[4]] for r in labelled], float).reshape(-1, 2)
-    words = chosen_words([r[0] for r in labelled], truth)
-    features = Features(words)
+    weight = np.array([r[5] for r in labelled], float)
     apart = np.arange(len(labelled)) % APART == 0
     rows = [[r[:3] for r, a in zip(labelled, apart, strict=True) if a == side] for side in (False, True)]
-    (text, meta), (text_apart, meta_apart), (text_pool, meta_pool) = features(rows[0]), features(rows[1]), features(pool)
-    views: list = []
+    words = chosen_words([r[0] for r in rows[0]], truth[~apart])
+    features = Features(words)
+    fitted, kept, drawn = features(rows[0]), features(rows[1]), features(pool)
+    views, exchanged = [], []
     for t in range(len(TARGETS)):
         y, y_apart = truth[~apart, t], truth[apart, t]
+        exchanged.append([])
         if min(y.sum(), len(y) - y.sum()) < 2 or min(y_apart.sum(), len(y_apart) - y_apart.sum()) < 1:
-            views.append(float(truth[:, t].mean()) if len(truth) else 0.5)
+            views.append(float(np.average(truth[:, t], weights=weight)) if len(truth) else 0.5)
             continue
-        views.append(_cotrain((text, meta), y, (text_apart, meta_apart), y_apart, (text_pool, meta_pool)))
-    return Model(words, views)
+        views.append(_cotrain(fitted, y, weight[~apart], kept, y_apart, weight[apart], drawn, exchanged[-1]))
+    return Model(words, views, exchanged)
 
 
 def _stack(a: Sparse, b: Sparse) -> Sparse:
@@ -201,43 +221,78 @@ def _stack(a: Sparse, b: Sparse) -> Sparse:
     return out
 
 
-def _cotrain(views, y, apart, y_apart, pool):
-    given = [np.full(len(pool[0]), -1.0), np.full(len(pool[0]), -1.0)]  # pseudo-labels that each view has got
-    weights: list = [None, None]
+def surest(z: np.ndarray, free: np.ndarray, prior: float, count: int) -> np.ndarray:
+    """Of the free rows, those with the highest and the lowest score: ``count`` in all, of each class its share."""
+    rows = np.nonzero(free)[0]
+    rows = rows[np.argsort(-z[rows], kind="stable")]
+    count = min(count, len(rows))
+    high = min(max(1, round(count * prior)), max(1, count - 1), count)
+    return np.concatenate([rows[:high], rows[len(rows) - (count - high) :]])
+
+
+def _cotrain(fitted, y, weight, kept, y_apart, weight_apart, drawn, exchanged):
+    prior, size = float(np.average(y, weights=weight)), len(drawn[0])
+    told = [np.full(size, -1.0), np.full(size, -1.0)]  # labels that each view has got
+    joined = [_stack(fitted[v], drawn[v]) for v in (0, 1)]
+    weights, scale = [None, None], [(1.0, 0.0), (1.0, 0.0)]
     for round_ in range(ROUNDS + 1):
         for v in (0, 1):
-            told = given[v] >= 0
-            both = _stack(views[v], pool[v])
-            weights[v] = fit(both, np.concatenate([y, np.maximum(given[v], 0)]), np.concatenate([np.ones(len(y)), PSEUDO * told]))
-        if round_ == ROUNDS or not len(pool[0]):
+            weights[v] = fit(joined[v], np.concatenate([y, np.maximum(told[v], 0)]), np.concatenate([weight, PSEUDO * (told[v] >= 0)]), weights[v])
+            scale[v] = calibrated(kept[v].times(weights[v]), y_apart, weight_apart)
+        if round_ == ROUNDS or not size:
             break
+        open_ = np.arange(size) < -(-size * (round_ + 2) // (ROUNDS + 1))  # the pool is filled up
+        given = []
+        for v in (0, 1):
+            z = scale[v][0] * drawn[v].times(weights[v]) + scale[v][1]
+            given.append((found := surest(z, open_ & (told[1 - v] < 0), prior, max(2, int(GROW * size))), sigmoid(z[found])))
         for v in (0, 1):
-            sure = sigmoid(pool[v].times(weights[v]))
-            given[1 - v] = np.where(sure >= SURE, 1.0, np.where(sure <= 1 - SURE, 0.0, given[1 - v]))
-    # calibration and combination at once: a logistic regression on the two views' log-odds, pulled to the text view's own
-    z = np.stack([np.ones(len(y_apart)), *(apart[v].times(weights[v]) for v in (0, 1))], 1)
-    start = c = np.array([0.0, 1.0, 0.0])
-    for _ in range(50):
-        p = sigmoid(z @ c)
-        slope = z.T @ (p - y_apart) + 1.0 * (c - start)
-        bend = (z * (p * (1 - p))[:, None]).T @ z + np.eye(3)
-        c = c - np.linalg.solve(bend, slope)
-    return weights[0], weights[1], c
+            told[1 - v][given[v][0]] = given[v][1]
+        exchanged.append(tuple(len(rows) for rows, _ in given))
+    # a share of each calibrated view, the one that explains the rows kept apart best, calibrated as a whole
+    z = [scale[v][0] * kept[v].times(weights[v]) + scale[v][1] for v in (0, 1)]
+    loss = lambda share: (weight_apart * (np.logaddexp(0, mix := (1 - share) * z[0] + share * z[1]) - y_apart * mix)).sum()
+    share = min(np.linspace(0.0, 1.0, 21), key=loss)
+    slope, constant = calibrated((1 - share) * z[0] + share * z[1], y_apart, weight_apart)
+    parts = [slope * (1 - share), slope * share]
+    return weights[0], weights[1], (constant + sum(parts[v] * scale[v][1] for v in (0, 1)), parts[0] * scale[0][0], parts[1] * scale[1][0])
+
+
+def quotas(counts: dict, most: int) -> dict:
+    """How many labelled rows of each combination of labels are fitted on: all where they fit, else at least an eighth of ``most`` of each that has them."""
+    total = sum(counts.values())
+    least = {k: min(n, most // (2 * max(1, len(counts)))) for k, n in counts.items()}
+    spare, more = most - sum(least.values()), total - sum(least.values())
+    return {k: n if total <= most else least[k] + (spare * (n - least[k])) // max(1, more) for k, n in counts.items()}
+
+
+def _hash_cut(share: float) -> int:
+    """Bound on a signed 64-bit hash that about this share of hashes does not exceed."""
+    return min(int(-(1 << 63) + min(1.0, share) * ((1 << 64) - 1)), (1 << 63) - 1)
 
 
 def samples(docs: DataFrame, labels: DataFrame):
     """Bounded samples (labelled rows, pool rows) for ``train``, chosen by hashes of ids."""
     order = F.xxhash64("doc_id")
     sure = labels.where(F.col("doc_id").isNotNull()).groupBy("doc_id").agg(F.min("quality").alias("quality"), F.max("toxic").alias("toxic")).where(F.col("quality").isNotNull() & F.col("toxic").isNotNull())
-    marked = sure.orderBy(order, "doc_id").limit(LABELLED)
+    counts = {(r["quality"], r["toxic"]): r["count"] for r in sure.groupBy("quality", "toxic").count().collect()}
+    wanted = quotas(counts, LABELLED)
+    # hashes are near uniform: a cut at twice the share wanted leaves a bounded number of rows
+    near = F.lit(False)
+    for (quality, toxic), n in wanted.items():
+        near = near | ((F.col("quality") == quality) & (F.col("toxic") == toxic) & (order <= F.lit(_hash_cut((2 * n + 50) / counts[quality, toxic]))))
+    rank = F.row_number().over(Window.partitionBy("quality", "toxic").orderBy(order, "doc_id"))
+    quota = F.coalesce(*(F.when((F.col("quality") == q) & (F.col("toxic") == t), F.lit(n)) for (q, t), n in wanted.items()), F.lit(0))
+    marked = sure.where(near).withColumn("rank", rank).where(F.col("rank") <= quota)
     fields = docs.select("doc_id", "text", "source", "lang")
     rows = fields.join(F.broadcast(marked), "doc_id").orderBy(order, "doc_id", "text").limit(LABELLED).collect()
+    taken = Counter((r["quality"], r["toxic"]) for r in rows)
+    share = {k: counts[k] / n * sum(taken.values()) / sum(counts[x] for x in taken) for k, n in taken.items()}
     count = docs.count()
-    cut = int(-(1 << 63) + min(1.0, 2 * POOL / max(count, 1) + 0.001) * ((1 << 64) - 1))
-    near = fields.where(F.xxhash64("doc_id", F.lit("pool")) <= F.lit(min(cut, (1 << 63) - 1)))
+    near = fields.where(F.xxhash64("doc_id", F.lit("pool")) <= F.lit(_hash_cut(2 * POOL / max(count, 1) + 0.001)))
     pool = near.orderBy(F.xxhash64("doc_id", F.lit("pool")), "doc_id", "text").limit(POOL).collect()
     known = {r["doc_id"] for r in rows}
-    return [(r["text"], r["source"], r["lang"], r["quality"], r["toxic"]) for r in rows], [(r["text"], r["source"], r["lang"]) for r in pool if r["doc_id"] not in known]
+    return [(r["text"], r["source"], r["lang"], r["quality"], r["toxic"], share[r["quality"], r["toxic"]]) for r in rows], [(r["text"], r["source"], r["lang"]) for r in pool if r["doc_id"] not in known]
 
 
 def score(docs: DataFrame, model: Model) -> DataFrame:

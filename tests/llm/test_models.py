@@ -92,10 +92,14 @@ def test_small_batches_of_words_give_the_same(monkeypatch):
 def test_quality_on_labels_not_fitted(spark, monkeypatch):
     docs, labels = table(spark, "/root/testdata/sf0.1", "documents"), table(spark, "/root/testdata/sf0.1", "labels")
     monkeypatch.setattr(cotrain, "LABELLED", 2000)
-    monkeypatch.setattr(cotrain, "POOL", 800)
     labelled, pool = cotrain.samples(docs, labels)
-    assert len(labelled) <= 2000 and len(pool) <= 800
+    assert len(labelled) <= 2000 and 0 < len(pool) <= cotrain.POOL
+    assert abs(sum(r[5] for r in labelled) - len(labelled)) < 1e-6 * len(labelled)
     model = cotrain.train(labelled, pool)
+    # both views hand over labels in each round, and neither speaks against its own calibrated score
+    for rounds, (_, _, (_, text_weight, meta_weight)) in zip(model.exchanged, model.views, strict=True):
+        assert len(rounds) == cotrain.ROUNDS and all(min(r) > 0 for r in rounds)
+        assert text_weight > 0 and meta_weight >= 0
     fitted = {r[0] for r in labelled}
     rows = [r for r in labels.join(docs, "doc_id").select("text", "source", "lang", "quality", "toxic").collect() if r.text not in fitted]
     text, meta = cotrain.Features(model.words)([r[:3] for r in rows])
@@ -107,6 +111,28 @@ def test_quality_on_labels_not_fitted(spark, monkeypatch):
     assert keep[clean].mean() > 0.98
 
 
+def test_views_teach_each_other():
+    """Few labels, two views that each tell the classes apart: every round hands over the documents that a view is surest of."""
+    rnd = np.random.default_rng(5)
+
+    def row(label):
+        words = [f"{'good' if label else 'bad'}{rnd.integers(0, 40)}" for _ in range(6)]
+        return " ".join(words + [f"x{rnd.integers(0, 30)}" for _ in range(6)]), f"site{int(label)}{rnd.integers(0, 3)}", "en"
+
+    labelled = [(*row(i // 4 % 2), i // 4 % 2, 0, 1.0) for i in range(64)]
+    pool = [row(i % 2) for i in range(2000)]
+    model = cotrain.train(labelled, pool)
+    assert model.exchanged[0] == [(int(cotrain.GROW * 2000),) * 2] * cotrain.ROUNDS and model.exchanged[1] == []
+    text, meta = cotrain.Features(model.words)([row(i % 2) for i in range(400)])
+    assert ((model.score(0, text, meta) >= 0.5) == (np.arange(400) % 2 == 1)).mean() > 0.97
+
+
+def test_rare_labels_are_represented_and_weighted():
+    counts = {(1, 0): 900_000, (0, 0): 90_000, (1, 1): 9_000, (0, 1): 20}
+    got = cotrain.quotas(counts, 6000)
+    assert sum(got.values()) <= 6000 and got[0, 1] == 20 and got[1, 1] >= 750 and cotrain.quotas({(1, 0): 5}, 6000) == {(1, 0): 5}
+
+
 def test_quality_awkward(spark):
     labels = spark.createDataFrame([(1, 1, 0), (3, 0, 0), (3, None, 1), (None, 1, 1)], "doc_id long, quality int, toxic int")
     out = cotrain.classify(awkward(spark), labels).collect()
