@@ -31,7 +31,7 @@ MATCH, MISMATCH, SKIP = 2, -1, -1
 #: Share of an item's own score from which a passage counts as a copy.
 LEAST = 0.5
 #: Words of the items in one block, and cached pieces of text per worker.
-BLOCK_WORDS, CACHE_PIECES = 2_000_000, 1_000_000
+BLOCK_WORDS, CACHE_PIECES = 2_000_000, 300_000
 _EDGES = re.compile(r"^[\W_]+|[\W_]+$")
 
 

@@ -43,7 +43,7 @@ GRAM, SWITCH = 3, 8.0
 #: Share of a script's letters that a language must have had in training to be a candidate.
 SCRIPT_SHARE = 0.01
 #: Word scores kept per Python worker.
-CACHE_WORDS = 1_000_000
+CACHE_WORDS = 300_000
 _BEYOND_LATIN = re.compile(r"[^\x00-\u024f]")
 
 

@@ -12,7 +12,7 @@ import unicodedata
 from itertools import chain
 
 #: Pieces in one generation of a Python worker's cache, and pieces of text encoded together.
-CACHE_PIECES, GROUP_PIECES = 600_000, 100_000
+CACHE_PIECES, GROUP_PIECES = 300_000, 100_000
 #: Marks between which and a letter the tokenizer always cuts.
 MARKS = b".,;:!?|"
 #: Last character for which letters and their lower case are settled in every version of Unicode.
