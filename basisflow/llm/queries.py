@@ -107,3 +107,11 @@ def op7_suffix_dedup(spark, sf_dir):
 
 
 QUERIES["op7_suffix_dedup"] = op7_suffix_dedup
+
+
+def repeat_groups(spark, sf_dir):
+    """The maximal repeats themselves, a row for each occurrence."""
+    return suffixes.repeat_groups(table(spark, sf_dir, "documents"))
+
+
+QUERIES["repeat_groups"] = repeat_groups

@@ -178,9 +178,9 @@ def test_maximal_repeats(seed):
     assert {(n, tuple(sorted(at))) for n, at in suffixes.maximal_repeats(texts, 2)} == plain_repeats(texts, 2)
 
 
-def check_removed(docs):
+def check_removed(docs, **sizes):
     want = removed_bytes([(r.doc_id, r.text) for r in docs.select("doc_id", "text").collect()])
-    got = [(str(r.doc_id), r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) for r in suffixes.removed(docs).collect()]
+    got = [(str(r.doc_id), r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) for r in suffixes.removed(docs, **sizes).collect()]
     assert sorted(got) == sorted((str(d), n, g, s, hashlib.sha256(k).hexdigest()) for d, n, g, s, k in want)
 
 
@@ -193,13 +193,58 @@ def test_removal_awkward(spark):
     assert suffixes.removed(empty(spark)).count() == 0
 
 
-def test_removal_of_mosaics(spark, monkeypatch):
-    """Texts put together from shared parts of about the least length, periods and zero bytes, in small chunks."""
-    monkeypatch.setattr(suffixes, "CHUNK", 3000)
+def mosaics():
     rnd = random.Random(1)
     parts = ["".join(rnd.choice("abc \x00é") for _ in range(rnd.randint(20, 80))) for _ in range(40)] + ["ab" * 60, "a" * 120]
-    rows = [(i // 2 if i % 9 == 0 else i, "".join(rnd.choice(parts) for _ in range(rnd.randint(0, 12)))) for i in range(150)]
-    check_removed(spark.createDataFrame(rows, "doc_id long, text string"))
+    return [(i // 2 if i % 9 == 0 else i, "".join(rnd.choice(parts) for _ in range(rnd.randint(0, 12)))) for i in range(150)]
+
+
+@pytest.mark.parametrize("sizes", [{}, {"chunk": 3000, "held": 9000, "hot": 4000}])
+def test_removal_of_mosaics(spark, sizes):
+    """Texts put together from shared parts of about the least length, periods and zero bytes; in small chunks and buckets too."""
+    check_removed(spark.createDataFrame(mosaics(), "doc_id long, text string"), **sizes)
+
+
+def test_hot_anchors_are_divided(spark):
+    """One phrase in every text among different words: its bucket is dealt out by sides, then by windows."""
+    rnd = random.Random(7)
+    words = [f"{rnd.randint(0, 30):x}" * 3 for _ in range(40)]
+    rows = [(i, " ".join(rnd.choice(words) for _ in range(9)) + " the common phrase is this " + " ".join(rnd.choice(words) for _ in range(9))) for i in range(400)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    for hot in (2000, 300):
+        check_removed(docs, held=5000, hot=hot)
+
+
+def test_equal_hashes_are_compared(monkeypatch):
+    """Were all hashes equal, contexts would still be told apart by their bytes."""
+    bodies = [b"a" * 60, b"b" * 60, b"a" * 60, b"a" * 61]
+    n = len(bodies)
+    contexts = suffixes.Contexts(np.arange(n), np.zeros(n, np.int64), np.zeros(n), np.array([len(b) for b in bodies]), np.zeros(n), np.frombuffer(b"".join(bodies), np.uint8))
+    monkeypatch.setattr(suffixes, "context_hashes", lambda eights, starts, sizes: np.zeros(len(starts), np.uint64))
+    spans, open_ = suffixes.settled_copies(contexts)
+    assert open_.tolist() == [0, 1, 3] and [x.tolist() for x in spans] == [[2], [0], [0], [60]]
+
+
+def test_groups_hold_all_occurrences(spark):
+    """Every group is a string of 50 bytes or more with exactly its occurrences; every repeated window lies in one."""
+    rows = [(d, t) for d, t in dict(mosaics()).items()] + [(1000 + i, "a passage of more than fifty bytes that stands in many texts, all the same") for i in range(30)]
+    groups = {}
+    for r in suffixes.repeat_groups(spark.createDataFrame(rows, "doc_id long, text string")).collect():
+        groups.setdefault((r.repeat, r.length), set()).add((r.doc_id, r.start))
+    bodies = {d: t.encode() for d, t in rows}
+    covered = set()
+    for (_, length), at in groups.items():
+        strings = {bodies[d][p : p + length] for d, p in at}
+        assert len(strings) == 1 and length >= 50 and len(at) > 1
+        string = strings.pop()
+        everywhere = {(d, i) for d, b in bodies.items() for i in range(len(b) - length + 1) if b[i : i + length] == string}
+        assert at == everywhere
+        covered |= {(d, p + i) for d, p in at for i in range(length - 49)}
+    windows = {}
+    for d, b in bodies.items():
+        for i in range(len(b) - 49):
+            windows.setdefault(b[i : i + 50], []).append((d, i))
+    assert covered == {x for at in windows.values() if len(at) > 1 for x in at}
 
 
 # --- SimHash
