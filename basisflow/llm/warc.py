@@ -12,7 +12,8 @@ that a lost or repeated task left behind do no harm.
 Defined results: null html is an empty payload; payloads under ``LEAST`` bytes are never
 revisits; rows with the smallest id of equal payloads are responses, all of them where
 that id is repeated; a null id never becomes the response of others and refers to
-one as others do; an empty table gives no archives and no rows; further columns are ignored.
+one as others do; an empty table gives no archives and no rows; further columns are ignored,
+whatever their names; a payload of any length is one record, held whole by the task that writes or reads it.
 """
 
 from __future__ import annotations
@@ -234,5 +235,18 @@ def read(manifest: DataFrame, content: bool = False) -> DataFrame:
     return spread.mapInArrow(run, schema)
 
 
+def checked_revisits(records: DataFrame) -> DataFrame:
+    """The records, with an error where a revisit's response is not among them with the same digest and length."""
+    targets = records.where("record_type = 'response'").select(F.col("page_id").alias("target"), F.col("payload_digest").alias("d"), F.col("payload_bytes").alias("b")).distinct()
+    revisits = records.where("record_type = 'revisit'")
+    same = (F.col("refers_to") == F.col("target")) & (F.col("payload_digest") == F.col("d")) & (F.col("payload_bytes") == F.col("b"))
+    known = revisits.join(targets, same, "left")
+    wrong = F.raise_error(F.concat_ws(" ", F.lit("no response with the payload of page"), "page_id")).cast("long")
+    fields = [c for c in records.columns if c != "refers_to"]
+    known = known.select(*fields, F.when(F.col("target").isNull(), wrong).otherwise(F.col("refers_to")).alias("refers_to"))
+    return records.where("record_type <> 'revisit'").unionByName(known)
+
+
 def round_trip(pages: DataFrame) -> DataFrame:
-    return read(write(pages, f"{shared_dir(pages.sparkSession)}/basisflow/warc-{uuid.uuid4().hex}"))
+    archives = write(pages, f"{shared_dir(pages.sparkSession)}/basisflow/warc-{uuid.uuid4().hex}")
+    return checked_revisits(written(read(archives), "warc-records"))

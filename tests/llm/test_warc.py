@@ -30,6 +30,23 @@ def test_content_comes_back(spark):
     assert out == {i: (u, h) for i, u, h in rows}
 
 
+def test_columns_of_any_name_and_long_pages(spark):
+    names = "payload", "digest", "salt", "first", "n", "record_type", "refers_to", "target"
+    long = "<p>é</p>" * 400_000
+    rows = [(1, "u", long, *names), (2, "u", long, *names), (3, "u", None, *names), (None, None, None, *names)]
+    out = warc.round_trip(spark.createDataFrame(rows, PAGES + ", " + ", ".join(f"{n} string" for n in names))).collect()
+    assert sorted(((r.page_id or 0), r.payload_bytes, r.record_type, r.refers_to) for r in out) == [(0, 0, "response", None), (1, 3_600_000, "response", None), (2, 3_600_000, "revisit", 1), (3, 0, "response", None)]
+
+
+def test_revisits_need_their_response(spark):
+    schema = "page_id long, payload_bytes long, payload_digest string, record_type string, refers_to long"
+    good = [(1, 200, "a", "response", None), (2, 200, "a", "revisit", 1)]
+    assert len(warc.checked_revisits(spark.createDataFrame(good, schema)).collect()) == 2
+    for bad in ((2, 200, "b", "revisit", 1), (2, 201, "a", "revisit", 1), (2, 200, "a", "revisit", 7)):
+        with pytest.raises(Exception, match="no response"):
+            warc.checked_revisits(spark.createDataFrame([good[0], bad], schema)).collect()
+
+
 def test_empty_table(spark):
     assert warc.round_trip(spark.createDataFrame([], PAGES)).count() == 0
 
