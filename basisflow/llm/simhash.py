@@ -9,9 +9,9 @@ Copies collapse to one fingerprint before the join, so no group of copies is
 ever expanded into pairs.
 
 Defined results: null and empty texts have fingerprint zero and are linked like any
-other; repeated rows share a component; a row with null id gets the component of
-its fingerprint (null where no row of that fingerprint has an id); an empty table
-gives no rows; further columns are ignored.
+other; repeated rows share a component; fingerprints of rows with null id take part in
+links (their component is null where no row of it has an id); an empty table
+gives no rows; further columns are ignored by ``near_groups`` and kept by ``keep_one``.
 """
 
 from __future__ import annotations
@@ -86,26 +86,29 @@ def near_groups(docs: DataFrame, key: str = "doc_id", text: str = "text") -> Dat
     """(doc_id, fingerprint, component_id) for every row."""
     signed = written(signatures(docs, key, text), "simhash")
     fps = written(signed.groupBy("fp").agg(F.min("doc_id").alias("rep")), "simhash-fps")
-    reps = fps.where(F.col("rep").isNotNull())
-    pairs = links(reps.select("fp"))
-    named = pairs.join(reps.select(F.col("fp").alias("x"), F.col("rep").alias("a")), "x").join(reps.select(F.col("fp").alias("y"), F.col("rep").alias("b")), "y")
-    roots = components(named)
-    classes = written(fps.join(roots, fps.rep == roots.node, "left").select(F.col("fp").alias("f"), F.coalesce("root", "rep").alias("component_id")), "simhash-classes")
+    roots = components(links(fps.select("fp")), "x", "y")
+    rooted = written(fps.join(roots.withColumnRenamed("node", "fp"), "fp", "left").select("fp", "rep", F.coalesce("root", "fp").alias("root")), "simhash-roots")
+    least = rooted.groupBy("root").agg(F.min("rep").alias("component_id"))
+    classes = written(rooted.select("fp", "root").join(least, "root").select(F.col("fp").alias("f"), "component_id"), "simhash-classes")
     return signed.join(classes, F.col("fp") == F.col("f")).select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
 
 
 def keep_one(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """The documents without those of a group besides its smallest id; columns as given.
+    """One document of each near-duplicate group: the one with the smallest id (nulls last; of repeated rows one); columns as given.
 
-    Groups are those of ``similar``, not the two bits of ``near_groups``: most texts with a few replaced words are further apart.
-    Rows with a null id are kept (nothing names them); of repeated rows with the smallest id, one stays.
+    Groups are those of ``similar``, not the two bits of ``near_groups``: most texts with a few replaced words are further
+    apart. Where ids are null or repeated, the rows are numbered and written first.
     """
-    kept = F.col("doc_id") == F.col("component_id")
-    ids = similar.groups(docs, key=key, text=text).where(F.col("doc_id").isNotNull()).groupBy(F.col("doc_id").alias("__id")).agg(F.count(F.when(kept, 1)).alias("n"))
-    ids = written(ids.where(F.col("n") != 1), "simhash-ids")  # those that go, and the repeated ones: few of all
-    out = docs.join(small_side(written(ids.where(F.col("n") == 0).select("__id"), "simhash-gone")), F.col(key) == F.col("__id"), "left_anti")
-    repeated = ids.where(F.col("n") > 1).select("__id")
-    if repeated.limit(1).count():
-        once = out.join(repeated, F.col(key) == F.col("__id"), "left_semi").dropDuplicates([key])
-        out = out.join(repeated, F.col(key) == F.col("__id"), "left_anti").unionByName(once)
-    return out
+    ids = docs.groupBy(F.col(key).cast("long").alias("id")).count()
+    name = fresh("row")
+    if ids.where("id IS NULL OR count > 1").limit(1).count():
+        rows = written(docs.withColumn(name, F.monotonically_increasing_id()), "simhash-rows")
+        found = similar.groups(rows, key=name, text=text).withColumnsRenamed({"doc_id": name, "component_id": "group"})
+        first = F.struct(F.col(key).isNull().alias("null"), F.col(key).cast("long").alias("id"), F.col(name).alias("row"))
+        found = written(found.join(rows.select(name, first.alias("first")), name), "simhash-groups")
+        least = found.groupBy("group").agg(F.min("first").alias("least"))
+        gone = found.join(least, "group").where(F.col("first.row") != F.col("least.row")).select(name)
+    else:
+        rows = docs.withColumn(name, F.col(key).cast("long"))
+        gone = similar.groups(docs, key=key, text=text).where("doc_id <> component_id").select(F.col("doc_id").alias(name))
+    return rows.join(small_side(written(gone, "simhash-gone")), name, "left_anti").select(docs.columns)

@@ -43,3 +43,41 @@ def test_a_large_star_of_edited_copies_is_one_group(spark):
     found = {r.doc_id: r.component_id for r in similar.groups(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
     assert len(near) > 250 and sum(found[i] == min(near) for i in near) >= 0.99 * len(near)
     assert all(found[i] == i for i, _ in rows if i >= 900)
+
+
+def test_large_buckets_lose_no_link(spark):
+    """Chains of edited copies that share their keys with many others: every link across them counts, as by all pairs."""
+    rnd = random.Random(9)
+    base = [f"w{rnd.randint(1, 3000)}" for _ in range(300)]
+    rows, number = [], 0
+    for _ in range(12):  # chains: each text is near the one before, further from the others
+        words = list(base)
+        for at in rnd.sample(range(300), 10):
+            words[at] = f"own{rnd.random()}"
+        for _ in range(8):
+            rows.append((number, " ".join(words)))
+            number += 1
+            for at in rnd.sample(range(300), 4):
+                words[at] = f"new{rnd.random()}"
+    root = list(range(number))
+
+    def find(x):
+        while root[x] != x:
+            x = root[x]
+        return x
+
+    for i in range(number):
+        for j in range(i):
+            if similarity(rows[i][1], rows[j][1]) >= 0.8:
+                a, b = find(i), find(j)
+                root[max(a, b)] = min(a, b)
+    found = {r.doc_id: r.component_id for r in similar.groups(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert found == {i: find(i) for i in range(number)} and 1 < len(set(found.values())) < number
+
+
+def test_keep_one_of_repeated_and_null_ids(spark):
+    text = " ".join(f"w{i}" for i in range(60))
+    rows = [(5, text, "a"), (5, "another text with words of its own", "b"), (None, text + " more", "c"), (None, "only here and nowhere else", "d"), (None, "only here and nowhere else", "e"), (7, text, "f")]
+    out = simhash.keep_one(spark.createDataFrame(rows, "doc_id long, text string, row string"))
+    got = sorted(r.row for r in out.collect())
+    assert out.columns == ["doc_id", "text", "row"] and got[:2] == ["a", "b"] and len(got) == 3

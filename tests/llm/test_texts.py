@@ -300,10 +300,18 @@ def test_simhash_awkward(spark):
     assert len(got) == 12 and by_id[1] == by_id[2] and by_id[2][1] == 1
     assert by_id[3] == by_id[4] == by_id[5] == ("0" * 16, 3)
     kept = sorted(str(r.doc_id) for r in simhash.keep_one(awkward(spark)).collect())
-    assert kept.count("1") == 1 and "2" not in kept and "4" not in kept and kept.count("None") == 2
+    assert kept.count("1") == 1 and "2" not in kept and "4" not in kept and kept.count("None") == 1
     assert simhash.near_groups(empty(spark)).count() == 0
 
 
+def test_rows_without_id_take_part_in_links(spark, monkeypatch):
+    """A chain 1 - null - 2 of fingerprints two bits apart is one group."""
+    fps = spark.createDataFrame([(1, 0b0000), (None, 0b0011), (2, 0b1111), (None, 7 << 40)], "doc_id long, fp long")
+    monkeypatch.setattr(simhash, "signatures", lambda *_: fps)
+    got = {(r.doc_id, r.fingerprint[-1], r.component_id) for r in simhash.near_groups(fps).collect()}
+    assert got == {(1, "0", 1), (None, "3", 1), (2, "f", 1), (None, "0", None)}
+
+
 def test_components_of_paths_stars_and_loops(spark):
     links = [(i, i + 1) for i in range(40)] + [(100, 200 + i) for i in range(30)] + [(500, 500), (None, 3)]
     out = {r.node: r.root for r in components.components(spark.createDataFrame(links, "a long, b long")).collect()}
