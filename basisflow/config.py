@@ -123,8 +123,12 @@ class DedupConfig:
     preprocess: str = "none"
     sample_width: int = 1
     rs_length: str = "actual"
+    #: How nodes that deduplicate by similarity send: the plain scheme unless the network agrees on another.
+    scheme: str = "sim_plain"
 
     def __post_init__(self):
+        if self.scheme not in SCHEMES:
+            raise ValueError("unknown scheme")
         if self.transform not in TRANSFORMS or self.preprocess not in PREPROCESS or self.fp_algo not in DIGEST_BYTES:
             raise ValueError("unknown transform, preprocessing or fingerprint")
         if not 0 < self.fp_bytes <= DIGEST_BYTES[self.fp_algo]:
@@ -160,6 +164,10 @@ class DedupConfig:
             return -(-rs_deviation_bits(self.n_b, covering_radius(self.n_b, self.basis_bytes)) // 8) + self.side_bytes
         return None
 
+    def scheme_of(self, kind: str) -> str:
+        """The scheme that a node of a class sends with."""
+        return {"basic": "raw", "exact": "exact", "similar": self.scheme}[kind]
+
     def short_fp_bytes(self, deviation: int) -> int:
         """The shortened fingerprint fills what the deviation leaves of the full one."""
         if self.fp_bytes <= deviation:

@@ -36,3 +36,16 @@ def collision_report(bodies: DataFrame, algo: str, n_bytes: int, body: str = "bo
         F.count(F.when(several, 1)).alias("colliding_fps"),
         F.coalesce(F.sum(F.when(several, F.col("chunks"))), F.lit(0)).alias("affected_chunks"),
     )
+
+
+def collision_reports(bodies: DataFrame, widths: list[tuple[str, int]], body: str = "body", n: str = "n") -> DataFrame:
+    """``collision_report`` of several (algorithm, bytes) in one pass: every body is named in all of them at once."""
+    names = F.explode(F.array(*(F.struct(F.lit(a).alias("algo"), F.lit(w).cast("long").alias("fp_bytes"), fingerprint(F.col(body), a, w).alias("fp")) for a, w in widths)))
+    fps = bodies.select(names.alias("f"), F.col(n).alias("n")).groupBy("f.algo", "f.fp_bytes", "f.fp").agg(F.count("*").alias("bodies"), F.sum("n").alias("chunks"))
+    several = F.col("bodies") > 1
+    return fps.groupBy("algo", "fp_bytes").agg(
+        F.sum("bodies").alias("bodies"),
+        F.count("*").alias("fps"),
+        F.count(F.when(several, 1)).alias("colliding_fps"),
+        F.coalesce(F.sum(F.when(several, F.col("chunks"))), F.lit(0)).alias("affected_chunks"),
+    )

@@ -41,6 +41,17 @@ def scheme_table(counted: DataFrame, cfg: DedupConfig) -> DataFrame:
     return out.select("scheme", "chunks", "bodies", "total_bytes", (F.col("chunks") * cfg.n_b).alias("original_bytes"), (F.col("chunks") * cfg.n_b / F.col("total_bytes")).alias("ratio"))
 
 
+def study(counted: DataFrame, cfgs: list[DedupConfig]) -> DataFrame:
+    """``scheme_table`` of many configurations at once, from one scan: (transform, preprocess, n_b, scheme, chunks, bodies, total_bytes, ratio)."""
+    spark, c = counted.sparkSession, F.col
+    names = spark.createDataFrame([(i, x.transform, x.preprocess, x.n_b, x.basis_bytes, x.fp_bytes) for i, x in enumerate(cfgs)], "cfg int, transform string, preprocess string, n_b long, k_b long, h long")
+    totals = scheme_bytes(c("h"), c("n_b"), c("k_b"))
+    bodies = {"raw": c("chunks"), "exact": c("exact_bases")}
+    rows = F.explode(F.array(*(F.struct(F.lit(s).alias("scheme"), bodies.get(s, c("bases")).alias("bodies"), t.cast("long").alias("total_bytes")) for s, t in totals.items())))
+    out = counted.join(F.broadcast(names), "cfg").select("transform", "preprocess", "n_b", "chunks", rows.alias("r"))  # a row for each configuration
+    return out.select("transform", "preprocess", "n_b", "r.scheme", "chunks", "r.bodies", "r.total_bytes", (c("chunks") * c("n_b") / c("r.total_bytes")).alias("ratio"))
+
+
 # --- conditions -------------------------------------------------------------
 
 

@@ -54,3 +54,13 @@ def uplink_variant(found: DataFrame, cfg: DedupConfig, miss_body: str = "basis",
     body = (cfg.basis_bytes if miss_body == "basis" else cfg.n_b) + (cfg.fp_bytes if repeat_fp else 0)
     size = F.lit(cfg.fp_bytes) + F.col("dev_bytes") + F.when(F.col("outcome") == "new_basis", body).otherwise(0)
     return found.groupBy("outcome").agg(F.count("*").alias("chunks"), F.sum(size).cast("long").alias("up_bytes"))
+
+
+def uplink_variants(totals: DataFrame, cfg: DedupConfig, variants) -> DataFrame:
+    """(body, fp_again, outcome, chunks, up_bytes) of several such variants, from rows (outcome, chunks, dev_bytes)."""
+    rows = []
+    for miss_body, again in variants:
+        body = (cfg.basis_bytes if miss_body == "basis" else cfg.n_b) + (cfg.fp_bytes if again else 0)
+        size = F.col("chunks") * cfg.fp_bytes + F.col("dev_bytes") + F.when(F.col("outcome") == "new_basis", F.col("chunks") * body).otherwise(0)
+        rows.append(F.struct(F.lit(miss_body).alias("body"), F.lit(again).alias("fp_again"), size.cast("long").alias("up_bytes")))
+    return totals.select("outcome", "chunks", F.explode(F.array(*rows)).alias("r")).select("r.body", "r.fp_again", "outcome", "chunks", "r.up_bytes")

@@ -55,10 +55,9 @@ def relay(encoded: DataFrame, cfg: DedupConfig, path: list[Node], response_bytes
     The path is known to the driver and short: a loop over hops, not over data.
     """
     found = schemes.outcomes(encoded)
-    by_class = {"basic": "raw", "exact": "exact", "similar": "sim_plain"}
     out = None
     for hop, (sender, receiver) in enumerate(zip(path, path[1:], strict=False), 1):
-        log = schemes.message_log(found, cfg, by_class[sender.kind], response_bytes)
+        log = schemes.message_log(found, cfg, cfg.scheme_of(sender.kind), response_bytes)
         up = F.col("direction") == "up"
         part = log.withColumns({"hop": F.lit(hop), "from_node": F.when(up, sender.name).otherwise(receiver.name), "to_node": F.when(up, receiver.name).otherwise(sender.name)})
         out = part if out is None else out.unionByName(part)
@@ -82,6 +81,11 @@ def validate(messages: DataFrame, algo: str = "sha256", n_bytes: int = 8, body:
     return messages.withColumn("valid", F.col("claimed_fp") == fingerprint(F.col(body), algo, n_bytes))
 
 
+def responses(validated: DataFrame) -> DataFrame:
+    """Adds ``msg_type``: the sink's answer, ``failure`` to an invalid body and ``ack`` to others."""
+    return validated.withColumn("msg_type", F.when(F.col("valid"), "ack").otherwise("failure"))
+
+
 def excluded_senders(validated: DataFrame, limit: int, sender: str = "source_id") -> DataFrame:
     """Senders with more than ``limit`` invalid bodies."""
     return validated.groupBy(sender).agg(F.count("*").alias("sent"), F.count(F.when(~F.col("valid"), 1)).alias("rejected")).where(F.col("rejected") > limit)

@@ -23,14 +23,38 @@ def first_seen(encoded: DataFrame, key: str, scope: tuple[str, ...] = ()) -> Dat
 def outcomes(encoded: DataFrame, scope: tuple[str, ...] = ()) -> DataFrame:
     """Adds ``outcome``. ``scope`` is empty for a pool that all sources share, or ("source_id",) for private pools.
 
-    The basis of a chunk is that of its key, so the second aggregation runs over distinct chunks.
+    The basis of a chunk is that of its key, so the second aggregation runs over distinct chunks. Only first
+    arrivals come back, joined on the arrival and never on the key: a chunk that a third of all rows
+    repeat is combined before it moves and meets one row. Where rows are not wanted, ``outcome_totals`` needs no join at all.
     """
     chunk = encoded.groupBy(*scope, "chunk_key").agg(F.min(F.struct("packet_id", "chunk_seq")).alias("chunk_first"), F.first("basis_key").alias("basis_key"))
     basis = chunk.groupBy(*scope, "basis_key").agg(F.min("chunk_first").alias("basis_first"))
-    known = chunk.join(basis, [*scope, "basis_key"]).select(*scope, "chunk_key", "chunk_first", (F.col("chunk_first") == F.col("basis_first")).alias("opens"))
-    joined = encoded.join(known, [*scope, "chunk_key"])
-    now = F.struct("packet_id", "chunk_seq")
-    return joined.withColumn("outcome", F.when(now != F.col("chunk_first"), "repeat").when(F.col("opens"), "new_basis").otherwise("new_chunk")).drop("chunk_first", "opens")
+    firsts = chunk.join(basis, [*scope, "basis_key"]).select(*scope, "chunk_key", "chunk_first.*", (F.col("chunk_first") == F.col("basis_first")).alias("opens"))
+    joined = encoded.join(firsts, [*scope, "packet_id", "chunk_seq", "chunk_key"], "left")
+    return joined.withColumn("outcome", F.when(F.col("opens").isNull(), "repeat").when(F.col("opens"), "new_basis").otherwise("new_chunk")).drop("opens")
+
+
+def outcome_totals(counted: DataFrame) -> DataFrame:
+    """(outcome, chunks, dev_bytes) from ``costs.counts`` of one configuration: N chunks, U distinct ones and B bases make
+    B new bases, U - B new chunks and N - U repeats. ``dev_bytes`` is that of new chunks and null for the others, where no one cost needs it alone."""
+    rows = F.array(
+        F.struct(F.lit("new_basis").alias("outcome"), F.col("bases").alias("chunks"), F.lit(None).cast("long").alias("dev_bytes")),
+        F.struct(F.lit("new_chunk").alias("outcome"), (F.col("exact_bases") - F.col("bases")).alias("chunks"), F.col("q_dev").alias("dev_bytes")),
+        F.struct(F.lit("repeat").alias("outcome"), (F.col("chunks") - F.col("exact_bases")).alias("chunks"), F.lit(None).cast("long").alias("dev_bytes")),
+    )
+    return counted.select(F.explode(rows).alias("r")).select("r.*").where("chunks > 0")
+
+
+def hinted(unique: DataFrame, cfg: DedupConfig) -> DataFrame:
+    """Exact deduplication after a manifest of what the sink holds; ``unique`` has n (chunks) and held of every distinct chunk.
+
+    The manifest goes down once, a fingerprint for each held chunk. Every chunk sends its fingerprint and is
+    acknowledged; a chunk that is not held is asked for and sent the first time.
+    """
+    c, h = F.col, cfg.fp_bytes
+    sums = unique.agg(F.sum("n").alias("chunks"), F.count("*").alias("unique_chunks"), F.count(F.when(c("held"), 1)).alias("hinted_chunks"))
+    lacking = c("unique_chunks") - c("hinted_chunks")
+    return sums.select("chunks", "unique_chunks", "hinted_chunks", (lacking * cfg.n_b).alias("body_bytes"), (c("hinted_chunks") * h).alias("manifest_bytes"), (c("chunks") * h + lacking * cfg.n_b).alias("up_bytes"), (2 * c("chunks") + 2 * lacking + 1).alias("messages"))
 
 
 def _uplink(cfg: DedupConfig, scheme: str):
@@ -74,19 +98,26 @@ def message_log(found: DataFrame, cfg: DedupConfig, scheme: str, response_bytes:
 
 def traffic(found: DataFrame, cfg: DedupConfig, schemes=("raw", "exact", "sim_plain", "sim_short", "sim_dual")) -> DataFrame:
     """(scheme, outcome, chunks, messages, up_bytes) without message rows: sums over outcomes."""
-    sums = found.groupBy("outcome").agg(F.count("*").alias("chunks"), F.sum("dev_bytes").alias("dev_bytes"))
-    parts = []
+    return _traffic(found.groupBy("outcome").agg(F.count("*").alias("chunks"), F.sum("dev_bytes").alias("dev_bytes")), cfg, schemes)
+
+
+def traffic_of_totals(totals: DataFrame, cfg: DedupConfig, schemes=("raw", "exact", "sim_plain", "sim_short", "sim_dual")) -> DataFrame:
+    """``traffic`` from ``outcome_totals``, for transforms whose deviations have one length."""
+    if cfg.fixed_deviation is None:
+        raise ValueError("deviations of one length are needed")
+    return _traffic(totals.withColumn("dev_bytes", F.col("chunks") * cfg.fixed_deviation), cfg, schemes)
+
+
+def _traffic(sums: DataFrame, cfg: DedupConfig, schemes) -> DataFrame:
+    rows = []
     for scheme in schemes:
         size, steps = F.lit(None).cast("long"), F.lit(None).cast("long")
         for outcome, messages in _uplink(cfg, scheme).items():
             total = F.col("chunks") * sum(n for _, n, _ in messages) + sum(F.col("dev_bytes") for *_, deviation in messages if deviation)
             size = F.when(F.col("outcome") == outcome, total).otherwise(size)
             steps = F.when(F.col("outcome") == outcome, F.col("chunks") * (4 if outcome in _REQUEST[scheme] else 2)).otherwise(steps)
-        parts.append(sums.select(F.lit(scheme).alias("scheme"), "outcome", "chunks", steps.cast("long").alias("messages"), size.cast("long").alias("up_bytes")))
-    out = parts[0]
-    for part in parts[1:]:
-        out = out.unionByName(part)
-    return out
+        rows.append(F.struct(F.lit(scheme).alias("scheme"), steps.cast("long").alias("messages"), size.cast("long").alias("up_bytes")))
+    return sums.select("outcome", "chunks", F.explode(F.array(*rows)).alias("r")).select("r.scheme", "outcome", "chunks", "r.messages", "r.up_bytes")
 
 
 def collisions(bodies: DataFrame, fp: str = "fp", body: str = "body") -> DataFrame:

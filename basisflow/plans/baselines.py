@@ -1,4 +1,4 @@
-"""Compressors beside the schemes: each chunk is compressed alone, as packets are."""
+"""Compressors and other baselines beside the schemes: each chunk is compressed alone, as packets are."""
 
 from __future__ import annotations
 
@@ -6,7 +6,8 @@ from pyspark.sql import functions as F
 
 from basisflow.config import DedupConfig
 from basisflow.functions.codecs import CODECS, codec_totals
-from basisflow.operators import chunking, costs, encode
+from basisflow.operators import chunking, encode, schemes
+from basisflow.plans import sql
 from basisflow.plans.registry import register
 from basisflow.sources import payloads as source
 
@@ -31,19 +32,6 @@ def codec_matrix(spark, sf_dir):
     return _with_ratio(codec_totals(source.ship_dates(spark, sf_dir, 256), list(CODECS), [64, 128, 256]))
 
 
-@register("ratio_study")
-def ratio_study(spark, sf_dir):
-    """Every scheme, with and without offset removal, beside DEFLATE and LZW, by chunk length, on the date column."""
-    sizes, payloads = (16, 64, 128, 256), source.ship_dates(spark, sf_dir, 256)
-    cfgs = [DedupConfig(n, preprocess=p, sample_width=2) for n in sizes for p in ("none", "offset")]
-    out = _with_ratio(codec_totals(payloads, ["deflate", "lzw"], list(sizes))).select(F.col("codec").alias("method"), F.lit("none").alias("preprocess"), "n_b", "ratio")
-    counted = costs.counts(encode.unique_chunks(payloads, cfgs))
-    for i, cfg in enumerate(cfgs):
-        part = costs.scheme_table(counted.where(F.col("cfg") == i), cfg)
-        out = out.unionByName(part.select(F.col("scheme").alias("method"), F.lit(cfg.preprocess).alias("preprocess"), F.lit(cfg.n_b).cast("long").alias("n_b"), "ratio"))
-    return out
-
-
 @register("content_defined_chunks")
 def content_defined_chunks(spark, sf_dir):
     """Cuts that follow content: more chunks are shared between edited copies than with fixed cuts."""
@@ -52,10 +40,14 @@ def content_defined_chunks(spark, sf_dir):
     return unique.agg(F.sum("n").alias("chunks"), F.count("*").alias("unique_chunks"), F.sum(F.col("n") * F.col("size")).alias("bytes"), F.sum("size").alias("unique_bytes"))
 
 
-@register("hinted_exact")
+_HINTED = f"""WITH {sql.chunks(sql.DOCUMENTS, 64)}, u AS (SELECT x, count(*) AS n, bool_or(source_id = 'src0') AS held FROM c GROUP BY x)
+SELECT sum(n)::BIGINT AS chunks, count(*) AS unique_chunks, count(*) FILTER (held) AS hinted_chunks, (count(*) FILTER (NOT held) * 64)::BIGINT AS body_bytes,
+       (count(*) FILTER (held) * 6)::BIGINT AS manifest_bytes, (sum(n) * 6 + count(*) FILTER (NOT held) * 64)::BIGINT AS up_bytes, (2 * sum(n) + 2 * count(*) FILTER (NOT held) + 1)::BIGINT AS messages FROM u"""
+
+
+@register("hinted_exact", _HINTED)
 def hinted_exact(spark, sf_dir):
-    """Exact deduplication where the sink has told sources what it holds: those chunks need no body."""
-    encoded = encode.encode_payloads(source.documents(spark, sf_dir), DedupConfig(64, "identity"))
-    manifest = encode.encode_payloads(source.documents(spark, sf_dir).where(F.col("source_id") == "src0"), DedupConfig(64, "identity")).select("chunk_key").distinct()
-    held = encoded.groupBy("chunk_key").agg(F.count("*").alias("n")).join(manifest.withColumn("held", F.lit(True)), "chunk_key", "left")
-    return held.agg(F.sum("n").alias("chunks"), F.count("*").alias("unique_chunks"), F.count(F.when(F.col("held"), 1)).alias("hinted_chunks"), (F.count(F.when(F.col("held").isNull(), 1)) * 64).alias("body_bytes"))
+    """Exact deduplication where the sink has told sources, in one manifest, what it holds (all of the first source's chunks): those chunks need no body."""
+    cfg = DedupConfig(64, "identity")
+    unique = encode.unique_chunks(source.documents(spark, sf_dir).withColumn("source_id", F.when(F.col("source_id") == "src0", "held").otherwise("new")), [cfg], by_source=True)
+    return schemes.hinted(unique.groupBy("chunk_key").agg(F.sum("n").alias("n"), F.max(F.col("source_id") == "held").alias("held")), cfg)

@@ -142,6 +142,9 @@ def basis_table_shipdate(spark, sf_dir):
     return basis_table(source.ship_dates(spark, sf_dir, 32), _table_rows("shipdate", (4, 8, 16)))
 
 
-@register("basis_table_events")
+_EVENTS3 = sql.column("events", "user_id", "ts, event_id", sql.uint("round(value * 100)", 3), 64)
+
+
+@register("basis_table_events", _basis_table_sql(_EVENTS3, (4, 8, 16, 32, 64)))
 def basis_table_events(spark, sf_dir):
     return basis_table(source.event_values(spark, sf_dir, 192), _table_rows("events", (4, 8, 16, 32, 64)))

@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 
 from pyspark.sql import functions as F
@@ -10,7 +9,7 @@ from pyspark.sql import functions as F
 from basisflow import sqlapi
 from basisflow.config import DedupConfig
 from basisflow.functions.codecs import stream_totals
-from basisflow.operators import encode, packets, schemes
+from basisflow.operators import costs, encode, packets, pool, schemes
 from basisflow.operators.pool_store import PoolStore
 from basisflow.plans import sql
 from basisflow.plans.registry import register
@@ -33,12 +32,10 @@ def source_buffer(spark, sf_dir):
 
 @register("miss_variants", sql.outcomes(sql.RECORDS8, 8) + " SELECT body, fp_again, outcome, count(*) AS chunks, sum(7 + CASE WHEN outcome = 'new_basis' THEN size ELSE 0 END)::BIGINT AS up_bytes FROM o CROSS JOIN (VALUES ('basis', false, 8), ('chunk', false, 8), ('chunk', true, 14)) t(body, fp_again, size) GROUP BY ALL")
 def miss_variants(spark, sf_dir):
-    """A miss that sends the basis, the chunk, or the chunk with its fingerprint once more."""
-    found, out = schemes.outcomes(encode.encode_payloads(source.records8(spark, sf_dir), _C8)), None
-    for body, again in (("basis", False), ("chunk", False), ("chunk", True)):
-        part = packets.uplink_variant(found, _C8, body, again).select(F.lit(body).alias("body"), F.lit(again).alias("fp_again"), "outcome", "chunks", "up_bytes")
-        out = part if out is None else out.unionByName(part)
-    return out
+    """A miss that sends the basis, the chunk, or the chunk with its fingerprint once more: from counts alone."""
+    counted = costs.counts(encode.unique_chunks(source.records8(spark, sf_dir), [_C8]))
+    totals = schemes.outcome_totals(counted).withColumn("dev_bytes", F.col("chunks") * _C8.fixed_deviation)
+    return packets.uplink_variants(totals, _C8, (("basis", False), ("chunk", False), ("chunk", True)))
 
 
 @register("pool_store_batches", f"WITH {sql.chunks(sql.RECORDS4, 4)}, {sql.hamming(4)}, f AS (SELECT word, min(source_id::INT % 2) AS batch FROM w GROUP BY word) SELECT 0 AS batch, count(*) FILTER (batch = 0) AS new_bases FROM f UNION ALL SELECT 1, count(*) FILTER (batch = 1) FROM f UNION ALL SELECT 2, 0")
@@ -46,8 +43,7 @@ def pool_store_batches(spark, sf_dir):
     """A pool on disk takes two batches and one of them again: only what is new is added."""
     cfg = DedupConfig(4)
     encoded = encode.encode_payloads(source.records4(spark, sf_dir), cfg)
-    folder = spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="basisflow-")
-    store = PoolStore(spark, f"{folder.rstrip('/')}/pool-{uuid.uuid4().hex}", cfg)
+    store = PoolStore(spark, f"{pool.shared_folder(spark)}/pool-{uuid.uuid4().hex}", cfg)
     added = [store.append(encoded.where(F.col("source_id").cast("int") % 2 == side)) for side in (0, 1, 1)]
     return spark.createDataFrame(list(enumerate(added)), "batch int, new_bases long")
 

@@ -2,13 +2,12 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 
 from pyspark.sql import functions as F
 
 from basisflow.config import DedupConfig
-from basisflow.operators import costs, encode, protocol, schemes
+from basisflow.operators import encode, pool, protocol
 from basisflow.plans import sql
 from basisflow.plans.registry import register
 from basisflow.plans.schemes import _EVENT
@@ -27,11 +26,16 @@ def traffic_by_hop(spark, sf_dir):
     return log.groupBy("hop", "msg_type").agg(F.count("*").alias("messages"), F.sum("bytes").alias("bytes"))
 
 
-@register("three_node_trace", "SELECT * FROM (VALUES (1, 1, 'device', 'gateway', 'data'), (1, 2, 'gateway', 'device', 'ack'), (2, 1, 'gateway', 'server', 'similar'), (2, 2, 'server', 'gateway', 'new_fp'), (2, 3, 'gateway', 'server', 'similar_data'), (2, 4, 'server', 'gateway', 'ack')) t(hop, step, from_node, to_node, msg_type)")
+_STEPS = """(VALUES ('repeat', 1, 1, 'device', 'gateway', 'data'), ('repeat', 1, 2, 'gateway', 'device', 'ack'), ('repeat', 2, 1, 'gateway', 'server', 'similar'), ('repeat', 2, 2, 'server', 'gateway', 'ack'),
+ ('new_chunk', 1, 1, 'device', 'gateway', 'data'), ('new_chunk', 1, 2, 'gateway', 'device', 'ack'), ('new_chunk', 2, 1, 'gateway', 'server', 'similar'), ('new_chunk', 2, 2, 'server', 'gateway', 'ack'),
+ ('new_basis', 1, 1, 'device', 'gateway', 'data'), ('new_basis', 1, 2, 'gateway', 'device', 'ack'), ('new_basis', 2, 1, 'gateway', 'server', 'similar'), ('new_basis', 2, 2, 'server', 'gateway', 'new_fp'), ('new_basis', 2, 3, 'gateway', 'server', 'similar_data'), ('new_basis', 2, 4, 'server', 'gateway', 'ack')) t(outcome, hop, step, from_node, to_node, msg_type)"""
+
+
+@register("three_node_trace", sql.outcomes(sql.CONVERSATIONS, 8) + f" SELECT packet_id, chunk_seq, hop, step, from_node, to_node, msg_type FROM o JOIN {_STEPS} ON o.outcome = t.outcome")
 def three_node_trace(spark, sf_dir):
-    """What one new chunk causes on its way."""
-    one = spark.createDataFrame([("device", 0, bytearray(b"readings"))], "source_id string, packet_id long, payload binary")
-    return protocol.relay(encode.encode_payloads(one, _C8), _C8, protocol.three_nodes()).select("hop", "step", "from_node", "to_node", "msg_type")
+    """What every chunk of the conversations causes on its way, message by message."""
+    log = protocol.relay(encode.encode_payloads(source.conversations(spark, sf_dir), _C8), _C8, protocol.three_nodes())
+    return log.select("packet_id", "chunk_seq", "hop", "step", "from_node", "to_node", "msg_type")
 
 
 @register("illegal_messages", "SELECT * FROM (VALUES ('device', 'similar'), ('gateway', 'data'), ('gateway', 'exact')) t(from_node, msg_type)")
@@ -52,6 +56,20 @@ def poison_rejected(spark, sf_dir):
     return protocol.excluded_senders(protocol.validate(protocol.inject_bad_fingerprints(bodies, 0.01)), 5)
 
 
+@register("poison_responses", f"WITH {sql.chunks(sql.DOCUMENTS, 64)} SELECT source_id, CASE WHEN {_BAD} THEN 'failure' ELSE 'ack' END AS msg_type, count(*) AS messages FROM c GROUP BY ALL")
+def poison_responses(spark, sf_dir):
+    """What the sink answers to each sender: a failure to a body whose fingerprint is another's, else an acknowledgement."""
+    bodies = encode.chunk_payloads(source.documents(spark, sf_dir), 64).select("source_id", F.col("chunk").alias("body"))
+    answers = protocol.responses(protocol.validate(protocol.inject_bad_fingerprints(bodies, 0.01)))
+    return answers.groupBy("source_id", "msg_type").agg(F.count("*").alias("messages"))
+
+
+@register("default_schemes", "SELECT * FROM (VALUES ('basic', 'raw'), ('exact', 'exact'), ('similar', 'sim_plain')) t(kind, scheme)")
+def default_schemes(spark, sf_dir):
+    """The scheme that a node of each class sends with where the configuration names none."""
+    return spark.createDataFrame([(k, _C8.scheme_of(k)) for k in protocol.CLASSES], "kind string, scheme string")
+
+
 @register("stream_new_bases", f"WITH p AS ({_EVENT}), c AS (SELECT source_id, packet_id, 0 AS chunk_seq, h AS x FROM p), {sql.hamming(4)} SELECT count(DISTINCT word) AS bases FROM w")
 def stream_new_bases(spark, sf_dir):
     """The live pool over the event stream ends as large as the batch pool."""
@@ -67,26 +85,10 @@ def stream_traffic(spark, sf_dir):
 def _streamed(spark, stream, mode):
     """Runs a stream of finite files to its end into a table in memory; its state is in the shared folder."""
     name = f"stream_{uuid.uuid4().hex}"
-    folder = spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="basisflow-")
-    live.run_once(stream, name, f"{folder.rstrip('/')}/{name}", mode)
+    live.run_once(stream, name, f"{pool.shared_folder(spark)}/{name}", mode)
     return spark.table(name)
 
 
-@register("measured_throughput")
-def measured_throughput(spark, sf_dir):
-    """Input bits by second of cut, split and lookup by chunk length, and energy by bit under a stated power: a model, not a measurement."""
-    import time
-
-    data, rows = source.documents(spark, sf_dir), []
-    size = data.agg(F.sum(F.octet_length("payload"))).first()[0]
-    for n_b in (8, 64, 256):
-        began = time.time()
-        costs.counts(encode.unique_chunks(data, [DedupConfig(n_b)])).collect()
-        took = time.time() - began
-        rows.append((n_b, costs.throughput_mbps(size, took), costs.energy_per_bit(5.0, took, size * 8)))
-    return spark.createDataFrame(rows, "n_b int, mbps double, joule_per_bit_at_5_watts double")
-
-
 @register("window_sharing", f"WITH p AS ({_EVENT}), c AS (SELECT source_id, packet_id, ts, 0 AS chunk_seq, h AS x FROM p), {sql.hamming(4)} SELECT count(DISTINCT (ts::DATE, source_id, word)) AS daily_private, count(DISTINCT (ts::DATE, word)) AS daily_shared, count(DISTINCT word) AS shared_for_ever FROM w")
 def window_sharing(spark, sf_dir):
     """What sharing a pool over sources, and over days, saves on the events."""

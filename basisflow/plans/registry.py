@@ -24,4 +24,4 @@ def register(name: str, sql: str | None = None):
 
 def load() -> None:
     """Imports the modules whose queries belong here."""
-    from basisflow.plans import baselines, counts, deployment, network, relational, schemes  # noqa: F401
+    from basisflow.plans import baselines, counts, deployment, experiments, network, relational, schemes  # noqa: F401

@@ -22,31 +22,32 @@ def _records(spark, sf_dir):
 _W = f"WITH {sql.chunks(sql.RECORDS4, 4)}, {sql.hamming(4)}, r AS (SELECT source_id, x, (word << 1)::BIGINT AS word, count(*) AS n FROM w GROUP BY ALL)"
 
 
-def _of(spark, sf_dir, source_id):
-    return _records(spark, sf_dir).where(F.col("source_id") == source_id).select("word").distinct()
+def _half(spark, sf_dir, side):
+    """Bases of the even or of the odd sources."""
+    return _records(spark, sf_dir).where(F.col("source_id").cast("int") % 2 == side).select("word").distinct()
 
 
-@register("pool_semi_join", f"{_W} SELECT count(*) AS known, sum(n)::BIGINT AS chunks FROM r WHERE source_id = '1' AND word IN (SELECT word FROM r WHERE source_id = '0')")
+@register("pool_semi_join", f"{_W} SELECT count(*) AS known, sum(n)::BIGINT AS chunks FROM r WHERE source_id::INT % 2 = 1 AND word IN (SELECT word FROM r WHERE source_id::INT % 2 = 0)")
 def pool_semi_join(spark, sf_dir):
-    rows = _records(spark, sf_dir).where(F.col("source_id") == "1")
-    return rows.join(_of(spark, sf_dir, "0"), "word", "left_semi").agg(F.count("*").alias("known"), F.sum("n").alias("chunks"))
+    rows = _records(spark, sf_dir).where(F.col("source_id").cast("int") % 2 == 1)
+    return rows.join(_half(spark, sf_dir, 0), "word", "left_semi").agg(F.count("*").alias("known"), F.sum("n").alias("chunks"))
 
 
-@register("pool_anti_join", f"{_W} SELECT count(DISTINCT word) AS missing FROM r WHERE source_id = '1' AND word NOT IN (SELECT word FROM r WHERE source_id = '0')")
+@register("pool_anti_join", f"{_W} SELECT count(DISTINCT word) AS missing FROM r WHERE source_id::INT % 2 = 1 AND word NOT IN (SELECT word FROM r WHERE source_id::INT % 2 = 0)")
 def pool_anti_join(spark, sf_dir):
-    return _of(spark, sf_dir, "1").join(_of(spark, sf_dir, "0"), "word", "left_anti").agg(F.count("*").alias("missing"))
+    return _half(spark, sf_dir, 1).join(_half(spark, sf_dir, 0), "word", "left_anti").agg(F.count("*").alias("missing"))
 
 
-@register("pool_outer_reconcile", f"{_W}, a AS (SELECT DISTINCT word FROM r WHERE source_id = '0'), b AS (SELECT DISTINCT word FROM r WHERE source_id = '1') SELECT CASE WHEN b.word IS NULL THEN 'first' WHEN a.word IS NULL THEN 'second' ELSE 'both' END AS held_by, count(*) AS bases FROM a FULL JOIN b ON a.word = b.word GROUP BY 1")
+@register("pool_outer_reconcile", f"{_W}, a AS (SELECT DISTINCT word FROM r WHERE source_id::INT % 2 = 0), b AS (SELECT DISTINCT word FROM r WHERE source_id::INT % 2 = 1) SELECT CASE WHEN b.word IS NULL THEN 'first' WHEN a.word IS NULL THEN 'second' ELSE 'both' END AS held_by, count(*) AS bases FROM a FULL JOIN b ON a.word = b.word GROUP BY 1")
 def pool_outer_reconcile(spark, sf_dir):
-    a, b = _of(spark, sf_dir, "0").withColumn("a", F.lit(True)), _of(spark, sf_dir, "1").withColumn("b", F.lit(True))
+    a, b = _half(spark, sf_dir, 0).withColumn("a", F.lit(True)), _half(spark, sf_dir, 1).withColumn("b", F.lit(True))
     held = F.when(F.col("b").isNull(), "first").when(F.col("a").isNull(), "second").otherwise("both").alias("held_by")
     return a.join(b, "word", "full_outer").groupBy(held).agg(F.count("*").alias("bases"))
 
 
-@register("pool_set_operations", f"{_W}, a AS (SELECT DISTINCT word FROM r WHERE source_id = '0'), b AS (SELECT DISTINCT word FROM r WHERE source_id = '1') SELECT (SELECT count(*) FROM (SELECT * FROM a INTERSECT SELECT * FROM b)) AS common, (SELECT count(*) FROM (SELECT * FROM a EXCEPT SELECT * FROM b)) AS only_first, (SELECT count(*) FROM (SELECT * FROM a UNION SELECT * FROM b)) AS either")
+@register("pool_set_operations", f"{_W}, a AS (SELECT DISTINCT word FROM r WHERE source_id::INT % 2 = 0), b AS (SELECT DISTINCT word FROM r WHERE source_id::INT % 2 = 1) SELECT (SELECT count(*) FROM (SELECT * FROM a INTERSECT SELECT * FROM b)) AS common, (SELECT count(*) FROM (SELECT * FROM a EXCEPT SELECT * FROM b)) AS only_first, (SELECT count(*) FROM (SELECT * FROM a UNION SELECT * FROM b)) AS either")
 def pool_set_operations(spark, sf_dir):
-    a, b = _of(spark, sf_dir, "0"), _of(spark, sf_dir, "1")
+    a, b = _half(spark, sf_dir, 0), _half(spark, sf_dir, 1)
     count = lambda df, name: df.agg(F.count("*").alias(name))
     both = count(a.intersect(b), "common").crossJoin(F.broadcast(count(a.exceptAll(b), "only_first")))
     return both.crossJoin(F.broadcast(count(a.union(b).distinct(), "either")))  # one row each
@@ -128,14 +129,24 @@ def approximate_bases(spark, sf_dir):
     return rows.agg(F.count("*").alias("chunks"), F.hll_sketch_estimate(F.hll_sketch_agg("chunk", F.lit(14))).alias("exact_bases"), F.hll_sketch_estimate(F.hll_sketch_agg("codeword", F.lit(14))).alias("bases"))
 
 
-@register("choose_transform")
+_CANDIDATES = [DedupConfig(n, t, preprocess=p) for n in (4, 8, 16) for t in ("identity", "hamming") for p in ("none", "offset")]
+
+
+def _candidates_sql() -> str:
+    parts = []
+    for c in _CANDIDATES:
+        counted = sql.counted(sql.RECORDS8, c.n_b, c.preprocess, dev=str(c.fixed_deviation), transform=c.transform)
+        parts.append(f"SELECT {c.n_b} AS n_b, '{c.transform}' AS transform, '{c.preprocess}' AS preprocess, chunks, bases, chunks * {c.n_b} / (bases * {c.n_b} + chunks * 6 + q_dev)::DOUBLE AS ratio FROM ({counted} SELECT * FROM k)")
+    return " UNION ALL ".join(parts)
+
+
+@register("choose_transform", _candidates_sql())
 def choose_transform(spark, sf_dir):
-    """Extension: every candidate's ratio in one scan, best first."""
+    """Extension: every candidate's ratio under the dual scheme in one scan, best first."""
     from basisflow.operators import costs
 
-    cfgs = [DedupConfig(n, t, preprocess=p) for n in (4, 8, 16) for t in ("identity", "hamming") for p in ("none", "offset")]
-    names = spark.createDataFrame([(i, c.n_b, c.transform, c.preprocess) for i, c in enumerate(cfgs)], "cfg int, n_b int, transform string, preprocess string")
-    counted = costs.counts(encode.unique_chunks(source.records8(spark, sf_dir), cfgs)).join(F.broadcast(names), "cfg")
+    names = spark.createDataFrame([(i, c.n_b, c.transform, c.preprocess) for i, c in enumerate(_CANDIDATES)], "cfg int, n_b int, transform string, preprocess string")
+    counted = costs.counts(encode.unique_chunks(source.records8(spark, sf_dir), _CANDIDATES)).join(F.broadcast(names), "cfg")
     h = 6
     ratio = F.col("chunks") * F.col("n_b") / (F.col("bases") * F.col("n_b") + F.col("chunks") * h + F.col("q_dev"))
-    return counted.select("n_b", "transform", "preprocess", "chunks", "bases", ratio.alias("ratio"))
+    return counted.select("n_b", "transform", "preprocess", "chunks", "bases", ratio.alias("ratio")).orderBy(F.desc("ratio"), "n_b", "transform", "preprocess")

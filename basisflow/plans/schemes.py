@@ -4,8 +4,8 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from basisflow.config import FP_EXAMPLE, FP_STUDY, FP_SYNTH, DedupConfig, HammingParams, max_ratio, pool_capacity
-from basisflow.functions.fingerprints import collision_report
+from basisflow.config import FP_EXAMPLE, FP_STUDY, DedupConfig, HammingParams, max_ratio, pool_capacity
+from basisflow.functions.fingerprints import collision_report, collision_reports, fingerprint
 from basisflow.operators import costs, encode, pool, schemes, synthetic
 from basisflow.plans import sql
 from basisflow.plans.registry import register
@@ -68,7 +68,7 @@ def min_matches_example(spark, sf_dir):
 
 @register("dual_outcomes", sql.outcomes(sql.DOCUMENTS, 8) + " SELECT outcome, count(*) AS chunks FROM o GROUP BY outcome")
 def dual_outcomes(spark, sf_dir):
-    return schemes.outcomes(encode.encode_payloads(source.documents(spark, sf_dir), _D8)).groupBy("outcome").agg(F.count("*").alias("chunks"))
+    return schemes.outcome_totals(counted(source.documents(spark, sf_dir), _D8)).select("outcome", "chunks")
 
 
 _SENT = {
@@ -84,27 +84,25 @@ _VALUES = ", ".join(f"('{s}', '{o}', {a + d}, {n})" for s, by in _SENT.items() f
 @register("message_log_totals", sql.outcomes(sql.CONVERSATIONS, 8) + f" SELECT scheme, t.outcome, count(*) AS chunks, sum(n)::BIGINT AS messages, sum(size)::BIGINT AS up_bytes FROM o JOIN (VALUES {_VALUES}) t(scheme, outcome, size, n) ON o.outcome = t.outcome GROUP BY scheme, t.outcome")
 def message_log_totals(spark, sf_dir):
     """Every message of every scheme, then summed: equals the closed forms."""
-    found = schemes.outcomes(encode.encode_payloads(source.conversations(spark, sf_dir), _D8))
+    found = pool.kept(schemes.outcomes(encode.encode_payloads(source.conversations(spark, sf_dir), _D8)), "outcomes")
     out = None
     for scheme in ("raw", "exact", "sim_plain", "sim_short", "sim_dual"):
-        log = schemes.message_log(found, _D8, scheme)
-        part = log.groupBy("outcome").agg(F.lit(scheme).alias("scheme"), F.count(F.when(F.col("step") == 1, 1)).alias("chunks"), F.count("*").alias("messages"), F.sum(F.when(F.col("direction") == "up", F.col("bytes"))).alias("up_bytes"))
-        part = part.select("scheme", "outcome", "chunks", "messages", "up_bytes")
+        part = schemes.message_log(found, _D8, scheme).withColumn("scheme", F.lit(scheme))
         out = part if out is None else out.unionByName(part)
-    return out
+    return out.groupBy("scheme", "outcome").agg(F.count(F.when(F.col("step") == 1, 1)).alias("chunks"), F.count("*").alias("messages"), F.sum(F.when(F.col("direction") == "up", F.col("bytes"))).alias("up_bytes"))
 
 
 @register("traffic_16_nodes", sql.outcomes(sql.RECORDS8, 8) + f" SELECT scheme, sum(n)::BIGINT AS messages, sum(size)::BIGINT AS up_bytes FROM o JOIN (VALUES {_VALUES}) t(scheme, outcome, size, n) ON o.outcome = t.outcome GROUP BY scheme")
 def traffic_16_nodes(spark, sf_dir):
-    """Sixteen sources, one sink, a shared pool: messages and bytes under each scheme."""
-    found = schemes.outcomes(encode.encode_payloads(source.records8(spark, sf_dir), _D8))
-    return schemes.traffic(found, _D8).groupBy("scheme").agg(F.sum("messages").alias("messages"), F.sum("up_bytes").alias("up_bytes"))
+    """Sixteen sources, one sink, a shared pool: messages and bytes under each scheme, from counts alone."""
+    found = schemes.outcome_totals(counted(source.records8(spark, sf_dir), _D8))
+    return schemes.traffic_of_totals(found, _D8).groupBy("scheme").agg(F.sum("messages").alias("messages"), F.sum("up_bytes").alias("up_bytes"))
 
 
 @register("shared_vs_private_pool", f"WITH {sql.chunks(sql.RECORDS4, 4)}, {sql.hamming(4)} SELECT 'private' AS pool, count(DISTINCT (source_id, x)) AS exact_bases, count(DISTINCT (source_id, word)) AS bases FROM w UNION ALL SELECT 'shared', count(DISTINCT x), count(DISTINCT word) FROM w")
 def shared_vs_private_pool(spark, sf_dir):
     """What sharing one pool among sixteen sources saves."""
-    unique = encode.unique_chunks(source.records4(spark, sf_dir), [DedupConfig(4)], by_source=True)
+    unique = pool.kept(encode.unique_chunks(source.records4(spark, sf_dir), [DedupConfig(4)], by_source=True), "unique")
     private = costs.counts(unique, ("cfg", "source_id")).agg(F.lit("private").alias("pool"), F.sum("exact_bases").alias("exact_bases"), F.sum("bases").alias("bases"))
     shared = unique.groupBy("chunk_key").agg(F.first("basis_key").alias("basis_key")).groupBy("basis_key").agg(F.count("*").alias("u")).agg(F.lit("shared").alias("pool"), F.sum("u").alias("exact_bases"), F.count("*").alias("bases"))
     return private.unionByName(shared)
@@ -152,25 +150,54 @@ _WIDTHS = [("md5", w) for w in (1, 2, 3, 4, 6)] + [("sha1", 2), ("sha256", 2)]
 @register("fp_collisions_by_width", f"WITH {sql.chunks(sql.DOCUMENTS, 8)}, u AS (SELECT x, count(*) AS n FROM c GROUP BY x) " + " UNION ALL ".join(_collision_sql(a, w) for a, w in _WIDTHS))
 def fp_collisions_by_width(spark, sf_dir):
     bodies = encode.unique_chunks(source.documents(spark, sf_dir), [_D8]).select(F.col("chunk_key").alias("body"), "n")
-    out = None
-    for algo, width in _WIDTHS:
-        part = collision_report(bodies, algo, width)
-        out = part if out is None else out.unionByName(part)
+    return collision_reports(bodies, _WIDTHS)
+
+
+def _crc_table() -> list[int]:
+    """The public CRC-32 table, from its reflected polynomial."""
+    out = []
+    for value in range(256):
+        for _ in range(8):
+            value = value >> 1 ^ (0xEDB88320 if value & 1 else 0)
+        out.append(value)
     return out
 
 
-@register("fp_crc32_collisions")
+_CRC = f"xor(4294967295, list_reduce(list_prepend(4294967295, list_transform(range(0, length(x) // 2), lambda i: ('0x' || substr(x, 2 * i + 1, 2))::BIGINT)), lambda a, v: xor(a >> 8, list_extract({_crc_table()}, (xor(a, v) & 255) + 1))))"
+
+
+@register("fp_crc32_collisions", f"WITH {sql.chunks(sql.DOCUMENTS, 8)}, u AS (SELECT x, count(*) AS n FROM c GROUP BY x), f AS (SELECT {_CRC} AS fp, count(*) AS b, sum(n) AS n FROM u GROUP BY 1) SELECT 'crc32' AS algo, 4::BIGINT AS fp_bytes, sum(b)::BIGINT AS bodies, count(*) AS fps, count(*) FILTER (b > 1) AS colliding_fps, coalesce(sum(n) FILTER (b > 1), 0)::BIGINT AS affected_chunks FROM f")
 def fp_crc32_collisions(spark, sf_dir):
-    """DuckDB has no crc32."""
     bodies = encode.unique_chunks(source.documents(spark, sf_dir), [_D8]).select(F.col("chunk_key").alias("body"), "n")
     return collision_report(bodies, "crc32", 4)
 
 
-@register("corruption_by_scheme")
+def _cut_md5(body: str, width: int) -> str:
+    return f"substr(md5(unhex({body})), 1, {2 * width})"
+
+
+_WORD = "lpad(upper(to_hex((word << 1)::UBIGINT)), 16, '0')"
+_CORRUPTION = f"""WITH {sql.chunks(sql.DOCUMENTS, 8)}, {sql.hamming(8)},
+u AS (SELECT x, any_value({_WORD}) AS b, count(*) AS n, min(packet_id * 1048576 + chunk_seq) AS f FROM w GROUP BY x),
+s AS (SELECT b, sum(n) AS n, min(f) AS f FROM u GROUP BY b),
+e1 AS (SELECT {_cut_md5('x', 2)} AS fp, arg_min(x, f) AS held FROM u GROUP BY 1),
+p2 AS (SELECT {_cut_md5('b', 2)} AS fp, arg_min(b, f) AS held FROM s GROUP BY 1),
+p1 AS (SELECT {_cut_md5('b', 1)} AS fp, arg_min(b, f) AS held FROM s GROUP BY 1),
+c1 AS (SELECT {_cut_md5('x', 1)} AS fp, arg_min(x, f) AS held FROM u GROUP BY 1),
+b1 AS (SELECT {_cut_md5('b', 1)} AS fp, arg_min(b, f) AS held FROM u GROUP BY 1),
+cb AS (SELECT {_cut_md5('x', 1)} AS fx, {_cut_md5('b', 1)} AS fb, arg_min(x, f) AS held FROM u GROUP BY 1, 2),
+d AS (SELECT n, cb.held <> x AS unseen, c1.held <> x OR b1.held <> b AS other FROM u JOIN c1 ON c1.fp = {_cut_md5('x', 1)} JOIN b1 ON b1.fp = {_cut_md5('b', 1)} JOIN cb ON fx = {_cut_md5('x', 1)} AND fb = {_cut_md5('b', 1)})
+SELECT 'exact' AS scheme, coalesce(sum(n), 0)::BIGINT AS wrong_chunks, 0::BIGINT AS caught_chunks FROM u JOIN e1 ON fp = {_cut_md5('x', 2)} WHERE x <> held
+UNION ALL SELECT 'sim_plain', coalesce(sum(n), 0)::BIGINT, 0 FROM s JOIN p2 ON fp = {_cut_md5('b', 2)} WHERE b <> held
+UNION ALL SELECT 'sim_short', coalesce(sum(n), 0)::BIGINT, 0 FROM s JOIN p1 ON fp = {_cut_md5('b', 1)} WHERE b <> held
+UNION ALL SELECT 'sim_dual', coalesce(sum(n) FILTER (unseen), 0)::BIGINT, coalesce(sum(n) FILTER (NOT unseen AND other), 0)::BIGINT FROM d"""
+
+
+@register("corruption_by_scheme", _CORRUPTION)
 def corruption_by_scheme(spark, sf_dir):
     """Chunks restored wrongly with 2-byte fingerprints: short is worst, dual catches what its halves disagree on."""
     cfg = DedupConfig(8, fp_bytes=2)
-    unique = encode.unique_chunks(source.documents(spark, sf_dir), [cfg])
+    unique = pool.kept(encode.unique_chunks(source.documents(spark, sf_dir), [cfg]), "unique")
     out = None
     for scheme in ("exact", "sim_plain", "sim_short", "sim_dual"):
         part = schemes.corruption(unique, cfg, scheme).withColumn("scheme", F.lit(scheme))
@@ -178,6 +205,27 @@ def corruption_by_scheme(spark, sf_dir):
     return out
 
 
+_TAMPERED = "('0x' || substr(sha256(unhex(x)), 1, 8))::BIGINT < 42949672"
+
+
+@register("dual_sink_check", f"WITH {sql.chunks(sql.DOCUMENTS, 8)} SELECT count(*) AS chunks, count(*) FILTER ({_TAMPERED}) AS tampered, 0::BIGINT AS good_refused, count(*) FILTER ({_TAMPERED}) AS bad_refused FROM c")
+def dual_sink_check(spark, sf_dir):
+    """The sink of the dual scheme rebuilds every chunk and holds it against the half fingerprint that was sent; for a hundredth the deviation names another bit."""
+    from basisflow.functions import hamming
+    from basisflow.operators import packets
+
+    rows = hamming.with_codeword(encode.chunk_payloads(source.documents(spark, sf_dir), 8), 8)
+    bad = F.conv(F.substring(F.sha2("chunk", 256), 1, 8), 16, 10).cast("long") < 42949672
+    place = F.when(bad, (F.col("syndrome") + 1) % 64).otherwise(F.col("syndrome"))
+    # place 0 stands for no error: the spare bit goes apart
+    flipped = F.when(place > 0, F.call_function("shiftleft", F.lit(1).cast("long"), place.cast("int"))).otherwise(F.lit(0).cast("long"))
+    word = F.col("word").bitwiseXOR(flipped).bitwiseOR(F.col("spare").cast("long"))
+    rebuilt = F.unhex(F.lpad(F.hex(word), 16, "0"))
+    half = fingerprint(F.col("chunk"), "md5", 6 // 2)
+    checked = rows.withColumn("word", hamming.words_of(F.col("codeword"), 8)[0]).select(bad.alias("bad"), packets.verify_dual(rebuilt, half, "md5", 3).alias("right"))
+    return checked.agg(F.count("*").alias("chunks"), F.count(F.when(F.col("bad"), 1)).alias("tampered"), F.count(F.when(~F.col("bad") & ~F.col("right"), 1)).alias("good_refused"), F.count(F.when(F.col("bad") & ~F.col("right"), 1)).alias("bad_refused"))
+
+
 _SAME = "SELECT 0::BIGINT AS mismatches, (SELECT count(*) FROM ({0}) WHERE length(h) > 0) AS packets"
 _ROUNDTRIPS = {
     "roundtrip_hamming": (source.documents, sql.DOCUMENTS, DedupConfig(64)),
@@ -199,20 +247,6 @@ for _name, (_load, _sql, _cfg) in _ROUNDTRIPS.items():
     register(_name, _SAME.format(_sql))(_roundtrip)
 
 
-@register("synthetic_ratio")
-def synthetic_ratio(spark, sf_dir):
-    """Ratios on balls of random one-bit flips, for every chunk length: grows with the chunk, exact stays near 1.6."""
-    out = None
-    for m in range(3, 16):
-        cfg = DedupConfig(HammingParams(m).n_b, fp_algo="crc32", fp_bytes=FP_SYNTH)
-        n_bases = max(1, min(256, (1 << 15) >> m))
-        table = costs.scheme_table(counted(synthetic.ball(spark, m, n_bases, 1 << m), cfg), cfg) if m > 7 else costs.scheme_table(counted(synthetic.ball(spark, m, 256, 1 << m), cfg), cfg)
-        expected = synthetic.expected_ratio(m, FP_SYNTH)
-        part = table.where(F.col("scheme").isin("exact", "sim_plain")).select(F.lit(m).alias("m"), F.lit(cfg.n_b).alias("n_b"), "scheme", "chunks", "bodies", "ratio", F.when(F.col("scheme") == "exact", expected["exact"]).otherwise(expected["sim_plain"]).alias("expected_ratio"))
-        out = part if out is None else out.unionByName(part)
-    return out
-
-
 @register("storage_repeat_sweep", "SELECT r AS times, 65536 * r AS chunks, 65536 * 2 + 65536 * r * 4 AS exact_bytes, 2048 * 2 + 65536 * r * 4 + 65536 * r AS similar_bytes FROM (VALUES (1), (2), (4), (8)) t(r)")
 def storage_repeat_sweep(spark, sf_dir):
     """All 2-byte chunks, repeated: bytes at rest with 4-byte fingerprints."""
@@ -223,16 +257,6 @@ def storage_repeat_sweep(spark, sf_dir):
     return out
 
 
-@register("unique_sweep", "SELECT u AS unique_per_basis, 65536 AS chunks, 65536 // u AS bases, 65536 * 8 + 65536 * 4 AS exact_bytes, (65536 // u) * 8 + 65536 * 5 AS similar_bytes FROM (VALUES (1), (4), (16), (64)) t(u)")
-def unique_sweep(spark, sf_dir):
-    """As many chunks, ever more of them on one basis."""
-    cfg, out = DedupConfig(8, fp_bytes=4), None
-    for unique in (1, 4, 16, 64):
-        part = costs.storage(counted(synthetic.unique_sweep(spark, 1 << 16, unique), cfg), cfg).select(F.lit(unique).alias("unique_per_basis"), "chunks", "bases", "exact_bytes", "similar_bytes")
-        out = part if out is None else out.unionByName(part)
-    return out
-
-
 def _ball_sql(m: int) -> str:
     p = HammingParams(m)
     positions = sorted((q for q in range(3, 1 << m) if q & (q - 1)), reverse=True)

@@ -25,6 +25,18 @@ def ship_dates(n_b: int) -> str:
       FROM lineitem WINDOW w AS (PARTITION BY l_suppkey ORDER BY l_shipdate)) GROUP BY source_id, packet_id"""
 
 
+def uint(value: str, width: int) -> str:
+    """Hex of the lowest ``width`` bytes of an integer."""
+    return f"right(lpad(upper(to_hex(({value})::BIGINT)), 16, '0'), {2 * width})"
+
+
+def column(table: str, source: str, order: str, value: str, samples: int) -> str:
+    """A column as packets of ``samples`` values (hex) per source, in order."""
+    return f"""SELECT source_id, packet_id, string_agg(v, '' ORDER BY pos) AS h FROM (
+      SELECT {source}::VARCHAR AS source_id, (row_number() OVER w - 1) // {samples} AS packet_id, row_number() OVER w AS pos, {value} AS v
+      FROM {table} WINDOW w AS (PARTITION BY {source} ORDER BY {order})) GROUP BY source_id, packet_id"""
+
+
 def chunks(payloads: str, n_b: int) -> str:
     """CTE bodies p and c: c has source_id, packet_id, chunk_seq and x (hex of the padded chunk)."""
     w = 2 * n_b
@@ -81,7 +93,7 @@ def rs2(n_b: int, source: str = "c") -> str:
 def counted(payloads: str, n_b: int, kind: str = "none", width: int = 1, dev: str = "0", transform: str = "hamming") -> str:
     """``WITH`` clause up to k: one row of chunks, exact_bases, bases, dev_sum, q_chunks, q_dev for one fixed deviation length."""
     raw = "x" if kind == "none" else "raw"
-    code = hamming(n_b, "c2") if transform == "hamming" else rs2(n_b, "c2")
+    code = {"hamming": lambda: hamming(n_b, "c2"), "rs": lambda: rs2(n_b, "c2"), "identity": lambda: "w AS (SELECT *, x AS word FROM c2)"}[transform]()
     return f"""WITH {chunks(payloads, n_b)}, {prepared(n_b, kind, width)}, {code},
 k AS (SELECT count(*) AS chunks, count(DISTINCT {raw}) AS exact_bases, count(DISTINCT word) AS bases, count(*) * {dev} AS dev_sum,
              count(DISTINCT {raw}) - count(DISTINCT word) AS q_chunks, (count(DISTINCT {raw}) - count(DISTINCT word)) * {dev} AS q_dev FROM w)"""

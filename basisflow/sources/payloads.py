@@ -82,3 +82,9 @@ def ship_dates(spark, sf_dir, n_b: int) -> DataFrame:
 def event_values(spark, sf_dir, n_b: int) -> DataFrame:
     """Event values in hundredths as 3-byte integers, per user, in time order; ``n_b`` must hold whole samples."""
     return column_stream(table(spark, sf_dir, "events"), "user_id", ["ts", "event_id"], pack_uint(hundredths(F.col("value")), 3), n_b // 3)
+
+
+def embeddings(spark, sf_dir) -> DataFrame:
+    """Vectors as 2-byte fixed-point numbers, a packet each."""
+    parts = F.transform("embedding", lambda x: F.right(F.lpad(F.hex((F.floor(x.cast("double") * 1024 + 0.5) + 32768).cast("long")), 16, "0"), F.lit(4)))
+    return table(spark, sf_dir, "embeddings").select(F.lit("0").alias("source_id"), F.col("vec_id").alias("packet_id"), F.unhex(F.array_join(parts, "")).alias("payload"))
