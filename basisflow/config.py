@@ -9,11 +9,13 @@ import hashlib
 import math
 from dataclasses import asdict, dataclass
 
+from basisflow.functions.preprocess import wide_bits
+
 #: Fingerprint presets: real-data study, synthetic study, worked cost example.
 FP_STUDY, FP_SYNTH, FP_EXAMPLE = 6, 4, 20
 SCHEMES = ("raw", "exact", "sim_plain", "sim_short", "sim_dual")
 TRANSFORMS = ("identity", "hamming", "rs")
-PREPROCESS = ("none", "offset", "delta")
+PREPROCESS = ("none", "offset", "delta", "delta_wide")
 DIGEST_BYTES = {"sha1": 20, "sha256": 32, "md5": 16, "crc32": 4}
 
 
@@ -136,17 +138,26 @@ class DedupConfig:
         if self.n_b < 1 or self.n_b % self.sample_width:
             raise ValueError("chunks must hold whole samples")
         if self.transform == "hamming":
+            if self.preprocess == "delta_wide":
+                raise ValueError("wide differences do not fill a power of two of bytes: use identity or rs")
             HammingParams(m_for_chunk(self.n_b))
         if self.transform == "rs":
-            RSParams(self.n_b, self.basis_bytes)
+            RSParams(self.body_bytes, self.basis_bytes)
+
+    @property
+    def body_bytes(self) -> int:
+        """Bytes of a chunk after preprocessing."""
+        if self.preprocess == "delta_wide":
+            return -(-wide_bits(self.n_b // self.sample_width, self.sample_width) // 8)
+        return self.n_b
 
     @property
     def basis_bytes(self) -> int:
         if self.transform == "identity":
-            return self.n_b
+            return self.body_bytes
         if self.transform == "hamming":
             return HammingParams(m_for_chunk(self.n_b)).k_b
-        return self.n_b - 2 if self.k_b is None else self.k_b
+        return self.body_bytes - 2 if self.k_b is None else self.k_b
 
     @property
     def side_bytes(self) -> int:
@@ -161,7 +172,7 @@ class DedupConfig:
         if self.transform == "hamming":
             return HammingParams(m_for_chunk(self.n_b)).deviation_bytes + self.side_bytes
         if self.rs_length == "max":
-            return -(-rs_deviation_bits(self.n_b, covering_radius(self.n_b, self.basis_bytes)) // 8) + self.side_bytes
+            return -(-rs_deviation_bits(self.body_bytes, covering_radius(self.body_bytes, self.basis_bytes)) // 8) + self.side_bytes
         return None
 
     def scheme_of(self, kind: str) -> str:

@@ -57,25 +57,48 @@ def restore_delta(chunks: np.ndarray, width: int = 1) -> np.ndarray:
     return to_bytes(np.cumsum(samples(chunks, width), axis=1) % (1 << 8 * width), width)
 
 
-def delta_wide(values: list[int]) -> list[int]:
-    """First sample, then signed differences, which need one bit more."""
-    return values[:1] + [b - a for a, b in zip(values, values[1:], strict=False)]
-
-
 def wide_bits(count: int, width: int) -> int:
-    """Bits of a chunk of ``count`` samples after ``delta_wide``."""
+    """Bits of a chunk of ``count`` samples after ``delta_wide``: the first sample, then differences with a sign bit more."""
     return count and 8 * width + (count - 1) * (8 * width + 1)
 
 
+def _bit_places(count: int, width: int):
+    """For every bit of a widened chunk: the number it belongs to, and its place in it."""
+    size = np.full(count, 8 * width + 1)
+    size[0] = 8 * width
+    owner = np.repeat(np.arange(count), size)
+    return owner, np.concatenate([np.arange(n - 1, -1, -1) for n in size])
+
+
+def delta_wide(chunks: np.ndarray, width: int = 1) -> np.ndarray:
+    """First sample and signed differences, bit after bit, the rest of the last byte zero."""
+    _checked(width)
+    values = samples(chunks, width)
+    values[:, 1:] -= values[:, :-1].copy()
+    owner, place = _bit_places(values.shape[1], width)
+    return np.packbits((values[:, owner] >> place & 1).astype(np.uint8), axis=1)
+
+
+def restore_wide(body: np.ndarray, width: int = 1) -> np.ndarray:
+    count = (8 * body.shape[1] - 8 * width) // (8 * width + 1) + 1
+    owner, place = _bit_places(count, width)
+    bits = np.unpackbits(body, axis=1)[:, : len(owner)].astype(np.int64) << place
+    values = np.add.reduceat(bits, np.searchsorted(owner, np.arange(count)), axis=1)
+    values[:, 1:] -= (values[:, 1:] >> 8 * width) << (8 * width + 1)  # sign
+    return to_bytes(np.cumsum(values, axis=1), width)
+
+
 def apply(chunks: np.ndarray, kind: str, width: int):
     """(chunks, side data as rows of bytes or None)."""
     if kind == "offset":
         out, least = remove_offset(chunks, width)
         return out, to_bytes(least[:, None], width)
-    return (delta_modular(chunks, width), None) if kind == "delta" else (chunks, None)
+    change = {"delta": delta_modular, "delta_wide": delta_wide}.get(kind)
+    return (change(chunks, width) if change else chunks), None
 
 
 def undo(chunks: np.ndarray, side: np.ndarray | None, kind: str, width: int) -> np.ndarray:
     if kind == "offset":
         return restore_offset(chunks, samples(side, width)[:, 0], width)
-    return restore_delta(chunks, width) if kind == "delta" else chunks
+    change = {"delta": restore_delta, "delta_wide": restore_wide}.get(kind)
+    return change(chunks, width) if change else chunks

@@ -45,7 +45,7 @@ def cut(payloads: list[bytes], n_b: int):
 
 
 def split(chunks: np.ndarray, cfg: DedupConfig, with_basis: bool = True):
-    """(basis rows, deviations as bytes or None, deviation lengths).
+    """(basis rows, deviations as rows of bytes, as a list of bytes where their lengths differ, or None, and their lengths).
 
     Without ``with_basis`` the error-free word stands for the basis: there is one for each.
     """
@@ -71,30 +71,42 @@ def split(chunks: np.ndarray, cfg: DedupConfig, with_basis: bool = True):
     if not with_basis:
         return basis, None, lengths
     whole = own if side is None else np.concatenate([own, side], axis=1)
-    return basis, [row.tobytes() for row in whole], lengths
+    return basis, whole, lengths
 
 
 def restore(bases: np.ndarray, deviations: list[bytes], cfg: DedupConfig) -> np.ndarray:
     """Chunks from bases and deviations."""
     side = None
     if cfg.side_bytes:
-        side = np.array([list(d[len(d) - cfg.side_bytes :]) for d in deviations], np.uint8).reshape(-1, cfg.side_bytes)
+        side = np.frombuffer(b"".join(d[len(d) - cfg.side_bytes :] for d in deviations), np.uint8).reshape(-1, cfg.side_bytes)
         deviations = [d[: len(d) - cfg.side_bytes] for d in deviations]
     if cfg.transform == "identity":
         body = bases
     elif cfg.transform == "hamming":
-        value = np.array([int.from_bytes(d, "big") for d in deviations], np.int64)
+        value = np.zeros(len(bases), np.int64)
+        for part in np.frombuffer(b"".join(deviations), np.uint8).reshape(len(bases), -1).T:
+            value = value << 8 | part
         body = hamming.join(bases, value >> 1, value & 1, hamming.m_for_chunk(cfg.n_b))
     else:
-        body = reed_solomon.join(bases, deviations, cfg.n_b)
+        body = reed_solomon.join(bases, deviations, cfg.body_bytes)
     return preprocess.undo(body, side, cfg.preprocess, cfg.sample_width)
 
 
-def keys(rows: np.ndarray) -> list[bytes]:
+def binary(rows: np.ndarray) -> pa.Array:
+    """Rows of bytes as an Arrow column, without Python objects."""
+    rows = np.ascontiguousarray(rows)
+    offsets = np.arange(len(rows) + 1, dtype=np.int64) * rows.shape[1]
+    if offsets[-1] >= 1 << 31:
+        raise ValueError("a batch of bodies must stay under 2 GiB")
+    return pa.BinaryArray.from_buffers(pa.binary(), len(rows), [None, pa.py_buffer(offsets.astype(np.int32)), pa.py_buffer(rows)])
+
+
+def keys(rows: np.ndarray) -> pa.Array:
     """Identity keys of rows of bytes."""
     if rows.shape[1] <= 16:
-        return [r.tobytes() for r in rows]
-    return [xxhash.xxh3_128_digest(r.tobytes()) for r in np.ascontiguousarray(rows)]
+        return binary(rows)
+    digest, body, n = xxhash.xxh3_128_digest, memoryview(np.ascontiguousarray(rows)).cast("B"), rows.shape[1]
+    return pa.array([digest(body[i : i + n]) for i in range(0, len(rows) * n, n)], pa.binary())
 
 
 def _blocks(payloads: list[bytes], n_b: int):
@@ -123,7 +135,7 @@ def encode_payloads(payloads: DataFrame, cfg: DedupConfig) -> DataFrame:
                 if len(chunks):
                     basis, deviation, lengths = split(chunks, cfg)
                     rows = pa.array(owner + first)
-                    yield pa.RecordBatch.from_arrays([source.take(rows), packet.take(rows), pa.array(place.astype(np.int32)), pa.array(valid.astype(np.int32)), pa.array(keys(chunks), pa.binary()), pa.array(keys(basis), pa.binary()), pa.array([b.tobytes() for b in basis], pa.binary()), pa.array(deviation, pa.binary()), pa.array(lengths)], ["source_id", "packet_id", "chunk_seq", "valid_len", "chunk_key", "basis_key", "basis", "deviation", "dev_bytes"])
+                    yield pa.RecordBatch.from_arrays([source.take(rows), packet.take(rows), pa.array(place.astype(np.int32)), pa.array(valid.astype(np.int32)), keys(chunks), keys(basis), binary(basis), binary(deviation) if isinstance(deviation, np.ndarray) else pa.array(deviation, pa.binary()), pa.array(lengths)], ["source_id", "packet_id", "chunk_seq", "valid_len", "chunk_key", "basis_key", "basis", "deviation", "dev_bytes"])
                 first += len(part)
 
     schema = "source_id string, packet_id long, chunk_seq int, valid_len int, chunk_key binary, basis_key binary, basis binary, deviation binary, dev_bytes long"
@@ -158,7 +170,7 @@ def unique_chunks(payloads: DataFrame, configs: list[DedupConfig], by_source: bo
 
 
 def _counted(c, cfg, chunks, packets, place, origin):
-    raw = np.ascontiguousarray(chunks).view(f"V{cfg.n_b}").ravel()
+    raw = np.ascontiguousarray(chunks).view({1: "u1", 2: "u2", 4: "u4", 8: "u8"}.get(cfg.n_b, f"V{cfg.n_b}")).ravel()
     order = np.lexsort((place, packets))
     if origin is None:
         _, at, back = np.unique(raw[order], return_index=True, return_inverse=True)
@@ -169,4 +181,4 @@ def _counted(c, cfg, chunks, packets, place, origin):
     counts, rows = np.bincount(back), order[at]
     basis, _, lengths = split(chunks[rows], cfg, with_basis=False)
     sources = pa.array([None if origin is None else origin[i] for i in rows], pa.string())
-    return pa.RecordBatch.from_arrays([pa.array(np.full(len(rows), c, np.int32)), sources, pa.array(keys(chunks[rows]), pa.binary()), pa.array(keys(basis), pa.binary()), pa.array(lengths), pa.array(counts.astype(np.int64)), pa.array(packets[rows]), pa.array(place[rows])], ["cfg", "source_id", "chunk_key", "basis_key", "dev_bytes", "n", "packet_id", "chunk_seq"])
+    return pa.RecordBatch.from_arrays([pa.array(np.full(len(rows), c, np.int32)), sources, keys(chunks[rows]), keys(basis), pa.array(lengths), pa.array(counts.astype(np.int64)), pa.array(packets[rows]), pa.array(place[rows])], ["cfg", "source_id", "chunk_key", "basis_key", "dev_bytes", "n", "packet_id", "chunk_seq"])

@@ -59,6 +59,14 @@ def sql_surface(spark, sf_dir):
         SELECT syndrome, count(*) AS chunks, count(DISTINCT basis) AS bases, count_if(gd_restore(basis, deviation, 8) <> chunk) AS wrong FROM s GROUP BY syndrome""")
 
 
+@register("sql_reed_solomon", f"WITH {sql.chunks(sql.CONVERSATIONS, 16)}, {sql.rs2(16)} SELECT count(*) AS chunks, count(DISTINCT x) AS exact_bases, count(DISTINCT word) AS bases FROM w")
+def sql_reed_solomon(spark, sf_dir):
+    """The Reed-Solomon split in SQL alone."""
+    sqlapi.register(spark)
+    source.conversations(spark, sf_dir).createOrReplaceTempView("basisflow_payloads")
+    return spark.sql("SELECT count(*) AS chunks, count(DISTINCT c.chunk) AS exact_bases, count(DISTINCT gd_rs_basis(c.chunk)) AS bases FROM basisflow_payloads p, LATERAL gd_chunks(p.payload, 16) c")
+
+
 @register("stream_compression")
 def stream_compression(spark, sf_dir):
     """Whole sources through DEFLATE, against each packet alone: small packets lose most of the gain."""

@@ -273,3 +273,24 @@ def rs_codes(spark, sf_dir):
     far = unique.groupBy("cfg").agg(F.max(F.col("dev_bytes") / 2).cast("long").alias("farthest"))
     counted = costs.counts(unique).join(far, "cfg").join(F.broadcast(names), "cfg")  # four rows
     return counted.select("n_b", "k_b", "chunks", "exact_bases", "bases", "farthest")
+
+
+# --- differences one bit wider, and what a pool's references tell
+
+_WIDE = DedupConfig(16, "identity", preprocess="delta_wide", sample_width=2)
+
+
+@register("wide_differences", f"SELECT scheme, chunks, bodies, total_bytes, ratio FROM ({sql.counted(sql.ship_dates(16), 16, transform='identity')} {sql.scheme_rows(16, _WIDE.basis_bytes, _WIDE.fp_bytes)})")
+def wide_differences(spark, sf_dir):
+    """Differences with a sign bit of their own make chunks longer: bodies of 17 bytes for 16."""
+    return study(source.ship_dates(spark, sf_dir, 16), [_WIDE]).select("scheme", "chunks", "bodies", "total_bytes", "ratio")
+
+
+@register("pool_entropy", f"WITH {sql.chunks(sql.DOCUMENTS, 8)}, {sql.hamming(8)}, r AS (SELECT source_id, word, count(*) AS n FROM w GROUP BY ALL) SELECT source_id, sum(n)::BIGINT AS chunks, count(*) AS bases, round(log2(sum(n)) - sum(n * log2(n)) / sum(n), 6) AS entropy_bits FROM r GROUP BY source_id")
+def pool_entropy(spark, sf_dir):
+    """Bits that naming a basis needs at least, by source: the entropy of how often each is referred to."""
+    from basisflow.functions.statistics import entropy_bits
+
+    unique = encode.unique_chunks(source.documents(spark, sf_dir), [DedupConfig(8)], by_source=True)
+    refs = unique.groupBy("source_id", "basis_key").agg(F.sum("n").alias("n"))
+    return refs.groupBy("source_id").agg(F.sum("n").alias("chunks"), F.count("*").alias("bases"), F.round(entropy_bits(F.col("n")), 6).alias("entropy_bits"))

@@ -82,6 +82,18 @@ def stream_traffic(spark, sf_dir):
     return _streamed(spark, live.traffic(live.event_values(live.read_events(spark, sf_dir)), "1 day", late="365 days"), "complete")
 
 
+@register("stream_sliding", "SELECT d + o * INTERVAL 1 DAY AS start, source_id, sum(n)::BIGINT AS packets, (sum(n) * 4)::BIGINT AS bytes FROM (SELECT time_bucket(INTERVAL 1 DAY, ts) AS d, user_id::VARCHAR AS source_id, count(*) AS n FROM events GROUP BY 1, 2) CROSS JOIN (VALUES (0), (-1)) t(o) GROUP BY 1, 2")
+def stream_sliding(spark, sf_dir):
+    """Two-day windows that slide by a day."""
+    return _streamed(spark, live.traffic(live.event_values(live.read_events(spark, sf_dir)), "2 days", "1 day", late="365 days"), "complete")
+
+
+@register("stream_sessions", "WITH g AS (SELECT *, CASE WHEN ts < lag(ts) OVER w + INTERVAL 12 HOUR THEN 0 ELSE 1 END AS fresh FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)), s AS (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS session FROM g) SELECT min(ts) AS start, max(ts) + INTERVAL 12 HOUR AS \"end\", user_id::VARCHAR AS source_id, count(*) AS packets FROM s GROUP BY user_id, session")
+def stream_sessions(spark, sf_dir):
+    """Bursts of each user: packets less than twelve hours apart."""
+    return _streamed(spark, live.sessions(live.event_values(live.read_events(spark, sf_dir)), "12 hours", late="365 days"), "complete")
+
+
 def _streamed(spark, stream, mode):
     """Runs a stream of finite files to its end into a table in memory; its state is in the shared folder."""
     name = f"stream_{uuid.uuid4().hex}"

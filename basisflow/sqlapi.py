@@ -1,4 +1,4 @@
-"""SQL functions: gd_syndrome, gd_basis, gd_deviation, gd_restore, gd_fingerprint, and the table function gd_chunks."""
+"""SQL functions: gd_syndrome, gd_basis, gd_deviation, gd_restore, gd_rs_basis, gd_fingerprint, gd_deflate_size, gd_lzw_size, and the table function gd_chunks."""
 
 from __future__ import annotations
 
@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from basisflow.config import HammingParams
-from basisflow.functions import hamming
+from basisflow.functions import codecs, hamming, reed_solomon
 
 
 def _by_length(values: pd.Series, run) -> pd.Series:
@@ -46,14 +46,30 @@ def gd_deviation(chunk: pd.Series) -> pd.Series:
 
 @F.pandas_udf(T.BinaryType())
 def gd_restore(basis: pd.Series, deviation: pd.Series, n_b: pd.Series) -> pd.Series:
-    out = []
-    for b, d, n in zip(basis, deviation, n_b, strict=True):
-        if b is None or d is None or pd.isna(n):
-            out.append(None)
-            continue
-        value = int.from_bytes(d, "big")
-        out.append(hamming.join(np.frombuffer(b, np.uint8)[None], np.array([value >> 1]), np.array([value & 1]), hamming.m_for_chunk(int(n)))[0].tobytes())
-    return pd.Series(out, dtype=object)
+    out = pd.Series([None] * len(basis), index=basis.index, dtype=object)
+    whole = ~(basis.isna() | deviation.isna() | n_b.isna())
+    for n in n_b[whole].unique():
+        where = basis.index[whole & (n_b == n)]
+        bases = np.frombuffer(b"".join(map(bytes, basis[where])), np.uint8).reshape(len(where), -1)
+        value = np.zeros(len(where), np.int64)
+        for part in np.frombuffer(b"".join(map(bytes, deviation[where])), np.uint8).reshape(len(where), -1).T:
+            value = value << 8 | part
+        out[where] = [c.tobytes() for c in hamming.join(bases, value >> 1, value & 1, hamming.m_for_chunk(int(n)))]
+    return out
+
+
+@F.pandas_udf(T.BinaryType())
+def gd_rs_basis(chunk: pd.Series) -> pd.Series:
+    """The basis under the Reed-Solomon code with two check symbols."""
+    return _by_length(chunk, lambda c: [b.tobytes() for b in reed_solomon.split(c, c.shape[1] - 2)[0]])
+
+
+def _sizes(codec: str):
+    @F.pandas_udf(T.LongType())
+    def size(body: pd.Series) -> pd.Series:
+        return body.map(lambda b: None if b is None else codecs.CODECS[codec](bytes(b))).astype("Int64")
+
+    return size
 
 
 @F.udtf(returnType=T.StructType([T.StructField("chunk_seq", T.IntegerType()), T.StructField("chunk", T.BinaryType()), T.StructField("valid_len", T.IntegerType())]))
@@ -65,7 +81,7 @@ class gd_chunks:  # noqa: N801
 
 
 def register(spark: SparkSession) -> None:
-    for name, function in (("gd_syndrome", gd_syndrome), ("gd_basis", gd_basis), ("gd_deviation", gd_deviation), ("gd_restore", gd_restore)):
+    for name, function in (("gd_syndrome", gd_syndrome), ("gd_basis", gd_basis), ("gd_deviation", gd_deviation), ("gd_restore", gd_restore), ("gd_rs_basis", gd_rs_basis), ("gd_deflate_size", _sizes("deflate")), ("gd_lzw_size", _sizes("lzw"))):
         spark.udf.register(name, function)
     spark.udtf.register("gd_chunks", gd_chunks)
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION gd_fingerprint(body BINARY, n INT) RETURNS BINARY RETURN substring(unhex(md5(body)), 1, n)")
