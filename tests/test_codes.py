@@ -95,27 +95,36 @@ def test_rs_round_trip_and_planted_errors(n_b, k_b):
 
 def test_worked_samples():
     chunk = np.array([[0, 0, 128, 0, 0, 127, 0, 0, 128]], np.uint8)
-    assert preprocess.delta_wide([128, 127, 128]) == [128, -1, 1] and preprocess.wide_bits(3, 3) == 74
+    # 128 in 24 bits, then -1 and 1 in 25 bits each
+    wide = int.from_bytes(preprocess.delta_wide(chunk, 3)[0].tobytes(), "big") >> 6
+    assert preprocess.wide_bits(3, 3) == 74 and wide == (128 << 50) | (((1 << 25) - 1) << 25) | 1
     out, least = preprocess.remove_offset(chunk, 3)
     assert preprocess.samples(out, 3).tolist() == [[1, 0, 1]] and least.tolist() == [127]
     assert preprocess.samples(preprocess.delta_modular(chunk, 3), 3).tolist() == [[128, (1 << 24) - 1, 1]]
 
 
-@pytest.mark.parametrize("kind, width", list(itertools.product(["none", "offset", "delta"], [1, 2, 3, 4])))
+@pytest.mark.parametrize("kind, width", list(itertools.product(["none", "offset", "delta", "delta_wide"], [1, 2, 3, 4])))
 def test_preprocessing_is_lossless(kind, width):
     chunks = rows(50, 24)
     out, side = preprocess.apply(chunks, kind, width)
     assert (preprocess.undo(out, side, kind, width) == chunks).all()
 
 
-@pytest.mark.parametrize("cfg", [DedupConfig(8), DedupConfig(32, preprocess="offset", sample_width=2), DedupConfig(16, "rs", preprocess="delta"), DedupConfig(16, "rs", preprocess="offset"), DedupConfig(9, "identity", preprocess="offset", sample_width=3)])
+@pytest.mark.parametrize("cfg", [DedupConfig(8), DedupConfig(32, preprocess="offset", sample_width=2), DedupConfig(16, "rs", preprocess="delta"), DedupConfig(16, "rs", preprocess="offset"), DedupConfig(9, "identity", preprocess="offset", sample_width=3), DedupConfig(16, "identity", preprocess="delta_wide", sample_width=4), DedupConfig(12, "rs", preprocess="delta_wide", sample_width=2)])
 def test_split_and_restore(cfg):
     chunks = rows(40, cfg.n_b)
     basis, deviation, lengths = encode.split(chunks, cfg)
+    deviation = [bytes(d) for d in deviation]
     assert basis.shape[1] == cfg.basis_bytes and [len(d) for d in deviation] == lengths.tolist()
     assert (encode.restore(basis, deviation, cfg) == chunks).all()
 
 
+def test_wide_differences_need_a_code_of_their_length():
+    with pytest.raises(ValueError):
+        DedupConfig(16, preprocess="delta_wide")
+    assert DedupConfig(16, "identity", preprocess="delta_wide", sample_width=2).basis_bytes == 17
+
+
 def test_lzw_example():
     codes, bits = codecs.lzw_encode(b"ababab")
     assert codes == [97, 98, 256, 256] and bits == 36

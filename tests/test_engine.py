@@ -1,14 +1,20 @@
 """Schemes, pools and protocol against a simulator that keeps its pools in dictionaries."""
 
+import bz2
 import glob
+import itertools
+import lzma
 import os
+import zlib
 
 import duckdb
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
 import __spark_entry__
 from basisflow.config import DedupConfig, HammingParams
+from basisflow.functions import codecs
 from basisflow.functions.hamming import basis8, with_codeword
 from basisflow.operators import chunking, costs, encode, pool, protocol, schemes, synthetic
 from basisflow.plans import registry
@@ -18,8 +24,6 @@ from basisflow.streaming import pool as live
 
 def simulate(chunks, cfg):
     """Bytes that a source sends for chunks in order, one sink."""
-    import numpy as np
-
     out = dict.fromkeys(("raw", "exact", "sim_plain", "sim_short", "sim_dual"), 0)
     known, bases = set(), set()
     h = cfg.fp_bytes
@@ -188,6 +192,124 @@ def test_forgetting_stream_and_sessions(spark, small, tmp_path):
     assert spark.table("bursts").columns == ["start", "end", "source_id", "packets"]
 
 
+def test_a_chunk_of_a_third_of_all_rows(spark):
+    """Blanks everywhere: outcomes and totals are as in a simulation, and the common chunk's rows never meet in a join on its key."""
+    rows = [("s", i, bytearray((b"        " if i % 3 == 0 else f"{i:08d}".encode()) + f"{i % 7:08d}".encode())) for i in range(300)]
+    data = spark.createDataFrame(rows, "source_id string, packet_id long, payload binary")
+    cfg = DedupConfig(8)
+    found = schemes.outcomes(encode.encode_payloads(data, cfg))
+    want = {"new_basis": 0, "new_chunk": 0, "repeat": 0}
+    chunks, bases = set(), set()
+    for r in sorted(encode.encode_payloads(data, cfg).collect(), key=lambda r: (r.packet_id, r.chunk_seq)):
+        key, basis = bytes(r.chunk_key), bytes(r.basis_key)
+        want["repeat" if key in chunks else "new_chunk" if basis in bases else "new_basis"] += 1
+        chunks.add(key)
+        bases.add(basis)
+    assert {r.outcome: r["count"] for r in found.groupBy("outcome").count().collect()} == {k: n for k, n in want.items() if n}
+    totals = schemes.outcome_totals(costs.counts(encode.unique_chunks(data, [cfg])))
+    assert {r.outcome: r.chunks for r in totals.collect()} == {k: n for k, n in want.items() if n}
+    assert schemes.traffic_of_totals(totals, cfg).orderBy("scheme", "outcome").collect() == schemes.traffic(found, cfg).orderBy("scheme", "outcome").collect()
+    # a private pool for each source
+    private = schemes.outcomes(encode.encode_payloads(data.withColumn("source_id", (F.col("packet_id") % 2).cast("string")), cfg), ("source_id",))
+    assert private.where("outcome = 'repeat'").count() < want["repeat"]
+
+
+def test_restoration_spreads_common_bases(spark, small, monkeypatch):
+    monkeypatch.setattr(pool, "HOT_REFS", 20)
+    cfg = DedupConfig(8)
+    data = source.conversations(spark, small)
+    encoded = encode.encode_payloads(data, cfg)
+    assert pool.roundtrip_mismatches(data, pool.reconstruct(encoded, pool.build(encoded), cfg)).count() == 0
+
+
+def pieces(data, n_b):
+    return [data[i : i + n_b].ljust(n_b, b"\0") for i in range(0, len(data), n_b)]
+
+
+@pytest.mark.parametrize("name, load, codecs_, sizes", [("deflate_ratio", source.conversations, ["deflate"], (16, 64, 256)), ("lzw_ratio", source.conversations, ["lzw"], (16, 64, 256)), ("codec_matrix", lambda s, d: source.ship_dates(s, d, 256), list(codecs.CODECS), (64, 128, 256)), ("codec_ratio_conversations", source.conversations, ["deflate", "lzw"], (16, 64, 128, 256)), ("codec_ratio_pages", source.pages, ["deflate", "lzw"], (16, 64, 128, 256)), ("codec_ratio_documents", source.documents, ["deflate", "lzw"], (16, 64, 128, 256))])
+def test_codec_totals_equal_single_chunks(spark, small, name, load, codecs_, sizes):
+    data = [bytes(r.payload) for r in load(spark, small).collect()]
+    want = {}
+    for codec, n_b in itertools.product(codecs_, sizes):
+        chunks = [c for d in data for c in pieces(d, n_b)]
+        total = 0
+        for c in chunks:
+            if codec == "deflate":
+                packer = zlib.compressobj(6, zlib.DEFLATED, -15)
+                total += len(packer.compress(c) + packer.flush())
+            elif codec == "lzw":
+                codes, bits = codecs.lzw_encode(c)
+                assert codecs.lzw_decode(codes) == c
+                total += -(-bits // 8)
+            elif codec == "bz2":
+                total += len(bz2.compress(c))
+            else:
+                total += len(lzma.compress(c, format=lzma.FORMAT_RAW, filters=[{"id": lzma.FILTER_LZMA2, "preset": 6}]))
+        want[codec, n_b] = (len(chunks), len(chunks) * n_b, total, len(chunks) * n_b / total)
+    got = {(r.codec, r.n_b): (r.chunks, r.original_bytes, r.total_bytes, r.ratio) for r in registry.QUERIES[name](spark, small).collect()}
+    assert got == want
+
+
+def test_stream_compression_equals_one_stream_per_source(spark, small):
+    data = sorted(((r.source_id, r.packet_id, bytes(r.payload)) for r in source.conversations(spark, small).collect()))
+    whole = 0
+    for _, own in itertools.groupby(data, key=lambda r: r[0]):
+        packer = zlib.compressobj(6, zlib.DEFLATED, -15)
+        whole += sum(len(packer.compress(d) + packer.flush(zlib.Z_SYNC_FLUSH)) for _, _, d in own)
+    got = {r.scope: (r.original_bytes, r.total_bytes) for r in registry.QUERIES["stream_compression"](spark, small).collect()}
+    assert got["source"] == (sum(len(d) for *_, d in data), whole)
+    alone = [c for *_, d in data for c in pieces(d, 64)]
+    assert got["packet of 64"] == (64 * len(alone), sum(codecs.deflate_size(c) for c in alone))
+
+
+def test_content_defined_totals(spark, small):
+    seen, n = {}, 0
+    for r in source.documents(spark, small).collect():
+        data, at = bytes(r.payload), 0
+        for end in chunking.boundaries(data, 64, 256, 1024):
+            n, seen[data[at:end]], at = n + 1, seen.get(data[at:end], 0) + 1, end
+    got = registry.QUERIES["content_defined_chunks"](spark, small).first()
+    assert (got.chunks, got.unique_chunks, got.bytes, got.unique_bytes) == (n, len(seen), sum(len(c) * k for c, k in seen.items()), sum(map(len, seen)))
+
+
+def test_reed_solomon_codes_by_brute_force(spark, small):
+    from basisflow.functions import reed_solomon
+
+    payloads = [bytes(r.payload) for r in source.conversations(spark, small).collect()]
+    got = {(r.n_b, r.k_b): (r.chunks, r.exact_bases, r.bases, r.farthest) for r in registry.QUERIES["rs_codes"](spark, small).collect()}
+    for n_b, k_b in ((16, 14), (64, 56), (255, 253), (255, 247)):
+        chunks = [c for p in payloads for c in pieces(p, n_b)]
+        unique = np.frombuffer(b"".join(sorted(set(chunks))), np.uint8).reshape(-1, n_b)
+        basis, wrong = reed_solomon.split(unique, k_b)
+        assert (reed_solomon.rs_syndromes(unique ^ wrong, n_b - k_b) == 0).all()  # every basis is that of a word of the code
+        assert ((unique ^ wrong)[:, :k_b] == basis).all() and got[n_b, k_b] == (len(chunks), len(unique), len(np.unique(basis, axis=0)), int((wrong != 0).sum(1).max()))
+        assert (wrong != 0).sum(1).max() <= n_b - k_b
+
+
+def test_sketched_counts_are_near(spark, small):
+    got = registry.QUERIES["approximate_bases"](spark, small).first()
+    exact = registry.QUERIES["basis_count_documents_8"](spark, small).first()
+    assert got.chunks == exact.chunks
+    assert abs(got.bases / exact.bases - 1) < 0.03 and abs(got.exact_bases / exact.exact_bases - 1) < 0.03
+
+
+def test_synthetic_study_is_as_published():
+    """Published ratios of the similar and the exact scheme at 2048 and 4096 bytes."""
+    rows = {(m, scheme): ratio for m, _, scheme, _, _, _, ratio in duckdb.sql(registry.ORACLE_SQL["synthetic_ratio"]).fetchall()}
+    assert abs(rows[14, "sim_plain"] / 334 - 1) < 0.01 and abs(rows[15, "sim_plain"] / 668 - 1) < 0.01
+    assert all(abs(rows[m, "exact"] / 1.58 - 1) < 0.01 for m in (14, 15))
+    assert all(rows[m, "sim_plain"] > 1 for m in range(6, 16)) and rows[5, "sim_plain"] < 1  # from 8 bytes up
+    assert all(rows[m, s] >= rows[m, "exact"] for m in range(6, 16) for s in ("sim_short", "sim_dual"))
+
+
+def test_random_chunks_grow_under_codecs(spark, small, monkeypatch):
+    from basisflow.plans import experiments
+
+    monkeypatch.setattr(experiments, "CODEC_PARITY", 8)
+    rows = registry.QUERIES["synthetic_codecs"](spark, small).collect()
+    assert {r.m for r in rows} == set(range(3, 9)) and all(r.ratio < 1 for r in rows)
+
+
 def views(folder):
     con = duckdb.connect()
     for path in glob.glob(f"{folder}/*.parquet"):
