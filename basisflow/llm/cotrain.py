@@ -26,13 +26,16 @@ import re
 import zlib
 from collections import Counter
 from dataclasses import dataclass
+from functools import reduce
 from itertools import chain
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import tidied
+
 #: Bounds of the samples used for fitting.
 LABELLED, POOL = 6000, 4000
 #: Rounds of exchange, share of the pool that a view hands over in each, and the weight of a pseudo-label.
@@ -277,13 +280,12 @@ def samples(docs: DataFrame, labels: DataFrame):
     sure = labels.where(F.col("doc_id").isNotNull()).groupBy("doc_id").agg(F.min("quality").alias("quality"), F.max("toxic").alias("toxic")).where(F.col("quality").isNotNull() & F.col("toxic").isNotNull())
     counts = {(r["quality"], r["toxic"]): r["count"] for r in sure.groupBy("quality", "toxic").count().collect()}
     wanted = quotas(counts, LABELLED)
-    # hashes are near uniform: a cut at twice the share wanted leaves a bounded number of rows
-    near = F.lit(False)
+    parts = []
     for (quality, toxic), n in wanted.items():
-        near = near | ((F.col("quality") == quality) & (F.col("toxic") == toxic) & (order <= F.lit(_hash_cut((2 * n + 50) / counts[quality, toxic]))))
-    rank = F.row_number().over(Window.partitionBy("quality", "toxic").orderBy(order, "doc_id"))
-    quota = F.coalesce(*(F.when((F.col("quality") == q) & (F.col("toxic") == t), F.lit(n)) for (q, t), n in wanted.items()), F.lit(0))
-    marked = sure.where(near).withColumn("rank", rank).where(F.col("rank") <= quota)
+        # hashes are near uniform: a cut at twice the share wanted leaves a bounded number of rows
+        near = sure.where((F.col("quality") == quality) & (F.col("toxic") == toxic) & (order <= F.lit(_hash_cut((2 * n + 50) / counts[quality, toxic]))))
+        parts.append(near.orderBy(order, "doc_id").limit(n))
+    marked = reduce(DataFrame.unionByName, parts, sure.limit(0))
     fields = docs.select("doc_id", "text", "source", "lang")
     rows = fields.join(F.broadcast(marked), "doc_id").orderBy(order, "doc_id", "text").limit(LABELLED).collect()
     taken = Counter((r["quality"], r["toxic"]) for r in rows)
@@ -306,7 +308,7 @@ def score(docs: DataFrame, model: Model) -> DataFrame:
             quality, toxic = (shared.value.score(t, text, meta) for t in range(2))
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(quality), pa.array(toxic), pa.array((quality >= 0.5) & (toxic < 0.5))], ["doc_id", "quality_score", "toxic_score", "keep"])
 
-    return docs.select(F.col("doc_id").cast("long"), "text", "source", "lang").mapInArrow(run, "doc_id long, quality_score double, toxic_score double, keep boolean")
+    return docs.select(F.col("doc_id").cast("long"), "text", "source", "lang").mapInArrow(tidied(run), "doc_id long, quality_score double, toxic_score double, keep boolean")
 
 
 def classify(docs: DataFrame, labels: DataFrame) -> DataFrame:

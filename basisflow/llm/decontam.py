@@ -24,6 +24,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import tidied
+
 #: Words of the shortest item that is looked for.
 SHORTEST = 3
 #: Alignment scores of a match, a replaced word and a skipped word.
@@ -236,7 +238,7 @@ def leaks(docs: DataFrame, benchmark: DataFrame, least: float = LEAST, key: str
     schema = "doc_id long, item_id long, score double, first_word long, end_word long"
     out = None
     for block in blocks(benchmark):
-        part = docs.select(F.col(key).cast("long"), text).mapInArrow(_finder(seeded(docs, block, least), least), schema)
+        part = docs.select(F.col(key).cast("long"), text).mapInArrow(tidied(_finder(seeded(docs, block, least), least)), schema)
         out = part if out is None else out.unionByName(part)
     return docs.sparkSession.createDataFrame([], schema) if out is None else out
 
@@ -265,5 +267,5 @@ def clean(docs: DataFrame, benchmark: DataFrame, least: float = LEAST, text: str
                 bad = {r[0] for r in copies(reader, batch.column(at).to_pylist(), least)}
                 yield batch.filter(pa.array([i not in bad for i in range(batch.num_rows)], pa.bool_()))
 
-        docs = docs.mapInArrow(run, docs.schema)
+        docs = docs.mapInArrow(tidied(run), docs.schema)
     return docs

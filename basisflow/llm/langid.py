@@ -30,6 +30,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from .common import tidied
+
 UNKNOWN = "und"
 #: First code points of public Unicode blocks, and the script of each stretch.
 SCRIPT_STARTS = (0x0000, 0x0370, 0x0400, 0x0530, 0x0590, 0x0600, 0x0700, 0x0900, 0x0980, 0x0E00, 0x0E80, 0x10A0, 0x1100, 0x1200, 0x1E00, 0x1F00, 0x2000, 0x3040, 0x3100, 0x3400, 0xAC00, 0xD7B0, 0xF900, 0xFB00, 0xFB50)
@@ -315,7 +317,7 @@ def label(docs: DataFrame, model: Model, key: str = "doc_id", text: str = "text"
             found = list(labeller.languages(batch.column(1).to_pylist()))
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([x for x, _ in found], pa.string()), pa.array([x for _, x in found], pa.float64())], ["doc_id", "lang_pred", "score"])
 
-    return docs.select(F.col(key).cast("long"), text).mapInArrow(run, "doc_id long, lang_pred string, score double")
+    return docs.select(F.col(key).cast("long"), text).mapInArrow(tidied(run), "doc_id long, lang_pred string, score double")
 
 
 def identify(docs: DataFrame) -> DataFrame:
@@ -336,4 +338,4 @@ def accepted(docs: DataFrame, least: float = 0.01) -> DataFrame:
             texts = batch.column(names.index("text")).to_pylist()
             yield batch.filter(pa.array([lang != UNKNOWN and score >= least for lang, score in labeller.languages(texts)], pa.bool_()))
 
-    return docs.mapInArrow(run, docs.schema)
+    return docs.mapInArrow(tidied(run), docs.schema)

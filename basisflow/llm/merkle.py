@@ -29,6 +29,8 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import tidied
+
 #: A piece: up to ``PIECE`` characters, ended early after a word with one of these last characters.
 PIECE = 96
 _PIECES = re.compile(r".{10,%d}?[dtnsm.,;:!?|)。！？]\s{1,64}|.{1,%d}" % (PIECE - 1, PIECE), re.S)
@@ -137,7 +139,7 @@ def fingerprints(docs: DataFrame, key: str = "doc_id", text: str = "text") -> Da
             texts = [t or "" for t in batch.column(1).to_pylist()]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([len(t) for t in texts], pa.int64()), pa.array([Tree(t).fingerprint() for t in texts], pa.string())], ["doc_id", "n_chars", "fingerprint"])
 
-    return docs.select(F.col(key).cast("long"), text).mapInArrow(run, "doc_id long, n_chars long, fingerprint string")
+    return docs.select(F.col(key).cast("long"), text).mapInArrow(tidied(run), "doc_id long, n_chars long, fingerprint string")
 
 
 class Stretches:
@@ -187,7 +189,7 @@ def edited_neighbours(docs: DataFrame, key: str = "doc_id", text: str = "text")
             yield pa.RecordBatch.from_arrays([pa.array(stretches(batch.column(0), batch.column(1))), batch.column(0), batch.column(1)], ["stretch", "doc_id", "hash"])
 
     first = F.max(F.struct("doc_id", F.bitwise_not("hash").alias("down")))
-    heads = rows.select("doc_id", "hash").mapInArrow(light, "stretch long, doc_id long, hash long").groupBy("stretch").agg(first.alias("head")).orderBy("stretch").collect()  # one row for each stretch
+    heads = rows.select("doc_id", "hash").mapInArrow(tidied(light), "stretch long, doc_id long, hash long").groupBy("stretch").agg(first.alias("head")).orderBy("stretch").collect()  # one row for each stretch
     before = {(row["head"]["doc_id"], ~row["head"]["down"]): heads[i - 1]["stretch"] for i, row in enumerate(heads)}
 
     def spread(batches):
@@ -200,9 +202,9 @@ def edited_neighbours(docs: DataFrame, key: str = "doc_id", text: str = "text")
                 some = batch.take(pa.array(ahead))
                 yield pa.RecordBatch.from_arrays([pa.array([before[names[i]] for i in ahead], pa.int64()), pa.array([True] * len(ahead)), *some.columns], ["stretch", "sent", "doc_id", "hash", "text"])
 
-    placed = rows.mapInArrow(spread, "stretch long, sent boolean, doc_id long, hash long, text string").repartition(stretches.partitions, "stretch")
+    placed = rows.mapInArrow(tidied(spread), "stretch long, sent boolean, doc_id long, hash long, text string").repartition(stretches.partitions, "stretch")
     ordered = placed.sortWithinPartitions("stretch", "sent", F.desc_nulls_last("doc_id"), "hash", "text").drop("hash")
-    return ordered.mapInArrow(_compare, "doc_id long, n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double")
+    return ordered.mapInArrow(tidied(_compare), "doc_id long, n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double")
 
 
 def _compare(batches):

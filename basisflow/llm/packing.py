@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import shared_dir, written
+from .common import shared_dir, tidied, written
 from .tokens import encoder
 
 #: Fixed values of the contract.
@@ -92,7 +92,7 @@ def encoded(docs: DataFrame, key: str = "doc_id", text: str = "text", path: str
             if sizes:
                 yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(hilbert_index(np.array(points))), pa.array(sizes, pa.int64()), pa.array(packed, pa.binary())], ["doc_id", "curve", "n_tokens", "ids"])
 
-    return docs.select(F.col(key).cast("long"), text).mapInArrow(run, "doc_id long, curve long, n_tokens long, ids binary")
+    return docs.select(F.col(key).cast("long"), text).mapInArrow(tidied(run), "doc_id long, curve long, n_tokens long, ids binary")
 
 
 def line_places(light: DataFrame) -> DataFrame:
@@ -115,7 +115,7 @@ def line_places(light: DataFrame) -> DataFrame:
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(ends - sizes)], ["row", "at"])
             at = int(ends[-1]) if len(ends) else at
 
-    return ordered.mapInArrow(run, "row long, at long").withColumn("total", F.lit(total).cast("long"))
+    return ordered.mapInArrow(tidied(run), "row long, at long").withColumn("total", F.lit(total).cast("long"))
 
 
 def cut(start: int, length: int, total: int, size: int = SEQUENCE):
@@ -159,7 +159,7 @@ def pack(docs: DataFrame, key: str = "doc_id", text: str = "text", path: str | N
             yield pa.RecordBatch.from_arrays(arrays, [*out, *(["ids"] if with_ids else [])])
 
     kinds = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
-    return placed.mapInArrow(run, kinds + (", ids array<int>" if with_ids else ""))
+    return placed.mapInArrow(tidied(run), kinds + (", ids array<int>" if with_ids else ""))
 
 
 def sequences(pieces: DataFrame) -> DataFrame:

@@ -23,7 +23,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from . import similar
-from .common import fresh, small_side, written
+from .common import fresh, small_side, tidied, written
 from .components import components
 
 #: Fixed values of the contract.
@@ -56,7 +56,7 @@ def signatures(docs: DataFrame, key: str = "doc_id", text: str = "text") -> Data
             fps = np.array([fingerprint(t.as_py() or b"") for t in texts], np.uint64).view(np.int64)
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(fps)], ["doc_id", "fp"])
 
-    return docs.select(F.col(key).cast("long"), text).mapInArrow(run, "doc_id long, fp long")
+    return docs.select(F.col(key).cast("long"), text).mapInArrow(tidied(run), "doc_id long, fp long")
 
 
 def _part(fp: Column, segment: int) -> Column:

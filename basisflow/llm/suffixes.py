@@ -35,7 +35,7 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import BROADCAST_ROWS, written
+from .common import BROADCAST_ROWS, tidied, written
 
 #: Fixed value of the contract: bytes of a repeat.
 LEAST = 50
@@ -581,11 +581,11 @@ def _buckets(docs: DataFrame) -> tuple[int, int]:
 def repeated_spans(docs: DataFrame, chunk: int = CHUNK, held: int = HELD, hot: int = HOT) -> DataFrame:
     """(doc, tag, spans): byte spans (packed starts and ends) that smaller documents have; ``docs`` has doc_id, tag, text."""
     buckets, parts = _buckets(docs)
-    rows = docs.select("doc_id", "tag", "text").mapInArrow(lambda b: _deal(b, buckets, chunk, held), "bucket long, kind int, data binary")
+    rows = docs.select("doc_id", "tag", "text").mapInArrow(tidied(lambda b: _deal(b, buckets, chunk, held)), "bucket long, kind int, data binary")
     out = None
     for level in range(1, LEVELS + 1):
         ordered = rows.repartition(parts, "bucket").sortWithinPartitions("bucket")
-        found = written(ordered.mapInArrow(lambda b, level=level: _settle(b, level, hot), "bucket long, doc long, tag long, spans binary"), "repeats")
+        found = written(ordered.mapInArrow(tidied(lambda b, level=level: _settle(b, level, hot)), "bucket long, doc long, tag long, spans binary"), "repeats")
         spans, rows = found.where(F.col("bucket").isNull()), found.where(F.col("bucket").isNotNull())
         out = spans if out is None else out.unionByName(spans)
         if not rows.limit(1).count():
@@ -625,9 +625,9 @@ def repeat_groups(docs: DataFrame, key: str = "doc_id", text: str = "text") -> D
                 held.append(row)
         yield from close()
 
-    places = rows.mapInArrow(spread, "bucket long, context binary, place int, doc_id long, at long")
+    places = rows.mapInArrow(tidied(spread), "bucket long, context binary, place int, doc_id long, at long")
     kinds = places.groupBy("bucket", "context", "place").agg(F.count("*").alias("n")).repartition(parts, "bucket").sortWithinPartitions("bucket")
-    found = written(kinds.mapInArrow(find, "repeat binary, length long, context binary, place int, offset long"), "repeat-groups")
+    found = written(kinds.mapInArrow(tidied(find), "repeat binary, length long, context binary, place int, offset long"), "repeat-groups")
     met = places.select("context", "place", "doc_id", "at").join(found, ["context", "place"])
     return met.select(F.lower(F.hex("repeat")).alias("repeat"), "length", "doc_id", (F.col("at") + F.col("offset")).alias("start"))
 
@@ -677,4 +677,4 @@ def removed(docs: DataFrame, key: str = "doc_id", text: str = "text", with_text:
             yield pa.RecordBatch.from_arrays(columns + ([pa.array(kept, pa.binary())] if with_text else []), ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256", *(["kept"] if with_text else [])])
 
     schema = "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string" + (", kept binary" if with_text else "")
-    return joined.mapInArrow(run, schema)
+    return joined.mapInArrow(tidied(run), schema)

@@ -28,7 +28,7 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import shared_dir, small_side, written
+from .common import shared_dir, small_side, tidied, written
 
 #: Fixed values of the public formats.
 DICTIONARY_MAGIC, FRAME_MAGIC = 0x184D2A5D, 0xFD2FB528
@@ -201,7 +201,7 @@ def write(pages: DataFrame, folder: str, key: str = "page_id", url: str = "url",
             yield pa.RecordBatch.from_arrays([pa.array([f"{folder}/{name}"]), pa.array([count], pa.int64()), pa.array([length], pa.int64())], ["path", "records", "bytes"])
 
     shared_dir(pages.sparkSession)
-    return ready.mapInArrow(run, "path string, records long, bytes long").checkpoint()
+    return ready.mapInArrow(tidied(run), "path string, records long, bytes long").checkpoint()
 
 
 def read(manifest: DataFrame, content: bool = False) -> DataFrame:
@@ -232,7 +232,7 @@ def read(manifest: DataFrame, content: bool = False) -> DataFrame:
     schema = "page_id long, payload_bytes long, payload_digest string, record_type string, refers_to long" + (", url string, html binary" if content else "")
     # one archive a task, as far as there are slots: archives are much larger than their rows here
     spread = manifest.select("path", "records").repartition(max(1, min(manifest.count(), 10_000)))
-    return spread.mapInArrow(run, schema)
+    return spread.mapInArrow(tidied(run), schema)
 
 
 def checked_revisits(records: DataFrame) -> DataFrame:
