@@ -120,6 +120,20 @@ def _traffic(sums: DataFrame, cfg: DedupConfig, schemes) -> DataFrame:
     return sums.select("outcome", "chunks", F.explode(F.array(*rows)).alias("r")).select("r.scheme", "outcome", "chunks", "r.messages", "r.up_bytes")
 
 
+def resent(log: DataFrame, rate: float, most: int = 8) -> DataFrame:
+    """Adds ``sent``: how often each message goes out where a share ``rate`` is lost, at most ``most`` times.
+
+    Whether an attempt is lost is read from the message's own digest, so that a run can be repeated. A receiver that
+    gets a message twice changes nothing: its pool is keyed by fingerprints.
+    """
+    name = F.concat_ws("|", "packet_id", "chunk_seq", "step")
+    lost = lambda i: F.conv(F.substring(F.sha2(F.concat_ws("|", name, F.lit(i)), 256), 1, 8), 16, 10).cast("long") < int(rate * (1 << 32))
+    sent = F.lit(most)
+    for attempt in range(most - 1, 0, -1):
+        sent = F.when(lost(attempt), sent).otherwise(attempt)
+    return log.withColumn("sent", sent)
+
+
 def collisions(bodies: DataFrame, fp: str = "fp", body: str = "body") -> DataFrame:
     """Bodies that a receiver takes for another one: those behind a fingerprint whose first body differs."""
     firsts = bodies.groupBy(fp).agg(F.min_by(body, "first").alias("__first"))

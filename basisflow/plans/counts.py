@@ -32,6 +32,7 @@ _COUNTS = {
     "delta_basis_shipdate": (lambda s, d: source.ship_dates(s, d, 8), sql.ship_dates(8), DedupConfig(8, preprocess="delta", sample_width=2)),
     "rs_basis_documents_16": (source.documents, sql.DOCUMENTS, DedupConfig(16, "rs")),
 }
+_COUNTS["basis_count_readings_16"] = (source.readings, "SELECT user_id::VARCHAR AS source_id, event_id AS packet_id, lpad(upper(to_hex(user_id::BIGINT)), 16, '0') || hex(value::DOUBLE::BIT::BLOB) AS h FROM events", DedupConfig(16))
 for _name, (_load, _sql, _cfg) in _COUNTS.items():
     _oracle = sql.counted(_sql, _cfg.n_b, _cfg.preprocess, _cfg.sample_width, transform=_cfg.transform) + " SELECT chunks, exact_bases, bases FROM k"
     register(_name, _oracle)(lambda spark, sf_dir, load=_load, cfg=_cfg: count_row(load(spark, sf_dir), cfg))

@@ -7,7 +7,7 @@ import uuid
 from pyspark.sql import functions as F
 
 from basisflow.config import DedupConfig
-from basisflow.operators import encode, pool, protocol
+from basisflow.operators import encode, pool, protocol, schemes
 from basisflow.plans import sql
 from basisflow.plans.registry import register
 from basisflow.plans.schemes import _EVENT
@@ -64,6 +64,16 @@ def poison_responses(spark, sf_dir):
     return answers.groupBy("source_id", "msg_type").agg(F.count("*").alias("messages"))
 
 
+_LOST = " ".join(f"WHEN ('0x' || substr(sha256(packet_id || '|' || chunk_seq || '|' || step || '|{i}'), 1, 8))::BIGINT >= {int(0.1 * (1 << 32))} THEN {i}" for i in range(1, 8))
+
+
+@register("lossy_link", sql.outcomes(sql.CONVERSATIONS, 8) + f", s AS (SELECT msg_type, CASE {_LOST} ELSE 8 END AS sent FROM (SELECT packet_id, chunk_seq, step, msg_type FROM o JOIN {_STEPS} ON o.outcome = t.outcome WHERE hop = 2)) SELECT msg_type, count(*) AS messages, sum(sent)::BIGINT AS sent FROM s GROUP BY msg_type")
+def lossy_link(spark, sf_dir):
+    """Extension: the second hop over a link that loses a tenth of all messages, each sent again until it arrives."""
+    found = schemes.outcomes(encode.encode_payloads(source.conversations(spark, sf_dir), _C8))
+    return schemes.resent(schemes.message_log(found, _C8, "sim_plain"), 0.1).groupBy("msg_type").agg(F.count("*").alias("messages"), F.sum("sent").alias("sent"))
+
+
 @register("default_schemes", "SELECT * FROM (VALUES ('basic', 'raw'), ('exact', 'exact'), ('similar', 'sim_plain')) t(kind, scheme)")
 def default_schemes(spark, sf_dir):
     """The scheme that a node of each class sends with where the configuration names none."""

@@ -129,6 +129,16 @@ def approximate_bases(spark, sf_dir):
     return rows.agg(F.count("*").alias("chunks"), F.hll_sketch_estimate(F.hll_sketch_agg("chunk", F.lit(14))).alias("exact_bases"), F.hll_sketch_estimate(F.hll_sketch_agg("codeword", F.lit(14))).alias("bases"))
 
 
+@register("approximate_sharing")
+def approximate_sharing(spark, sf_dir):
+    """Planning figures: bases that two halves of the sources share, by theta sketches."""
+    rows = with_codeword(encode.chunk_payloads(source.documents(spark, sf_dir), 8), 8)
+    half = F.crc32(F.col("source_id").cast("binary")) % 2
+    sketches = rows.agg(*(F.theta_sketch_agg(F.when(half == side, F.hex("codeword")), F.lit(14)).alias(f"s{side}") for side in (0, 1)))
+    estimate = F.theta_sketch_estimate
+    return sketches.select(estimate("s0").alias("first"), estimate("s1").alias("second"), estimate(F.theta_intersection("s0", "s1")).alias("shared"), estimate(F.theta_union("s0", "s1")).alias("either"))
+
+
 _CANDIDATES = [DedupConfig(n, t, preprocess=p) for n in (4, 8, 16) for t in ("identity", "hamming") for p in ("none", "offset")]
 
 

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import functions as F
 
 from basisflow.config import FP_EXAMPLE, FP_STUDY, DedupConfig, HammingParams, max_ratio, pool_capacity
-from basisflow.functions.fingerprints import collision_report, collision_reports, fingerprint
+from basisflow.functions.fingerprints import collision_reports, fingerprint
 from basisflow.operators import costs, encode, pool, schemes, synthetic
 from basisflow.plans import sql
 from basisflow.plans.registry import register
@@ -144,7 +144,7 @@ def _collision_sql(algo: str, width: int) -> str:
     return f"SELECT '{algo}' AS algo, {width}::BIGINT AS fp_bytes, sum(b)::BIGINT AS bodies, count(*) AS fps, count(*) FILTER (b > 1) AS colliding_fps, coalesce(sum(n) FILTER (b > 1), 0)::BIGINT AS affected_chunks FROM (SELECT substr({algo}(unhex(x)), 1, {2 * width}) AS fp, count(*) AS b, sum(n) AS n FROM u GROUP BY 1)"
 
 
-_WIDTHS = [("md5", w) for w in (1, 2, 3, 4, 6)] + [("sha1", 2), ("sha256", 2)]
+_WIDTHS = [("md5", w) for w in (1, 2, 3, 4, 6, 8, 16)] + [(a, w) for a in ("sha1", "sha256") for w in (1, 2, 3, 4, 6, 20)]
 
 
 @register("fp_collisions_by_width", f"WITH {sql.chunks(sql.DOCUMENTS, 8)}, u AS (SELECT x, count(*) AS n FROM c GROUP BY x) " + " UNION ALL ".join(_collision_sql(a, w) for a, w in _WIDTHS))
@@ -166,10 +166,23 @@ def _crc_table() -> list[int]:
 _CRC = f"xor(4294967295, list_reduce(list_prepend(4294967295, list_transform(range(0, length(x) // 2), lambda i: ('0x' || substr(x, 2 * i + 1, 2))::BIGINT)), lambda a, v: xor(a >> 8, list_extract({_crc_table()}, (xor(a, v) & 255) + 1))))"
 
 
-@register("fp_crc32_collisions", f"WITH {sql.chunks(sql.DOCUMENTS, 8)}, u AS (SELECT x, count(*) AS n FROM c GROUP BY x), f AS (SELECT {_CRC} AS fp, count(*) AS b, sum(n) AS n FROM u GROUP BY 1) SELECT 'crc32' AS algo, 4::BIGINT AS fp_bytes, sum(b)::BIGINT AS bodies, count(*) AS fps, count(*) FILTER (b > 1) AS colliding_fps, coalesce(sum(n) FILTER (b > 1), 0)::BIGINT AS affected_chunks FROM f")
+@register("pool_memory", sql.counted(sql.DOCUMENTS, 8) + " SELECT fp, bits, bases, bases * (bits // 8 + 8) AS pool_bytes, (256 * 1048576) // (bits // 8 + 8) AS fit_in_256_mib, ceil(bases * (bits // 8 + 8) / (256 * 1048576.0))::BIGINT AS memories FROM k CROSS JOIN (VALUES ('crc32', 32), ('md5', 128), ('sha1', 160), ('sha256', 256)) t(fp, bits)")
+def pool_memory(spark, sf_dir):
+    """The measured pool as records of a fingerprint and a pointer: its size, and how many memories of 256 MiB it needs."""
+    kinds = F.explode(F.array(*(F.struct(F.lit(n).alias("fp"), F.lit(8 * b).alias("bits")) for n, b in (("crc32", 4), ("md5", 16), ("sha1", 20), ("sha256", 32)))))
+    sized = counted(source.documents(spark, sf_dir), _D8).select("bases", kinds.alias("k")).select("k.fp", "k.bits", "bases")
+    record = F.floor(F.col("bits") / 8) + 8
+    sized = sized.withColumn("pool_bytes", F.col("bases") * record).withColumn("fit_in_256_mib", F.floor(F.lit(256 << 20) / record))
+    return sized.withColumn("memories", F.ceil(F.col("pool_bytes") / (256 << 20)).cast("long"))
+
+
+_CRC_WIDTHS = (1, 2, 3, 4)
+
+
+@register("fp_crc32_collisions", f"WITH {sql.chunks(sql.DOCUMENTS, 8)}, u AS (SELECT x, count(*) AS n FROM c GROUP BY x), v AS (SELECT {_CRC} AS fp, n FROM u), f AS (SELECT w, fp >> (32 - 8 * w) AS fp, count(*) AS b, sum(n) AS n FROM v CROSS JOIN (VALUES (1), (2), (3), (4)) t(w) GROUP BY ALL) SELECT 'crc32' AS algo, w::BIGINT AS fp_bytes, sum(b)::BIGINT AS bodies, count(*) AS fps, count(*) FILTER (b > 1) AS colliding_fps, coalesce(sum(n) FILTER (b > 1), 0)::BIGINT AS affected_chunks FROM f GROUP BY w")
 def fp_crc32_collisions(spark, sf_dir):
     bodies = encode.unique_chunks(source.documents(spark, sf_dir), [_D8]).select(F.col("chunk_key").alias("body"), "n")
-    return collision_report(bodies, "crc32", 4)
+    return collision_reports(bodies, [("crc32", w) for w in _CRC_WIDTHS])
 
 
 def _cut_md5(body: str, width: int) -> str:

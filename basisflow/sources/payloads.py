@@ -6,8 +6,10 @@ before they become integers, as they are binary floats.
 
 from __future__ import annotations
 
+import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import BinaryType
 
 NODES = 16
 
@@ -21,6 +23,18 @@ def pack_uint(value: Column, width: int) -> Column:
     return F.unhex(F.lpad(F.right(F.hex(value.cast("long")), F.lit(2 * width)), 2 * width, "0"))
 
 
+def pack_i64(value: Column) -> Column:
+    """Two's complement in eight bytes."""
+    return pack_uint(value, 8)
+
+
+@F.pandas_udf(BinaryType())
+def pack_f64(value: pd.Series) -> pd.Series:
+    """Eight bytes of a double; no built-in function reinterprets its bits."""
+    raw = value.to_numpy(">f8").tobytes()
+    return pd.Series([None if null else raw[i : i + 8] for i, null in zip(range(0, len(raw), 8), value.isna(), strict=True)], dtype=object)
+
+
 def hundredths(value: Column) -> Column:
     return F.round(value * 100).cast("long")
 
@@ -88,3 +102,8 @@ def embeddings(spark, sf_dir) -> DataFrame:
     """Vectors as 2-byte fixed-point numbers, a packet each."""
     parts = F.transform("embedding", lambda x: F.right(F.lpad(F.hex((F.floor(x.cast("double") * 1024 + 0.5) + 32768).cast("long")), 16, "0"), F.lit(4)))
     return table(spark, sf_dir, "embeddings").select(F.lit("0").alias("source_id"), F.col("vec_id").alias("packet_id"), F.unhex(F.array_join(parts, "")).alias("payload"))
+
+
+def readings(spark, sf_dir) -> DataFrame:
+    """User and value of every event as they are stored: eight bytes of an integer and eight of a double."""
+    return table(spark, sf_dir, "events").select(F.col("user_id").cast("string").alias("source_id"), F.col("event_id").alias("packet_id"), F.concat(pack_i64(F.col("user_id")), pack_f64(F.col("value"))).alias("payload"))

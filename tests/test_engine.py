@@ -293,6 +293,21 @@ def test_sketched_counts_are_near(spark, small):
     assert abs(got.bases / exact.bases - 1) < 0.03 and abs(got.exact_bases / exact.exact_bases - 1) < 0.03
 
 
+def test_sketched_sharing_is_near(spark, small):
+    got = registry.QUERIES["approximate_sharing"](spark, small).first()
+    rows = with_codeword(encode.chunk_payloads(source.documents(spark, small), 8), 8).select("source_id", "codeword").distinct().collect()
+    halves = [{bytes(r.codeword) for r in rows if zlib.crc32(r.source_id.encode()) % 2 == side} for side in (0, 1)]
+    want = len(halves[0]), len(halves[1]), len(halves[0] & halves[1]), len(halves[0] | halves[1])
+    assert all(abs(g - w) < 0.05 * want[3] / 2 for g, w in zip(got, want, strict=True))
+
+
+def test_repeated_delivery_changes_nothing(spark, small):
+    cfg = DedupConfig(8)
+    data = source.conversations(spark, small)
+    once, twice = (pool.build(encode.encode_payloads(d, cfg)).select("basis_key", "basis") for d in (data, data.union(data)))
+    assert once.exceptAll(twice).count() == 0 and twice.exceptAll(once).count() == 0
+
+
 def test_synthetic_study_is_as_published():
     """Published ratios of the similar and the exact scheme at 2048 and 4096 bytes."""
     rows = {(m, scheme): ratio for m, _, scheme, _, _, _, ratio in duckdb.sql(registry.ORACLE_SQL["synthetic_ratio"]).fetchall()}
