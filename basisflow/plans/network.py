@@ -86,6 +86,15 @@ def stream_new_bases(spark, sf_dir):
     return _streamed(spark, live.new_bases(live.event_records(live.read_events(spark, sf_dir)), DedupConfig(4)), "append").agg(F.count("*").alias("bases"))
 
 
+@register("stream_pool_table", f"WITH p AS ({_EVENT}), c AS (SELECT source_id, packet_id, 0 AS chunk_seq, h AS x FROM p), {sql.hamming(4)} SELECT count(DISTINCT word) AS rows, count(DISTINCT word) AS bases FROM w")
+def stream_pool_table(spark, sf_dir):
+    """The live pool as a table, written batch by batch: every basis once."""
+    folder = f"{pool.shared_folder(spark)}/pool-table-{uuid.uuid4().hex}"
+    stream = live.new_bases(live.event_records(live.read_events(spark, sf_dir)), DedupConfig(4))
+    live.write_pool(stream, f"{folder}/pool", f"{folder}/checkpoint")
+    return spark.read.schema("basis_key binary, prefix string").parquet(f"{folder}/pool").agg(F.count("*").alias("rows"), F.countDistinct("basis_key").alias("bases"))
+
+
 @register("stream_traffic", "SELECT time_bucket(INTERVAL 1 DAY, ts) AS start, user_id::VARCHAR AS source_id, count(*) AS packets, (count(*) * 4)::BIGINT AS bytes FROM events GROUP BY 1, 2")
 def stream_traffic(spark, sf_dir):
     """Daily windows of the stream, complete when it has ended."""

@@ -79,17 +79,16 @@ class Outcomes(StatefulProcessor):
 
     def handleInputRows(self, key, rows, timerValues):
         fresh, again, opened = 0, 0, 0
+        known = self._seen.exists()
         for part in rows:
-            for chunk in part["chunk_key"]:
-                chunk = (bytes(chunk),)
-                if self._seen.containsKey(chunk):
-                    again += 1
+            # the state is asked once for each distinct chunk of a batch
+            for chunk, n in part["chunk_key"].map(bytes).value_counts().items():
+                if known and self._seen.containsKey((chunk,)):
+                    again += n
                     continue
-                if not fresh and not opened and not self._seen.exists():
-                    opened = 1
-                else:
-                    fresh += 1
-                self._seen.updateValue(chunk, (1,))
+                opened, fresh = (opened, fresh + 1) if known else (1, fresh)
+                again, known = again + n - 1, True
+                self._seen.updateValue((chunk,), (1,))
         yield pd.DataFrame({"basis_key": [key[0]], "new_basis": [opened], "new_chunk": [fresh], "repeat": [again]})
 
     def close(self) -> None:
@@ -107,6 +106,13 @@ def run_once(stream: DataFrame, name: str, checkpoint: str, mode: str = "append"
     stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", checkpoint).trigger(availableNow=True).start().awaitTermination()
 
 
-def append_pool(batch: DataFrame, path: str) -> None:
-    """For ``foreachBatch``: adds a micro-batch's new bases to a Parquet pool, ordered by key prefix."""
-    batch.withColumn("prefix", F.substring(F.hex("basis_key"), 1, 2)).write.mode("append").partitionBy("prefix").parquet(path)
+def append_pool(batch: DataFrame, number: int, path: str) -> None:
+    """For ``foreachBatch``: writes a micro-batch's new bases to a Parquet pool, by key prefix. A batch that is run again replaces what it wrote."""
+    rows = batch.withColumn("prefix", F.substring(F.hex("basis_key"), 1, 2))
+    rows.write.mode("overwrite").partitionBy("prefix").parquet(f"{path}/batch={number}")
+
+
+def write_pool(stream: DataFrame, path: str, checkpoint: str) -> None:
+    """Runs what is there to the end, into a pool on disk."""
+    writer = stream.writeStream.foreachBatch(lambda batch, number: append_pool(batch, number, path))
+    writer.option("checkpointLocation", checkpoint).trigger(availableNow=True).start().awaitTermination()
