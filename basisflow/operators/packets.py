@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from basisflow.config import DedupConfig
+from basisflow.operators import ordered
 from basisflow.operators.schemes import _uplink
 
 
@@ -35,8 +36,8 @@ def packed_traffic(found: DataFrame, cfg: DedupConfig, scheme: str, chunks_per_p
 
 def source_buffer(encoded: DataFrame, latency: int) -> DataFrame:
     """(source_id, peak_bytes): most bytes of bodies that a source holds, if an acknowledgement takes ``latency`` more chunks."""
-    order = Window.partitionBy("source_id").orderBy("packet_id", "chunk_seq").rowsBetween(-latency, 0)
-    held = encoded.select("source_id", F.sum("valid_len").over(order).alias("held"))
+    placed = ordered.numbered(encoded.select("source_id", "packet_id", "chunk_seq", "valid_len"), "source_id", ["packet_id", "chunk_seq"])
+    held = ordered.sums_before(placed, "source_id", "at", F.col("valid_len"), latency, "held")
     return held.groupBy("source_id").agg(F.max("held").cast("long").alias("peak_bytes"))
 
 

@@ -11,6 +11,8 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.types import BinaryType
 
+from basisflow.operators import ordered
+
 NODES = 16
 
 
@@ -78,12 +80,11 @@ def records8(spark, sf_dir) -> DataFrame:
 def column_stream(rows: DataFrame, source: str, order: list[str], value: Column, samples: int) -> DataFrame:
     """A column as packets of ``samples`` values per source, in a total order within the source.
 
-    The window is partitioned by source, so sources should be many and bounded (a device, a day).
+    A source may be as large as the table: places are counted across partitions.
     """
-    from pyspark.sql import Window
-
-    place = F.row_number().over(Window.partitionBy(source).orderBy(*order)) - 1
-    numbered = rows.select(F.col(source).cast("string").alias("source_id"), place.alias("at"), value.alias("v"))
+    by = [f"by{i}" for i in range(len(order))]
+    plain = rows.select(F.col(source).cast("string").alias("source_id"), *(F.col(o).alias(b) for o, b in zip(order, by, strict=True)), value.alias("v"))
+    numbered = ordered.numbered(plain, "source_id", by).select("source_id", "at", "v")
     groups = numbered.groupBy("source_id", F.floor(F.col("at") / samples).alias("packet_id")).agg(F.array_sort(F.collect_list(F.struct("at", "v"))).alias("parts"))
     return groups.select("source_id", "packet_id", F.unhex(F.array_join(F.transform("parts", lambda p: F.hex(p["v"])), "")).alias("payload"))
 

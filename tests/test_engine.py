@@ -214,6 +214,22 @@ def test_a_chunk_of_a_third_of_all_rows(spark):
     assert private.where("outcome = 'repeat'").count() < want["repeat"]
 
 
+def test_places_and_sums_of_a_large_source(spark):
+    """One source with most rows, others with few: places and sums are those of a window over whole sources."""
+    from pyspark.sql import Window
+
+    from basisflow.operators import ordered
+
+    rows = spark.range(5000).selectExpr("if(id % 7 = 0, concat('s', id % 5), if(id % 11 = 0, null, 'big')) AS s", "hash(id) AS o", "id % 13 AS v")
+    got = ordered.numbered(rows, "s", ["o"])
+    by = Window.partitionBy("s").orderBy("o")
+    want = rows.withColumn("at", F.row_number().over(by) - 1)
+    assert sorted(map(str, got.select("s", "o", "v", "at").collect())) == sorted(map(str, want.select("s", "o", "v", "at").collect()))
+    sums = ordered.sums_before(got, "s", "at", F.col("v"), 16, "held").groupBy("s").agg(F.sum("held"), F.max("held"), F.count("*"))
+    plain = rows.select("s", F.sum("v").over(by.rowsBetween(-16, 0)).alias("held")).groupBy("s").agg(F.sum("held"), F.max("held"), F.count("*"))
+    assert sorted(map(str, (tuple(r) for r in sums.collect()))) == sorted(map(str, (tuple(r) for r in plain.collect())))
+
+
 def test_restoration_spreads_common_bases(spark, small, monkeypatch):
     monkeypatch.setattr(pool, "HOT_REFS", 20)
     cfg = DedupConfig(8)
