@@ -64,21 +64,19 @@ def lcp_intervals(lcp, least: int):
 
     ``lcp[i]`` is the common-prefix length of suffixes i - 1 and i; ``lcp[0]`` is not read.
     """
-    lows, highs, depths = [], [], []
-    stack: list[tuple[int, int]] = []  # (first suffix, depth), deeper ones on top
-    for i in range(1, len(lcp) + 1):
-        now = int(lcp[i]) if i < len(lcp) else 0
-        if now < least:
-            now = 0
-        first = i - 1
-        while stack and stack[-1][1] > now:
-            first, depth = stack.pop()
-            lows.append(first)
-            highs.append(i - 1)
-            depths.append(depth)
-        if now and (not stack or stack[-1][1] < now):
-            stack.append((first, now))
-    return np.array(lows, np.int64), np.array(highs, np.int64), np.array(depths, np.int64)
+    values = np.append(np.where(lcp < least, 0, lcp), 0)
+    values[0] = 0
+    found, firsts, depths = [], [], []  # open intervals: where they begin, and their depths, deeper ones on top
+    # between changes the depth on top is the common prefix: nothing opens or closes
+    for i in (np.nonzero(np.diff(values))[0] + 1).tolist():
+        now, first = int(values[i]), i - 1
+        while depths and depths[-1] > now:
+            first = firsts.pop()
+            found.append((first, i - 1, depths.pop()))
+        if now and (not depths or depths[-1] < now):
+            firsts.append(first)
+            depths.append(now)
+    return np.array(found, np.int64).reshape(-1, 3).T
 
 
 def left_diverse(left: np.ndarray, low: np.ndarray, high: np.ndarray) -> np.ndarray:
@@ -147,12 +145,8 @@ def maximal_repeats(texts: list[bytes], least: int = LEAST):
 
 
 def _eights(data: np.ndarray) -> np.ndarray:
-    """The eight bytes at every offset as one number; ``data`` has seven spare bytes at its end."""
-    out = np.empty(len(data) - 7, np.uint64)
-    for i in range(8):
-        part = data[i : i + (len(data) - i) // 8 * 8].view("<u8")
-        out[i::8] = part[: len(out[i::8])]
-    return out
+    """The eight bytes at every offset as one number, without a copy; ``data`` has seven spare bytes at its end."""
+    return np.ndarray((len(data) - 7,), "<u8", np.ascontiguousarray(data), 0, (1,))
 
 
 def _mix(a, b):
@@ -172,11 +166,11 @@ def context_hashes(eights: np.ndarray, starts: np.ndarray, sizes: np.ndarray) ->
 
 
 def anchors(data: np.ndarray, firsts: np.ndarray, ends: np.ndarray):
-    """(text number, context start, context size, anchor place in it, anchor hash) of concatenated texts.
+    """(text number, context start, context size, anchor place in it, anchor hash, context hash) of concatenated texts.
 
     A context is the bytes of all consecutive windows with one anchor.
     """
-    eights = _eights(data)
+    eights = _eights(data).copy()
     n = len(data) - 7 - LEAST + 1
     grams = _mix(eights[: len(eights) - 4], eights[4:])
     ranked = (grams & ~np.uint64(0xFFFFFF)) | np.arange(len(grams), dtype=np.uint64)
@@ -200,12 +194,19 @@ def anchors(data: np.ndarray, firsts: np.ndarray, ends: np.ndarray):
     good = owner[starts] >= 0
     starts, stops = starts[good], stops[good]
     at = place[starts]
-    return owner[starts], starts, stops - starts + LEAST - 1, at - starts, grams[at]
+    sizes = stops - starts + LEAST - 1
+    return owner[starts], starts, sizes, at - starts, grams[at], context_hashes(eights, starts, sizes)
 
 
 def _gathered(data: np.ndarray, starts: np.ndarray, sizes: np.ndarray) -> np.ndarray:
+    """Stretches of bytes one after the other, put together a bounded number at a time."""
     ends = np.cumsum(sizes)
-    return data[np.repeat(starts - (ends - sizes), sizes) + np.arange(ends[-1] if len(ends) else 0)]
+    begins = ends - sizes
+    out = np.empty(ends[-1] if len(ends) else 0, np.uint8)
+    cuts = np.unique(np.append(np.searchsorted(ends, np.arange(0, len(out), 1 << 20)), len(ends)))
+    for a, b in zip(cuts[:-1], cuts[1:], strict=True):
+        out[begins[a] : ends[b - 1]] = data[np.repeat(starts[a:b] - begins[a:b], sizes[a:b]) + np.arange(begins[a], ends[b - 1])]
+    return out
 
 
 def merged(starts: np.ndarray, ends: np.ndarray):
@@ -266,15 +267,16 @@ class Contexts:
         doc, tag, at, sizes, place, body = _unpack(blob, _CONTEXTS)
         return Contexts(np.cumsum(doc), np.cumsum(tag), np.cumsum(at, dtype=np.uint32), sizes, place, body)
 
-    def by_bucket(self, buckets: np.ndarray):
-        """(bucket, packed contexts) of each bucket."""
-        order = np.lexsort((self.at, self.doc, buckets))
+    def by_bucket(self, buckets: np.ndarray, rows: np.ndarray | None = None):
+        """(bucket, packed contexts) of each bucket; ``buckets`` are those of the given rows, or of all."""
+        rows = np.arange(len(self)) if rows is None else rows
+        order = np.lexsort((self.at[rows], self.doc[rows], buckets))
         if not len(order):
             return
-        buckets = buckets[order]
+        rows, buckets = rows[order], buckets[order]
         cuts = np.concatenate([[0], np.nonzero(np.diff(buckets))[0] + 1, [len(buckets)]])
         for a, b in zip(cuts[:-1], cuts[1:], strict=True):
-            yield int(buckets[a]), self.take(order[a:b]).packed()
+            yield int(buckets[a]), self.take(rows[a:b]).packed()
 
 
 def _row(bucket: int, kind: int, data: bytes) -> pa.RecordBatch:
@@ -282,11 +284,11 @@ def _row(bucket: int, kind: int, data: bytes) -> pa.RecordBatch:
 
 
 def contexts_of(batches, chunk: int = CHUNK):
-    """(contexts, anchor hashes) of about ``chunk`` bytes of text at a time."""
+    """(contexts, anchor hashes, context hashes) of about ``chunk`` bytes of text at a time."""
     for docs, tags, data, firsts, ends, offsets in _chunks(batches, chunk):
-        text, starts, sizes, place, grams = anchors(data, firsts, ends)
+        text, starts, sizes, place, grams, same = anchors(data, firsts, ends)
         if len(text):
-            yield Contexts(docs[text], tags[text], starts - firsts[text] + offsets[text], sizes, place, _gathered(data, starts, sizes)), grams
+            yield Contexts(docs[text], tags[text], starts - firsts[text] + offsets[text], sizes, place, _gathered(data, starts, sizes)), grams, same
 
 
 def _deal(batches, buckets: int, chunk: int, most: int):
@@ -295,17 +297,18 @@ def _deal(batches, buckets: int, chunk: int, most: int):
     size = 0
 
     def send():
-        contexts, grams = Contexts.joined([c for c, _ in held]), np.concatenate([g for _, g in held])
+        contexts = Contexts.joined([c for c, *_ in held])
+        grams, same = (np.concatenate([h[i] for h in held]) for i in (1, 2))
         held.clear()
-        spans, open_ = settled_copies(contexts)
+        spans, open_ = settled_copies(contexts, same)
         if len(spans[0]):
             yield _row(int(grams[0] % np.uint64(buckets)), 0, _pack(*_by_document(*spans)))
-        for bucket, blob in contexts.take(open_).by_bucket(((grams[open_] >> np.uint64(20)) % np.uint64(buckets)).astype(np.int64)):
+        for bucket, blob in contexts.by_bucket(((grams[open_] >> np.uint64(20)) % np.uint64(buckets)).astype(np.int64), open_):
             yield _row(bucket, 1, blob)
 
-    for contexts, grams in contexts_of(batches, chunk):
-        held.append((contexts, grams))
-        size += len(contexts.body)
+    for part in contexts_of(batches, chunk):
+        held.append(part)
+        size += len(part[0].body)
         if size >= most:
             yield from send()
             size = 0
@@ -363,22 +366,20 @@ def _padded(contexts: Contexts):
     return data, _eights(data)
 
 
-def classes(contexts: Contexts, data: np.ndarray, eights: np.ndarray) -> np.ndarray:
-    """For every context, the first one (by document) that has the same bytes; equal hashes are compared byte by byte."""
-    same = context_hashes(eights, contexts.starts, contexts.sizes)
+def classes(contexts: Contexts, data: np.ndarray, same: np.ndarray) -> np.ndarray:
+    """For every context, the first one (by document) that has the same bytes; those of equal hashes are compared byte by byte."""
     order = np.lexsort((contexts.at, contexts.doc, same))
     new = np.ones(len(order), bool)
     new[1:] = same[order[1:]] != same[order[:-1]]
     leader = np.empty(len(order), np.int64)
     leader[order] = order[np.maximum.accumulate(np.where(new, np.arange(len(order)), 0))]
     rows = np.nonzero(leader != np.arange(len(leader)))[0]
-    for some in np.array_split(rows, -(-len(rows) // 200_000)) if len(rows) else ():
-        theirs, sizes = leader[some], contexts.sizes[some]
-        equal = sizes == contexts.sizes[theirs]
-        ends = np.cumsum(sizes)
-        differ = _gathered(data, contexts.starts[some], sizes) != _gathered(data, contexts.starts[theirs], sizes)
-        equal &= ~np.logical_or.reduceat(differ, ends - sizes)
-        leader[some[~equal]] = some[~equal]
+    eights, starts, sizes = _eights(data), contexts.starts, contexts.sizes
+    differ = sizes[rows] != sizes[leader[rows]]
+    for offset in range(0, WIDTH, 8):  # the last eight bytes again where fewer are left
+        at = np.minimum(offset, sizes[rows] - 8)
+        differ |= eights[starts[rows] + at] != eights[starts[leader[rows]] + at]
+    leader[rows[differ]] = rows[differ]
     return leader
 
 
@@ -390,11 +391,11 @@ def _copies(contexts: Contexts, leader: np.ndarray):
     return follower, own, np.append(first, len(follower))
 
 
-def settled_copies(contexts: Contexts):
+def settled_copies(contexts: Contexts, same: np.ndarray | None = None):
     """(spans of contexts that a smaller document has, numbers of all others), by the intervals over the classes with copies alone."""
     data, eights = _padded(contexts)
-    leader = classes(contexts, data, eights)
-    copies = _copies(contexts, leader)
+    same = context_hashes(eights, contexts.starts, contexts.sizes) if same is None else same
+    copies = _copies(contexts, classes(contexts, data, same))
     none = np.zeros(0, np.int64)
     spans = removed_spans(contexts, data, none, none, copies)
     open_ = np.ones(len(contexts), bool)
@@ -420,7 +421,7 @@ def repeated_windows(contexts: Contexts, eights: np.ndarray, rest: np.ndarray):
 def bucket_spans(contexts: Contexts):
     """Spans (doc, tag, start, end) that a smaller document also has, of the contexts of one bucket."""
     data, eights = _padded(contexts)
-    copies = _copies(contexts, classes(contexts, data, eights))
+    copies = _copies(contexts, classes(contexts, data, context_hashes(eights, contexts.starts, contexts.sizes)))
     rest = np.ones(len(contexts), bool)
     rest[copies[0]] = False
     return removed_spans(contexts, data, *repeated_windows(contexts, eights, np.nonzero(rest)[0]), copies)
@@ -452,7 +453,7 @@ def intervals(contexts: Contexts, data: np.ndarray, owner: np.ndarray, offset: n
     owner, offset = np.concatenate([owner, twice, twice]), np.concatenate([offset, zeros, zeros])
     length = contexts.sizes[owner] - offset
     table = np.empty((len(owner), WIDTH + 1), np.uint8)
-    table[:, :WIDTH] = data[(contexts.starts[owner] + offset)[:, None] + np.arange(WIDTH)]
+    table[:, :WIDTH] = np.lib.stride_tricks.sliding_window_view(data, WIDTH)[contexts.starts[owner] + offset]
     table[:, :WIDTH][np.arange(WIDTH) >= length[:, None]] = 0
     table[:, WIDTH] = length  # a text's zero bytes come after the end of a shorter one
     order = np.argsort(table.view(f"S{WIDTH + 1}").ravel(), kind="stable")
@@ -604,7 +605,7 @@ def repeat_groups(docs: DataFrame, key: str = "doc_id", text: str = "text") -> D
     buckets, parts = _buckets(rows)
 
     def spread(batches):
-        for contexts, grams in contexts_of(batches):
+        for contexts, grams, _ in contexts_of(batches):
             body = contexts.body.tobytes()
             blobs = [body[a : a + n] for a, n in zip(contexts.starts.tolist(), contexts.sizes.tolist(), strict=True)]
             bucket = ((grams >> np.uint64(20)) % np.uint64(buckets)).astype(np.int64)
