@@ -320,6 +320,21 @@ def label(docs: DataFrame, model: Model, key: str = "doc_id", text: str = "text"
     return docs.select(F.col(key).cast("long"), text).mapInArrow(tidied(run), "doc_id long, lang_pred string, score double")
 
 
+def label_spans(docs: DataFrame, model: Model, key: str = "doc_id", text: str = "text") -> DataFrame:
+    """(doc_id, span, lang, first_word, n_words): the languages of every text in order; texts without words have no rows."""
+    shared = docs.sparkSession.sparkContext.broadcast(model)  # bounded: TRAIN_DOCS texts a language
+
+    def run(batches):
+        labeller = Labeller(shared.value)
+        for batch in batches:
+            rows = [(i, n, *span) for i, text in enumerate(batch.column(1).to_pylist()) if model_langs for n, span in enumerate(spans(labeller, text))]
+            ids = batch.column(0).take(pa.array([r[0] for r in rows], pa.int64()))
+            yield pa.RecordBatch.from_arrays([ids, pa.array([r[1] for r in rows], pa.int64()), pa.array([r[2] for r in rows], pa.string()), pa.array([r[3] for r in rows], pa.int64()), pa.array([r[4] for r in rows], pa.int64())], ["doc_id", "span", "lang", "first_word", "n_words"])
+
+    model_langs = bool(model.langs)
+    return docs.select(F.col(key).cast("long"), text).mapInArrow(tidied(run), "doc_id long, span long, lang string, first_word long, n_words long")
+
+
 def identify(docs: DataFrame) -> DataFrame:
     """Learns from the rows that are not held out and labels all."""
     out = label(docs, train(training_rows(docs)))

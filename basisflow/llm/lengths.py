@@ -62,6 +62,17 @@ def truncated_total(table: DataFrame, limit: int) -> int:
     return total if above is None else total - above["tokens_ge"] + above["docs_ge"] * limit
 
 
+def limits(table: DataFrame, sizes: list[int]) -> DataFrame:
+    """(context_limit, documents_cut, tokens): what each limit cuts, and the corpus tokens it leaves, from the suffix sums."""
+    whole = table.agg(F.sum(F.col("n_tokens") * F.col("n_docs"))).first()[0] or 0
+    named = F.explode(F.array(*map(F.lit, sizes))).alias("context_limit")
+    above = table.select("n_tokens", "docs_ge", "tokens_ge", named).where(F.col("n_tokens") > F.col("context_limit"))
+    first = above.groupBy("context_limit").agg(F.min(F.struct("n_tokens", "docs_ge", "tokens_ge")).alias("x"))
+    every = table.sparkSession.createDataFrame([(s,) for s in sizes], "context_limit int")
+    cut, left = F.coalesce("x.docs_ge", F.lit(0)), F.lit(int(whole)) - F.coalesce("x.tokens_ge", F.lit(0))
+    return every.join(first, "context_limit", "left").select(F.col("context_limit").cast("long").alias("context_limit"), cut.alias("documents_cut"), (left + cut * F.col("context_limit")).alias("tokens"))
+
+
 def quantile(table: DataFrame, q: float) -> int | None:
     """Smallest length that at least a share ``q`` of the documents does not exceed."""
     documents = table.agg(F.sum("n_docs")).first()[0]

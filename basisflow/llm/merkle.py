@@ -175,7 +175,8 @@ class Stretches:
 
 
 def edited_neighbours(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """Each document against its edited text and the next document, in descending order of ids.
+    """Each document against its edited text and the next document, in descending order of ids;
+    ``edited_spans`` (start:end in the edited text, comma-joined) is what of it lies under branches that the document does not have (nothing, where something only went).
 
     Texts move once, to stretches of ids that are sorted and read as a stream. The
     first document of a stretch is also sent to the stretch before it, whose last one needs it.
@@ -204,12 +205,12 @@ def edited_neighbours(docs: DataFrame, key: str = "doc_id", text: str = "text")
 
     placed = rows.mapInArrow(tidied(spread), "stretch long, sent boolean, doc_id long, hash long, text string").repartition(stretches.partitions, "stretch")
     ordered = placed.sortWithinPartitions("stretch", "sent", F.desc_nulls_last("doc_id"), "hash", "text").drop("hash")
-    return ordered.mapInArrow(tidied(_compare), "doc_id long, n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double")
+    return ordered.mapInArrow(tidied(_compare), "doc_id long, n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double, edited_spans string")
 
 
 def _compare(batches):
-    names = ["doc_id", "n_chars", "edited_sha256", "fingerprint", "edited_fingerprint", "near_edited", "near_next"]
-    kinds = [pa.int64(), pa.int64(), pa.string(), pa.string(), pa.string(), pa.float64(), pa.float64()]
+    names = ["doc_id", "n_chars", "edited_sha256", "fingerprint", "edited_fingerprint", "near_edited", "near_next", "edited_spans"]
+    kinds = [pa.int64(), pa.int64(), pa.string(), pa.string(), pa.string(), pa.float64(), pa.float64(), pa.string()]
     last = None  # (stretch, id, text, tree), waiting for its next document
     out: list = []
 
@@ -217,7 +218,7 @@ def _compare(batches):
         _, doc, text, own = last
         changed = edited(text, following)
         other = Tree(changed)
-        out.append((doc, own.size, hashlib.sha256(changed.encode()).hexdigest(), own.fingerprint(), other.fingerprint(), likeness(own, other), likeness(own, theirs)))
+        out.append((doc, own.size, hashlib.sha256(changed.encode()).hexdigest(), own.fingerprint(), other.fingerprint(), likeness(own, other), likeness(own, theirs), ",".join(f"{a}:{b}" for a, b in differences(other, own))))
 
     for batch in batches:
         for stretch, sent, doc, text in zip(*(batch.column(i) for i in range(4)), strict=True):

@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 from . import cotrain, decontam, langid, lengths, merkle, packing, secrets, simhash, suffixes, warc
-from .common import table
+from .common import table, written
 
 QUERIES = {}
 ORACLE_SQL: dict[str, str] = {}
@@ -114,4 +114,16 @@ def repeat_groups(spark, sf_dir):
     return suffixes.repeat_groups(table(spark, sf_dir, "documents"))
 
 
-QUERIES["repeat_groups"] = repeat_groups
+def context_limits(spark, sf_dir):
+    """Documents that common context limits cut, and the tokens that are left."""
+    histogram = lengths.histogram(lengths.document_lengths(table(spark, sf_dir, "documents")))
+    return lengths.limits(written(histogram, "histogram"), [1 << i for i in range(7, 18)])
+
+
+def language_spans(spark, sf_dir):
+    """Languages of every text, stretch by stretch."""
+    docs = table(spark, sf_dir, "documents")
+    return langid.label_spans(docs, langid.train(langid.training_rows(docs)))
+
+
+QUERIES |= {"repeat_groups": repeat_groups, "context_limits": context_limits, "language_spans": language_spans}

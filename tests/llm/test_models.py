@@ -44,6 +44,14 @@ def test_spans_of_text_without_spaces():
     assert langid.cut("дом,house") == ["дом,", "house"] and langid.cut("漢字2,x") == ["漢", "字2,", "x"] and langid.cut("123") == ["123"]
 
 
+def test_spans_of_a_table(spark):
+    model = langid.train([("en", "the house and the garden with the tree " * 9), ("de", "der garten und das haus mit dem baum " * 9)])
+    rows = [(1, "the garden and the house der garten und das haus"), (2, None), (3, ""), (None, "the tree")]
+    out = langid.label_spans(spark.createDataFrame(rows, "doc_id long, text string"), model).collect()
+    assert sorted((str(r.doc_id), r.span, r.lang, r.first_word, r.n_words) for r in out) == [("1", 0, "en", 0, 5), ("1", 1, "de", 5, 5), ("None", 0, "en", 0, 2)]
+    assert langid.label_spans(spark.createDataFrame(rows, "doc_id long, text string"), langid.train([])).count() == 0
+
+
 def test_viterbi_equals_enumeration_of_all_paths():
     from itertools import product
 

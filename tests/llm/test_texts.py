@@ -116,6 +116,18 @@ def check_merkle(docs):
         want.append((str(doc), len(text), hashlib.sha256(changed.encode()).hexdigest(), merkle_root(trees[0]), merkle_root(trees[1]), plain_likeness(*trees[:2]), plain_likeness(trees[0], trees[2])))
     got = [(str(r.doc_id), r.n_chars, r.edited_sha256, r.fingerprint[:32], r.edited_fingerprint[:32], r.near_edited, r.near_next) for r in merkle.edited_neighbours(docs).collect()]
     assert sorted(got) == sorted(want)
+    for r in merkle.edited_neighbours(docs).collect():
+        spans = [tuple(map(int, x.split(":"))) for x in r.edited_spans.split(",") if x]
+        assert all(a < b for a, b in spans) and not (spans and r.fingerprint == r.edited_fingerprint)
+        pieces = [q for s in merkle.parsed(r.fingerprint) for p in s for q in p]
+        gone, at = [], 0
+        for q in (q for s in merkle.parsed(r.edited_fingerprint) for p in s for q in p):
+            if q in pieces:
+                pieces.remove(q)
+            else:
+                gone += range(at, at + q[1])
+            at += q[1]
+        assert gone == [i for a, b in spans for i in range(a, b)]
 
 
 def test_roots_follow_from_what_is_written(spark):

@@ -100,6 +100,8 @@ def test_histogram(spark, small, reference):
         assert {r.n_tokens for r in rows} == set(n.tolist())
         for r in rows:
             assert (r.n_docs, r.docs_ge, r.tokens_ge, r.truncated_total) == ((n == r.n_tokens).sum(), (n >= r.n_tokens).sum(), n[n >= r.n_tokens].sum(), np.minimum(n, r.n_tokens).sum())
+        some = [0, 1, 100, 10**6]
+        assert sorted(tuple(r) for r in lengths.limits(hist, some).collect()) == [(x, (n > x).sum(), np.minimum(n, x).sum()) for x in some]
         for limit in (0, 1, 100, 10**6):
             assert lengths.truncated_total(hist, limit) == np.minimum(n, limit).sum()
         for q in (0.1, 0.5, 0.9, 1.0):
