@@ -2,6 +2,8 @@
 
 import random
 
+import pytest
+
 from basisflow.llm import similar, simhash
 
 
@@ -45,8 +47,10 @@ def test_a_large_star_of_edited_copies_is_one_group(spark):
     assert all(found[i] == i for i, _ in rows if i >= 900)
 
 
-def test_large_buckets_lose_no_link(spark):
+@pytest.mark.parametrize("block", [1000, 15])
+def test_large_buckets_lose_no_link(spark, monkeypatch, block):
     """Chains of edited copies that share their keys with many others: every link across them counts, as by all pairs."""
+    monkeypatch.setattr(similar, "BLOCK_NODES", block)
     rnd = random.Random(9)
     base = [f"w{rnd.randint(1, 3000)}" for _ in range(300)]
     rows, number = [], 0
