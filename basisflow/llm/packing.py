@@ -30,6 +30,7 @@ from .tokens import encoder
 SEQUENCE, CLOSING = 2048, 1
 #: Dimensions and bits of each on the curve: 60 bits in all.
 DIMENSIONS, BITS = 4, 15
+LANES = np.arange(DIMENSIONS, dtype=np.uint64) * np.uint64(16)
 
 
 def hilbert_index(points: np.ndarray, bits: int = BITS) -> np.ndarray:
@@ -60,17 +61,22 @@ def hilbert_index(points: np.ndarray, bits: int = BITS) -> np.ndarray:
 
 
 def token_vectors(size: int = 1 << 16) -> np.ndarray:
-    """A fixed pseudo-random sign vector for each id (ids beyond ``size`` wrap around)."""
+    """A fixed pseudo-random number of four bytes for each id (ids beyond ``size`` wrap around), a byte in each 16 bits: one for each dimension."""
     ids = np.arange(size, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15)
     ids ^= ids >> np.uint64(29)
     ids *= np.uint64(0xBF58476D1CE4E5B9)
     ids ^= ids >> np.uint64(32)
-    return np.stack([((ids >> np.uint64(8 * d)) & np.uint64(255)).astype(np.float32) / 127.5 - 1 for d in range(DIMENSIONS)], 1)
+    lanes = [((ids >> np.uint64(8 * d)) & np.uint64(255)) << np.uint64(16 * d) for d in range(DIMENSIONS)]
+    return np.bitwise_or.reduce(lanes)
 
 
 def curve_key(ids: np.ndarray, table: np.ndarray) -> np.ndarray:
-    """Quantised mean vector of one document."""
-    mean = np.add.reduce(table.take(ids & (len(table) - 1), axis=0), axis=0) / max(1, len(ids))
+    """Quantised mean vector of one document; a byte v stands for v / 127.5 - 1."""
+    found = table.take(ids & (len(table) - 1))
+    # 256 bytes fit into the 16 bits of a lane
+    parts = np.add.reduceat(found, np.arange(0, len(found), 256)) if len(found) else found
+    sums = ((parts[:, None] >> LANES) & np.uint64(0xFFFF)).sum(0).astype(np.float64)
+    mean = sums / 127.5 / max(1, len(ids)) - (len(ids) > 0)
     spread = np.clip(mean * 2 + 0.5, 0, 1)  # means are small; most of the cube is used
     return np.minimum((spread * (1 << BITS)).astype(np.int64), (1 << BITS) - 1)
 
@@ -92,7 +98,7 @@ def encoded(docs: DataFrame, key: str = "doc_id", text: str = "text", path: str
             if sizes:
                 yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(hilbert_index(np.array(points))), pa.array(sizes, pa.int64()), pa.array(packed, pa.binary())], ["doc_id", "curve", "n_tokens", "ids"])
 
-    return docs.select(F.col(key).cast("long"), text).mapInArrow(tidied(run), "doc_id long, curve long, n_tokens long, ids binary")
+    return docs.select(F.col(key).cast("long"), text).mapInArrow(tidied(run, "encoders"), "doc_id long, curve long, n_tokens long, ids binary")
 
 
 def line_places(light: DataFrame) -> DataFrame:

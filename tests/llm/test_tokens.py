@@ -7,9 +7,9 @@ import public_tokenizers
 import pytest
 from tokenizers import Tokenizer
 
-from basisflow.llm import lengths, packing
-from basisflow.llm.common import table
-from basisflow.llm.tokens import WordEncoder
+from basisflow.llm import lengths, packing, tokens
+from basisflow.llm.common import table, tidied
+from basisflow.llm.tokens import WordEncoder, encoder
 from helpers import awkward, empty
 
 
@@ -29,6 +29,30 @@ def test_cached_ids_are_the_tokenizers(small, spark, reference, cache):
     assert got == reference(texts)
 
 
+def test_words_with_any_marks_are_cut_like_the_tokenizer(reference):
+    texts = [f"word{m} Élan{m}{m[::-1]} 1{m} a{m}b <|endoftext|>{m}" for m in ("&&&", "***", "%%%", "$$$", "###", "_", "-", "=+", "~^@", "/", "()", "[]{}", '"', "?!&", "'", "'s", "<", ">")]
+    encoder = WordEncoder(cache=50)
+    got = [np.frombuffer(x, "<u2").tolist() for x in encoder.packed([t.encode() for t in texts])]
+    assert got == reference(texts)
+    assert b"***" in WordEncoder(cache=50)._cut(b"word***")
+
+
+def test_a_task_of_another_kind_frees_the_encoder():
+    assert encoder() is encoder()
+    list(tidied(lambda batches: iter(batches), "encoders")([]))
+    assert tokens._ENCODERS
+    list(tidied(lambda batches: iter(batches))([]))
+    assert not tokens._ENCODERS
+
+
+def test_points_on_the_curve_are_exact_means():
+    rows = packing.token_vectors()
+    ids = np.random.default_rng(5).integers(0, 1 << 16, 70_001).astype("<u2")
+    bytes_ = (rows[ids][:, None] >> (np.uint64(16) * np.arange(4, dtype=np.uint64)) & np.uint64(0xFFFF)).astype(np.int64)
+    mean = bytes_.sum(0) / 127.5 / len(ids) - 1
+    assert packing.curve_key(ids, rows).tolist() == np.minimum((np.clip(mean * 2 + 0.5, 0, 1) * (1 << 15)).astype(np.int64), (1 << 15) - 1).tolist()
+
+
 def check_packing(docs, reference):
     rows = docs.select("doc_id", "text").collect()
     want = Counter((r.doc_id, tuple([*ids, 1])) for r, ids in zip(rows, reference([r.text for r in rows]), strict=True))
