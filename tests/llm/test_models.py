@@ -52,6 +52,18 @@ def test_spans_of_a_table(spark):
     assert langid.label_spans(spark.createDataFrame(rows, "doc_id long, text string"), langid.train([])).count() == 0
 
 
+def test_spans_of_a_table_are_those_of_single_texts_in_many_tasks(spark, small):
+    from basisflow.llm.common import table
+
+    docs = table(spark, small, "documents").coalesce(1)
+    model = langid.train(langid.training_rows(docs, 20))
+    out = langid.label_spans(docs, model)
+    assert out.rdd.getNumPartitions() > 8  # one row group is not one task
+    labeller = langid.Labeller(model)
+    want = sorted((r.doc_id, n, *span) for r in docs.collect() for n, span in enumerate(langid.spans(labeller, r.text)))
+    assert sorted(tuple(r) for r in out.collect()) == want and len(want) > 200
+
+
 def test_viterbi_equals_enumeration_of_all_paths():
     from itertools import product
 
