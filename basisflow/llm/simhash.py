@@ -96,8 +96,8 @@ def near_groups(docs: DataFrame, key: str = "doc_id", text: str = "text") -> Dat
 def keep_one(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
     """One document of each near-duplicate group: the one with the smallest id (nulls last; of repeated rows one); columns as given.
 
-    Groups are those of ``similar``, not the two bits of ``near_groups``: most texts with a few replaced words are further
-    apart. Where ids are null or repeated, the rows are numbered and written first.
+    Groups are those of ``similar``: the links of ``near_groups`` are candidates there, held against the shingles, beside others, as most texts
+    with a few replaced words are more than two bits apart. Where ids are null or repeated, the rows are numbered and written first.
     """
     ids = docs.groupBy(F.col(key).cast("long").alias("id")).count()
     name = fresh("row")

@@ -7,6 +7,13 @@ made of ``ROWS`` minima each; nodes that share a key are candidates (two of simi
 with probability 1 - (1 - s ** ROWS) ** BANDS: 0.999 at 0.8), and every candidate pair is
 verified on the shingles themselves.
 
+Beside them, the steps of op8 give candidates too: every text has its SimHash fingerprint, and fingerprints that
+share a one-wildcard segment variant and differ in two bits or fewer are linked (``simhash.links``). Nodes with one fingerprint meet
+the least of them, nodes of linked fingerprints meet through their least; these pairs are verified like the others.
+
+Of all candidate pairs one for each node is verified first, the one with the node that has most candidates; of the rest only
+those that then still join different components. So copies of one text are not compared each with each.
+
 In a bucket of up to ``ALL_PAIRS`` nodes all pairs are candidates. In a larger one every node is
 first held against the node that meets most others over all its keys, which in a star of edited
 copies is their source. Large buckets that are then still of more than one component make up families
@@ -29,6 +36,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from . import simhash
 from .common import small_side, tidied, written
 from .components import components
 
@@ -72,18 +80,20 @@ def jaccard(a: np.ndarray, b: np.ndarray) -> float:
 
 
 def sketches(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """(doc_id, shingle_set, bands, sketch) of every row."""
+    """(doc_id, shingle_set, bands, sketch, fp) of every row; ``fp`` is op8's fingerprint as a signed integer."""
 
     def run(batches):
         for batch in batches:
-            sets = [shingles(t.as_py() or b"") for t in batch.column(1).cast(pa.binary())]
+            texts = [t.as_py() or b"" for t in batch.column(1).cast(pa.binary())]
+            sets = [shingles(t) for t in texts]
+            fps = np.array([simhash.fingerprint(t) for t in texts], np.uint64).view(np.int64)
             least = [minima(s) for s in sets]
             names = pa.array([xxhash.xxh3_128_digest(s.tobytes()) for s in sets], pa.binary())
             bands = pa.array([keys(m) if len(s) else [] for s, m in zip(sets, least, strict=True)], pa.list_(pa.int64()))
             bytes_ = pa.array([(m >> np.uint64(40)).astype(np.uint8).tobytes() for m in least], pa.binary())
-            yield pa.RecordBatch.from_arrays([batch.column(0), names, bands, bytes_], ["doc_id", "shingle_set", "bands", "sketch"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), names, bands, bytes_, pa.array(fps)], ["doc_id", "shingle_set", "bands", "sketch", "fp"])
 
-    return docs.select(F.col(key).cast("long"), text).mapInArrow(tidied(run), "doc_id long, shingle_set binary, bands array<long>, sketch binary")
+    return docs.select(F.col(key).cast("long"), text).mapInArrow(tidied(run), "doc_id long, shingle_set binary, bands array<long>, sketch binary, fp long")
 
 
 def buckets(nodes: DataFrame) -> DataFrame:
@@ -104,6 +114,33 @@ def first_pairs(placed: DataFrame) -> DataFrame:
     return pairs.unionByName(near.select(F.least("node", "hub").alias("x"), F.greatest("node", "hub").alias("y"))).distinct()
 
 
+def fingerprint_pairs(nodes: DataFrame) -> DataFrame:
+    """Pairs (x, y), x < y, of op8's links: nodes with the least of their fingerprint, and the least of two linked fingerprints. ``nodes`` has node and fps."""
+    marked = written(nodes.select("node", F.explode("fps").alias("fp")), "similar-marked")
+    least = written(marked.groupBy("fp").agg(F.min("node").alias("least"), F.count("*").alias("n")), "similar-fps")
+    same = marked.join(small_side(least.where("n > 1").select("fp", "least")), "fp").where("node <> least").select(F.col("least").alias("x"), F.col("node").alias("y"))
+    linked = written(simhash.links(least.select("fp")), "similar-fp-links")
+    side = lambda name: least.select(F.col("fp").alias(name), F.col("least").alias(f"{name}_least"))
+    across = linked.hint("merge").join(side("x"), "x").hint("merge").join(side("y"), "y").where("x_least <> y_least")
+    return same.unionByName(across.select(F.least("x_least", "y_least").alias("x"), F.greatest("x_least", "y_least").alias("y")))
+
+
+def chosen(pairs: DataFrame) -> DataFrame:
+    """One pair for each node: with the one of its candidates that has most candidates, then the smallest."""
+    both = pairs.union(pairs.select("y", "x"))
+    weight = both.groupBy("x").agg(F.count("*").alias("met"))
+    weighed = both.hint("merge").join(weight.withColumnRenamed("x", "y"), "y")
+    best = weighed.groupBy("x").agg(F.min(F.struct((-F.col("met")).alias("met"), "y")).alias("best"))
+    return best.select(F.least("x", "best.y").alias("x"), F.greatest("x", "best.y").alias("y")).distinct()
+
+
+def apart(pairs: DataFrame, roots: DataFrame) -> DataFrame:
+    """The pairs whose nodes are of different components."""
+    side = lambda name: roots.select(F.col("node").alias(name), F.col("root").alias(f"{name}_root"))
+    both = pairs.join(side("x"), "x", "left").join(side("y"), "y", "left")
+    return both.where(F.coalesce("x_root", "x") != F.coalesce("y_root", "y")).select("x", "y")
+
+
 def families(large: DataFrame, roots: DataFrame) -> DataFrame:
     """(node, root, family) of the nodes of large buckets that are of more than one component."""
     labelled = large.join(roots, "node", "left").select("band", "node", F.coalesce("root", "node").alias("root"))
@@ -182,10 +219,15 @@ def verified(pairs: DataFrame, texts: DataFrame, least: float) -> DataFrame:
 
 
 def links(nodes: DataFrame, texts: DataFrame, least: float = LEAST) -> DataFrame:
-    """(node, root) of the nodes (node, bands, sketch) that are linked to others."""
+    """(node, root) of the nodes (node, bands, sketch, fps) that are linked to others."""
     placed = written(buckets(nodes), "similar-buckets")
-    found = written(verified(written(first_pairs(placed), "similar-pairs"), texts, least), "similar-links")
+    pairs = written(first_pairs(placed).unionByName(fingerprint_pairs(nodes)).distinct(), "similar-pairs")
+    found = written(verified(written(chosen(pairs), "similar-chosen"), texts, least), "similar-links")
     roots = written(components(found, "x", "y"), "similar-roots")
+    rest = written(apart(pairs, roots), "similar-apart")
+    if rest.limit(1).count():
+        found = written(found.unionByName(verified(rest, texts, least)), "similar-links")
+        roots = written(components(found, "x", "y"), "similar-roots")
     members = written(families(placed.where(F.col("n") > ALL_PAIRS), roots), "similar-families")
     if not members.limit(1).count():
         return roots
@@ -196,7 +238,7 @@ def links(nodes: DataFrame, texts: DataFrame, least: float = LEAST) -> DataFrame
 def groups(docs: DataFrame, least: float = LEAST, key: str = "doc_id", text: str = "text") -> DataFrame:
     """(doc_id, component_id) for every row; ids are unique and not null. The component is the smallest id of the group."""
     sketched = written(sketches(docs, key, text), "similar")
-    nodes = sketched.groupBy("shingle_set").agg(F.min("doc_id").alias("node"), F.first("bands").alias("bands"), F.first("sketch").alias("sketch"))
+    nodes = sketched.groupBy("shingle_set").agg(F.min("doc_id").alias("node"), F.first("bands").alias("bands"), F.first("sketch").alias("sketch"), F.collect_set("fp").alias("fps"))
     nodes = written(nodes, "similar-nodes")
     roots = links(nodes, docs.select(F.col(key).cast("long").alias("node"), F.col(text).alias("text")), least)
     named = nodes.select("shingle_set", "node").join(roots.withColumnRenamed("node", "n"), F.col("node") == F.col("n"), "left")

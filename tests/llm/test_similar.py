@@ -79,6 +79,19 @@ def test_large_buckets_lose_no_link(spark, monkeypatch, block):
     assert found == {i: find(i) for i in range(number)} and 1 < len(set(found.values())) < number
 
 
+def test_fingerprint_links_are_candidates_and_verified(spark):
+    """Without any key of minima op8's links are still found; those that the shingles refuse join nothing."""
+    rnd = random.Random(12)
+    words = [f"w{rnd.randint(1, 3000)}" for _ in range(3000)]
+    lines = "one two three " * 300
+    rows = [(1, " ".join(words)), (2, edited(rnd, words, 1)), (3, lines + " ".join(f"a{i}" for i in range(40))), (4, lines + " ".join(f"b{i}" for i in range(40))), (5, " ".join(words[:500]))]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    nodes = similar.sketches(docs).selectExpr("doc_id AS node", "CAST(array() AS array<long>) AS bands", "sketch", "array(fp) AS fps")
+    assert {(r.x, r.y) for r in similar.fingerprint_pairs(nodes).collect()} == {(1, 2), (3, 4)}
+    found = similar.links(nodes, docs.withColumnRenamed("doc_id", "node"))
+    assert {(r.node, r.root) for r in found.collect()} == {(2, 1)}
+
+
 def test_keep_one_of_repeated_and_null_ids(spark):
     text = " ".join(f"w{i}" for i in range(60))
     rows = [(5, text, "a"), (5, "another text with words of its own", "b"), (None, text + " more", "c"), (None, "only here and nowhere else", "d"), (None, "only here and nowhere else", "e"), (7, text, "f")]
