@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import tidied
+from .common import portions, tidied
 
 #: Words of the shortest item that is looked for.
 SHORTEST = 3
@@ -246,7 +246,7 @@ def leaks(docs: DataFrame, benchmark: DataFrame, least: float = LEAST, key: str
 def _finder(shared, least):
     def run(batches):
         reader = Reader(shared.value)
-        for batch in batches:
+        for batch in portions(batches):
             rows = list(copies(reader, batch.column(1).to_pylist(), least))
             ids = batch.column(0).take(pa.array([r[0] for r in rows], pa.int64()))
             items = pa.array([shared.value.ids[r[1]] for r in rows], pa.int64())
@@ -263,7 +263,7 @@ def clean(docs: DataFrame, benchmark: DataFrame, least: float = LEAST, text: str
 
         def run(batches, shared=shared):
             reader = Reader(shared.value)
-            for batch in batches:
+            for batch in portions(batches):
                 bad = {r[0] for r in copies(reader, batch.column(at).to_pylist(), least)}
                 yield batch.filter(pa.array([i not in bad for i in range(batch.num_rows)], pa.bool_()))
 

@@ -23,8 +23,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import shared_dir, tidied, written
-from .tokens import encoder
+from .common import portions, shared_dir, tidied, written
+from .tokens import CACHE_PIECES, encoder
 
 #: Fixed values of the contract.
 SEQUENCE, CLOSING = 2048, 1
@@ -81,13 +81,16 @@ def curve_key(ids: np.ndarray, table: np.ndarray) -> np.ndarray:
     return np.minimum((spread * (1 << BITS)).astype(np.int64), (1 << BITS) - 1)
 
 
-def encoded(docs: DataFrame, key: str = "doc_id", text: str = "text", path: str | None = None) -> DataFrame:
-    """(doc_id, curve, n_tokens, ids) with the closing id; ids are little-endian unsigned 16- or 32-bit."""
+def encoded(docs: DataFrame, key: str = "doc_id", text: str = "text", path: str | None = None, lean: bool = False) -> DataFrame:
+    """(doc_id, curve, n_tokens, ids) with the closing id; ids are little-endian unsigned 16- or 32-bit.
+
+    ``lean``: half the cache of words, of which only the younger generation outlives a task, where workers serve other stages too.
+    """
 
     def run(batches):
-        encode, table = encoder(path), token_vectors()
+        encode, table = encoder(path, CACHE_PIECES // 2 if lean else CACHE_PIECES), token_vectors()
         closing = np.array([CLOSING], encode.dtype).tobytes()
-        for batch in batches:
+        for batch in portions(batches):
             points, sizes, packed = [], [], []
             for own in encode.packed(batch.column(1).cast(pa.binary()).to_pylist()):
                 own += closing
@@ -97,6 +100,8 @@ def encoded(docs: DataFrame, key: str = "doc_id", text: str = "text", path: str
                 packed.append(own)
             if sizes:
                 yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(hilbert_index(np.array(points))), pa.array(sizes, pa.int64()), pa.array(packed, pa.binary())], ["doc_id", "curve", "n_tokens", "ids"])
+        if lean:
+            encode.forget_older()
 
     return docs.select(F.col(key).cast("long"), text).mapInArrow(tidied(run, "encoders"), "doc_id long, curve long, n_tokens long, ids binary")
 
@@ -142,15 +147,15 @@ def cut(start: int, length: int, total: int, size: int = SEQUENCE):
         at = stop
 
 
-def pack(docs: DataFrame, key: str = "doc_id", text: str = "text", path: str | None = None, size: int = SEQUENCE, with_ids: bool = False) -> DataFrame:
-    """One row per piece; ``with_ids`` adds the piece's ids as an array."""
-    rows = written(encoded(docs, key, text, path).withColumn("row", F.monotonically_increasing_id()), "encoded")
+def pack(docs: DataFrame, key: str = "doc_id", text: str = "text", path: str | None = None, size: int = SEQUENCE, with_ids: bool = False, lean: bool = False) -> DataFrame:
+    """One row per piece; ``with_ids`` adds the piece's ids as an array, ``lean`` is as in ``encoded``."""
+    rows = written(encoded(docs, key, text, path, lean).withColumn("row", F.monotonically_increasing_id()), "encoded")
     places = written(line_places(rows.select("row", "curve", "n_tokens")), "places")
     # places looks small to the optimizer, as it compresses well, but grows with the rows: no broadcast
     placed = rows.select("row", "doc_id", "n_tokens", "ids").join(places.hint("merge"), "row").select("doc_id", "n_tokens", "ids", "at", "total")
 
     def run(batches):
-        for batch in batches:
+        for batch in portions(batches):
             out = {n: [] for n in ("doc_id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset")}
             pieces = []
             for doc, n, raw, at, total in zip(*(batch.column(i).to_pylist() for i in range(5)), strict=True):

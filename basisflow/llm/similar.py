@@ -37,7 +37,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import simhash
-from .common import small_side, tidied, written
+from .common import portions, small_side, tidied, written
 from .components import components
 
 #: Words of a shingle, and the similarity from which two texts are near-duplicates.
@@ -83,7 +83,7 @@ def sketches(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFr
     """(doc_id, shingle_set, bands, sketch, fp) of every row; ``fp`` is op8's fingerprint as a signed integer."""
 
     def run(batches):
-        for batch in batches:
+        for batch in portions(batches):
             texts = [t.as_py() or b"" for t in batch.column(1).cast(pa.binary())]
             sets = [shingles(t) for t in texts]
             fps = np.array([simhash.fingerprint(t) for t in texts], np.uint64).view(np.int64)
@@ -155,7 +155,7 @@ def family_links(members: DataFrame, nodes: DataFrame, texts: DataFrame, least:
     """Links (x, y) between components of each family: enough of them to join all that are linked."""
 
     def sets(batches):
-        for batch in batches:
+        for batch in portions(batches):
             found = [shingles(t.as_py() or b"").tobytes() for t in batch.column(1).cast(pa.binary())]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(found, pa.binary())], ["node", "shingles"])
 
@@ -211,7 +211,7 @@ def verified(pairs: DataFrame, texts: DataFrame, least: float) -> DataFrame:
     both = both.hint("merge").join(texts.select(F.col("node").alias("y"), F.col("text").alias("right")), "y")
 
     def run(batches):
-        for batch in batches:
+        for batch in portions(batches):
             left, right = ([shingles(t.as_py() or b"") for t in batch.column(i).cast(pa.binary())] for i in (2, 3))
             yield batch.select([0, 1]).filter(pa.array([jaccard(a, b) >= least for a, b in zip(left, right, strict=True)], pa.bool_()))
 

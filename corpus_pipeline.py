@@ -46,7 +46,7 @@ def mask_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
 
 def sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Packs what is left into token sequences along a Hilbert curve (op 5)."""
-    return packing.pack(docs)
+    return packing.pack(docs, lean=True)
 
 
 STAGES = [("language", language), ("near_dedup", near_dedup), ("decontamination", decontamination), ("secrets", mask_secrets), ("packing", sequences)]
