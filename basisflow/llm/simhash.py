@@ -23,7 +23,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from . import similar
-from .common import fresh, small_side, tidied, written
+from .common import fresh, tidied, without, written
 from .components import components
 
 #: Fixed values of the contract.
@@ -111,4 +111,4 @@ def keep_one(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFr
     else:
         rows = docs.withColumn(name, F.col(key).cast("long"))
         gone = similar.groups(docs, key=key, text=text).where("doc_id <> component_id").select(F.col("doc_id").alias(name))
-    return rows.join(small_side(written(gone, "simhash-gone")), name, "left_anti").select(docs.columns)
+    return without(rows, written(gone, "simhash-gone"), name).select(docs.columns)

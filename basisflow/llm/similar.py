@@ -37,7 +37,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import simhash
-from .common import portions, small_side, tidied, written
+from .common import portions, small_side, tidied, within, written
 from .components import components
 
 #: Words of a shingle, and the similarity from which two texts are near-duplicates.
@@ -159,7 +159,7 @@ def family_links(members: DataFrame, nodes: DataFrame, texts: DataFrame, least:
             found = [shingles(t.as_py() or b"").tobytes() for t in batch.column(1).cast(pa.binary())]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(found, pa.binary())], ["node", "shingles"])
 
-    own = texts.join(members.select("node"), "node", "left_semi").select("node", "text").mapInArrow(tidied(sets), "node long, shingles binary")
+    own = within(texts, members.select("node"), "node").select("node", "text").mapInArrow(tidied(sets), "node long, shingles binary")
     sizes = members.groupBy("family").agg(F.ceil(F.count("*") / BLOCK_NODES).alias("blocks"))
     placed = members.join(sizes, "family").withColumn("block", F.pmod(F.xxhash64("node"), "blocks"))
     whole = placed.join(nodes.select("node", "sketch"), "node").join(own, "node")
@@ -204,8 +204,9 @@ def linked(nodes_a, roots_a, sketches_a, sets_a, nodes_b, roots_b, sketches_b, s
 
 def verified(pairs: DataFrame, texts: DataFrame, least: float) -> DataFrame:
     """The pairs whose texts reach ``least``; ``texts`` has node and text."""
-    wanted = pairs.select(F.col("x").alias("node")).union(pairs.select("y")).distinct()
-    texts = written(texts.join(wanted, "node", "left_semi"), "similar-texts")
+    # whether all texts are shuffled must not hang on how large a file of pairs happens to be
+    wanted = written(pairs.select(F.col("x").alias("node")).union(pairs.select("y")).distinct(), "similar-wanted")
+    texts = written(within(texts, wanted, "node"), "similar-texts")
     # texts are never broadcast: they grow with the input
     both = pairs.hint("merge").join(texts.select(F.col("node").alias("x"), F.col("text").alias("left")), "x")
     both = both.hint("merge").join(texts.select(F.col("node").alias("y"), F.col("text").alias("right")), "y")
